@@ -14,8 +14,10 @@ text and may overlap). Suffixes are sorted only where they can matter:
    number of probes), verifies it on the bytes, and looks at the next byte. Contexts are then joined in order of
    falling common extension (small sets into large ones), with neighbours in the order of prefixes giving the longest
    extension to the left; a pair with left + right >= length marks the windows it shares.
-4. Groups of more than ``most`` contexts are dealt out by window instead: a window repeats if its hash (with the gram's,
-   128 bits together) occurs twice, which a combining count tells; so no group has to fit one task.
+4. Groups of more than ``most`` contexts are split before that, by ranges of the distance between window start and
+   anchor: windows of a range share a core of bytes, whose hash is the new group. A group whose members agree in the
+   whole range is settled by a combining count; what is still large goes on to narrower ranges, down to single windows,
+   which always settle. So no group has to fit one task, and a context costs a few rows, not one a window.
 5. Repeated windows turn into byte intervals, merged for each text and cut out.
 """
 
@@ -177,8 +179,10 @@ def fields(**kinds: T.DataType) -> T.StructType:
 
 LONG, INT = T.LongType(), T.IntegerType()
 ANCHORS = fields(key=LONG, tag=LONG, h=LONG, ctx=LONG, pos=LONG)
-PIECE = fields(h=LONG, ctx=LONG, a=INT, hi=INT, bytes=T.BinaryType())
-WINDOW = fields(h=LONG, ctx=LONG, g=LONG, first=INT)
+PIECE = fields(g=LONG, h=LONG, ctx=LONG, a=INT, lo=INT, hi=INT, bytes=T.BinaryType())
+PART = fields(**{f.name: f.dataType for f in PIECE}, c=LONG)
+#: Widths of the ranges that large groups are split into, one after the other.
+WIDTHS = (32, 8, 2, 1)
 RUN = fields(h=LONG, ctx=LONG, first=INT, last=INT)
 
 
@@ -210,24 +214,33 @@ def asked(batch: pa.RecordBatch) -> Iterator[tuple[np.ndarray, int, dict, int, i
                 yield data, int(offsets[row - first]), want, pos >> 20, (pos >> 20) + (pos >> 10 & 1023), (pos >> 20) + (pos & 1023)
 
 
+def batch_of(rows: list[tuple], schema: T.StructType) -> pa.RecordBatch:
+    kinds = {LONG: pa.int64(), INT: pa.int32(), T.BinaryType(): pa.binary()}
+    cols = list(zip(*rows, strict=True)) if rows else [[]] * len(schema)
+    return pa.RecordBatch.from_arrays([pa.array(c, kinds[f.dataType]) for c, f in zip(cols, schema, strict=True)], names=schema.names)
+
+
 def cut_contexts(rows: Iterator[pa.RecordBatch], length: int) -> Iterator[pa.RecordBatch]:
-    """Bytes of contexts, from their first window start."""
+    """Bytes of contexts: the anchor's place and the last window start count from the first window start, ``lo`` is 0."""
     for batch in rows:
-        out = [(w["h"], w["ctx"], a - lo, hi - lo, data[at + lo : at + hi + length].tobytes()) for data, at, w, lo, a, hi in asked(batch)]
-        cols = list(zip(*out, strict=True)) if out else [[]] * 5
-        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.binary()), strict=True)], names=PIECE.names)
+        yield batch_of([(w["h"], w["h"], w["ctx"], a - lo, 0, hi - lo, data[at + lo : at + hi + length].tobytes()) for data, at, w, lo, a, hi in asked(batch)], PIECE)
 
 
-def cut_windows(rows: Iterator[pa.RecordBatch], length: int) -> Iterator[pa.RecordBatch]:
-    """Hashes of a context's windows, each with its distance from the first window start."""
+def split_ranges(rows: Iterator[pa.RecordBatch], width: int, length: int) -> Iterator[pa.RecordBatch]:
+    """Pieces cut into ranges of ``width`` distances from the anchor. Group: hash of the core that all windows of the
+    range share, whether the piece owns all of them or not; ``c``: hash of the piece's own windows of the range."""
     for batch in rows:
-        block, hashed = None, None
-        for data, at, w, lo, a, hi in asked(batch):
-            if data is not block:
-                block, hashed = data, PrefixHash(data)
-            s = np.arange(lo, hi + 1)
-            g = mix(hashed.of(at + s, at + s + length) + mix((a - s).astype(np.uint64)))
-            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(s), w["h"])), pa.array(np.full(len(s), w["ctx"])), signed(g), pa.array((s - lo).astype(np.int32))], names=WINDOW.names)
+        out = []
+        for _, h, ctx, a, lo, hi, data in zip(*(batch.column(k).to_pylist() for k in range(7)), strict=True):
+            hashed = PrefixHash(np.frombuffer(data, np.uint8))
+            # distances a - p of the window starts p in [lo, hi]; bytes begin at lo
+            for d in range((a - hi) // width * width, a - lo + 1, width):
+                x, y = max(lo, a - (d + width - 1)), min(hi, a - d)
+                core, own = hashed.of(np.array([a - d, x]) - lo, np.array([a - (d + width - 1) + length, y + length]) - lo)
+                g = mix(np.array([core + np.uint64(d * 1024 + width)]))
+                c = mix(np.array([own + np.uint64((a - x) * 1024 + (a - y))]))
+                out.append((int(g.view(np.int64)[0]), h, ctx, a, x, y, data[x - lo : y + length - lo], int(c.view(np.int64)[0])))
+        yield batch_of(out, PART)
 
 
 def sort_groups(rows: Iterator[pa.RecordBatch], length: int) -> Iterator[pa.RecordBatch]:
@@ -238,24 +251,41 @@ def sort_groups(rows: Iterator[pa.RecordBatch], length: int) -> Iterator[pa.Reco
     def judged() -> list[tuple]:
         if len(held) < 2:
             return []
-        found = repeats([(b, a, 0, hi) for _, a, hi, b in held], length)
-        return [(group, c, f, l) for (c, *_), runs in zip(held, found, strict=True) for f, l in set(runs)]
-
-    def batch_of(runs: list[tuple]) -> pa.RecordBatch:
-        cols = list(zip(*runs, strict=True)) if runs else [[]] * 4
-        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.int32(), pa.int32()), strict=True)], names=RUN.names)
+        found = repeats([(b, a - lo, 0, hi - lo) for _, _, a, lo, hi, b in held], length)
+        return [(h, c, lo + f, lo + l) for (h, c, _, lo, *_), runs in zip(held, found, strict=True) for f, l in set(runs)]
 
     out: list[tuple] = []
     for batch in rows:
-        for h, c, a, hi, b in zip(*(batch.column(k).to_pylist() for k in range(5)), strict=True):
-            if h != group:
+        for g, *piece in zip(*(batch.column(k).to_pylist() for k in range(7)), strict=True):
+            if g != group:
                 out += judged()
-                group, held = h, []
-            held.append((c, a, hi, b))
+                group, held = g, []
+            held.append(piece)
         if len(out) > 5000:
-            yield batch_of(out)
+            yield batch_of(out, RUN)
             out = []
-    yield batch_of(out + judged())
+    yield batch_of(out + judged(), RUN)
+
+
+def split_large(state: DataFrame, most: int, length: int) -> tuple[DataFrame, DataFrame]:
+    """Large groups of pieces -> settled runs, and pieces in groups of at most ``most`` distinct contents."""
+    n = F.count(F.lit(1))
+    settled = state.select("h", "ctx", F.col("lo").alias("first"), F.col("hi").alias("last")).limit(0)
+    small = state.limit(0)
+    for width in WIDTHS:
+        if state.isEmpty():
+            break
+        parts = cut(state.mapInArrow(lambda it, width=width: split_ranges(it, width, length), PART))
+        same = parts.groupBy("g", "c").agg(n.alias("n"))
+        groups = same.groupBy("g").agg(n.alias("m"))
+        parts = parts.join(same, ["g", "c"])
+        settled = settled.unionByName(parts.where("n > 1").select("h", "ctx", F.col("lo").alias("first"), F.col("hi").alias("last")))
+        # one piece of each content goes on, if its group has others
+        one = parts.groupBy("g", "c").agg(F.min(F.struct("h", "ctx", "a", "lo", "hi", "bytes")).alias("p")).join(groups.where("m > 1"), "g")
+        rest = cut(one.select("g", "p.*", "m"))
+        small = small.unionByName(rest.where(F.col("m") <= most).select(*PIECE.names))
+        state = rest.where(F.col("m") > most).select(*PIECE.names)
+    return settled, small
 
 
 def strip(rows: Iterator[pa.RecordBatch], length: int, keep_bytes: bool) -> Iterator[pa.RecordBatch]:
@@ -305,13 +335,15 @@ def remove_repeats(docs: DataFrame, key: str = "doc_id", text: str = "text", len
     def with_text(wanted: DataFrame) -> DataFrame:
         return texts.join(wanted.groupBy("key", "tag").agg(F.collect_list("want").alias("want")), ["key", "tag"]).select("doc_id", "want", "text")
 
-    pieces = with_text(want.where(F.col("n") <= most)).mapInArrow(lambda it: cut_contexts(it, length), PIECE)
-    runs = pieces.repartition("h").sortWithinPartitions("h").mapInArrow(lambda it: sort_groups(it, length), RUN)
-    windows = with_text(want.where(F.col("n") > most)).mapInArrow(lambda it: cut_windows(it, length), WINDOW)
-    twice = windows.groupBy("h", "g").agg(n.alias("n")).where("n > 1").select("h", "g")
-    counted = windows.join(twice, ["h", "g"]).select("h", "ctx", "first", F.col("first").alias("last"))
+    contexts = lambda wanted: with_text(wanted).mapInArrow(lambda it: cut_contexts(it, length), PIECE)
+    pieces = contexts(want.where(F.col("n") <= most))
+    runs = whole
+    if not want.where(F.col("n") > most).isEmpty():
+        settled, small = split_large(cut(contexts(want.where(F.col("n") > most))), most, length)
+        pieces, runs = pieces.unionByName(small), runs.unionByName(settled)
+    runs = runs.unionByName(pieces.repartition("g").sortWithinPartitions("g").mapInArrow(lambda it: sort_groups(it, length), RUN))
     lo, wide = F.shiftright("pos", 20), F.col("pos").bitwiseAND(1023)
-    placed = twins.join(runs.unionByName(counted).unionByName(whole), ["h", "ctx"]).select("key", "tag", F.struct((lo + F.col("first")).alias("lo"), (lo + F.least(F.col("last"), wide)).alias("hi")).alias("run"))
+    placed = twins.join(runs, ["h", "ctx"]).select("key", "tag", F.struct((lo + F.col("first")).alias("lo"), (lo + F.least(F.col("last"), wide)).alias("hi")).alias("run"))
     gone = placed.groupBy("key", "tag").agg(F.collect_list("run").alias("runs"))
     both = texts.join(gone, ["key", "tag"], "left").select("doc_id", "text", "runs")
     kinds = {"doc_id": LONG, "n_bytes": LONG, "n_removed": LONG, "n_spans": LONG, "kept_sha256": T.StringType()} | ({"kept": T.BinaryType()} if keep_bytes else {})
