@@ -11,7 +11,7 @@ import time
 from collections.abc import Callable
 from dataclasses import replace
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .graph import FlowState, default_cycles, excess_of
@@ -19,6 +19,8 @@ from .heights import full_levels, sink_levels
 from .lineage import cut, folder
 
 MOVES = "src long, dst long, amount long, height long, full boolean"
+#: Wide supersteps between two global relabels, at most: a round ends when none pushes.
+WIDE_CYCLES = 8
 Filter = Callable[[DataFrame], DataFrame]
 
 
@@ -57,6 +59,17 @@ def plan_pushes(low: DataFrame) -> DataFrame:
     return low.where("own > far").select("src", "dst", d.alias("amount"), F.lit(None).cast("long").alias("height"), (d == F.col("room")).alias("full"))
 
 
+def plan_wide_pushes(slots: DataFrame, verts: DataFrame, work: DataFrame) -> DataFrame:
+    """Every vertex of ``work`` pushes along all its falling residual arcs at once, lowest neighbour first, while excess lasts."""
+    mine = work.select(F.col("id").alias("src"), F.col("height").alias("own"), "excess")
+    theirs = verts.select(F.col("id").alias("dst"), F.col("height").alias("far"))
+    near = slots.join(mine, "src").where("cap_out > net").join(theirs, "dst").where("own > far").withColumn("room", F.col("cap_out") - F.col("net"))
+    order = Window.partitionBy("src").orderBy("far", "dst").rowsBetween(Window.unboundedPreceding, -1)
+    d = F.least("room", F.col("excess") - F.coalesce(F.sum("room").over(order), F.lit(0)))
+    moves = near.select("src", "dst", d.alias("amount"), "room").where("amount > 0")
+    return moves.select("src", "dst", "amount", F.lit(None).cast("long").alias("height"), (F.col("amount") == F.col("room")).alias("full"))
+
+
 def plan_relabels(low: DataFrame, n: int) -> DataFrame:
     none = F.lit(None).cast("long")
     return low.where("own <= far").select("src", none.alias("dst"), none.alias("amount"), F.least(F.col("far") + 1, F.lit(n)).cast("long").alias("height"), F.lit(None).cast("boolean").alias("full"))
@@ -85,16 +98,17 @@ def add(counters: dict, **more: int) -> None:
         counters[k] = counters.get(k, 0) + int(v or 0)
 
 
-def discharge(state: FlowState, roots: Callable[[FlowState], DataFrame] = deficits, drive: str = "worklist", cycles: int | None = None, step: str = "split", relabel: str = "every", keep: Filter = lambda slots: slots, worklist: str = "refresh", max_rounds: int | None = None) -> FlowState:
+def discharge(state: FlowState, roots: Callable[[FlowState], DataFrame] = deficits, drive: str = "worklist", cycles: int | None = None, step: str = "wide", relabel: str = "every", keep: Filter = lambda slots: slots, worklist: str = "refresh", max_rounds: int | None = None) -> FlowState:
     """Rounds of global relabel and at most ``cycles`` supersteps until no vertex is active.
 
     ``step``: 'fused' pushes and relabels on one snapshot and then fills steep arcs, 'split' pushes first and relabels
-    on what is left, which makes none. ``drive``: 'worklist' joins only active vertices to slots, 'topology' scans all.
+    on what is left, which makes none, 'wide' pushes along all falling arcs of a vertex at once and leaves relabelling to
+    the next global relabel (far fewer supersteps; a vertex with a path always has a falling arc). ``drive``: 'worklist' joins only active vertices to slots, 'topology' scans all.
     ``worklist``: 'frozen' keeps the round's first list. ``relabel``: 'every' round, 'once', or 'never'. ``keep``
     restricts the arcs that may be used.
     """
     spark = state.slots.sparkSession
-    k = cycles or default_cycles(state.n_arcs, state.n)
+    k = cycles or (WIDE_CYCLES if step == "wide" else default_cycles(state.n_arcs, state.n))
     counters, trace = dict(state.counters), list(state.trace)
     rounds = 0
     while max_rounds is None or rounds < max_rounds:
@@ -118,14 +132,19 @@ def discharge(state: FlowState, roots: Callable[[FlowState], DataFrame] = defici
             work = active(now)
             if worklist == "frozen":
                 work = work.join(first, "id", "left_semi")
-            if drive == "topology":
+            if step == "wide":
+                if drive == "topology":  # every vertex looks at its neighbours; those that are not active have nothing to push
+                    live = (F.col("excess") > 0) & (F.col("height") < state.n) & ~F.col("id").isin(state.s, state.t)
+                    work = now.verts.withColumn("excess", F.when(live, F.col("excess")).otherwise(F.lit(0)))
+                moves = plan_wide_pushes(usable, now.verts, work)
+            elif drive == "topology":
                 # every vertex looks at its neighbours; those that are not active drop out afterwards
                 low = lowest_neighbours(usable, now.verts, now.verts)
                 low = low.where((F.col("excess") > 0) & (F.col("own") < state.n) & ~F.col("src").isin(state.s, state.t))
             else:
                 low = lowest_neighbours(usable, now.verts, work)
-            pushes = plan_pushes(low)
-            moves = pushes if step == "split" else pushes.unionByName(plan_relabels(low, state.n))
+            if step != "wide":
+                moves = plan_pushes(low) if step == "split" else plan_pushes(low).unionByName(plan_relabels(low, state.n))
             path = folder(spark)
             moves.write.parquet(path)
             paths.append(path)

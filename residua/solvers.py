@@ -39,12 +39,12 @@ def finish(state: FlowState, kind: str = "height") -> FlowResult:
 # ---- from scratch
 
 
-def solve_static(problem: FlowProblem, drive: str = "worklist", cycles: int | None = None, step: str = "fused", global_relabel: str = "every", worklist: str = "refresh") -> FlowResult:
+def solve_static(problem: FlowProblem, drive: str = "worklist", cycles: int | None = None, step: str = "wide", global_relabel: str = "every", worklist: str = "refresh") -> FlowResult:
     """Push-relabel with global relabels; drive 'topology' or 'worklist'. Without relabels every round, steps must be fused."""
     return finish(discharge(init_state(problem), sink_only, drive, cycles, step, global_relabel, worklist=worklist))
 
 
-def solve_static_pushpull(problem: FlowProblem, cycles: int | None = None, step: str = "split") -> FlowResult:
+def solve_static_pushpull(problem: FlowProblem, cycles: int | None = None, step: str = "wide") -> FlowResult:
     """Source and sink arcs saturated; deficient vertices act as sinks."""
     return finish(discharge(init_state(problem, into_sink=True), deficits, "worklist", cycles, step), "reach")
 
@@ -79,7 +79,7 @@ def patched(state: FlowState, updates: DataFrame, into_sink: bool = False) -> Fl
     return fresh(replace(state, slots=slots, counters={}, trace=[]))
 
 
-def solve_dynamic(state: FlowState, updates: DataFrame, drive: str = "worklist", cycles: int | None = None, step: str = "fused") -> FlowResult:
+def solve_dynamic(state: FlowState, updates: DataFrame, drive: str = "worklist", cycles: int | None = None, step: str = "wide") -> FlowResult:
     """Continues from a residual state: patch, repair, re-saturate, excess from net flow, then rounds with deficits as roots."""
     return finish(discharge(patched(state, updates), deficits, drive, cycles, step))
 
@@ -105,7 +105,7 @@ def assert_disjoint(slots: DataFrame, sides: DataFrame) -> None:
         raise AssertionError("a residual arc crosses the saturated cut")
 
 
-def solve_dynamic_pushpull(state: FlowState, updates: DataFrame, cycles: int | None = None, step: str = "split") -> FlowResult:
+def solve_dynamic_pushpull(state: FlowState, updates: DataFrame, cycles: int | None = None, step: str = "wide") -> FlowResult:
     """Continues on a prior cut: saturate it, push inside T, pull inside S, then a bridge from T's overflow to S's deficits."""
     how = {"drive": "worklist", "cycles": cycles, "step": step}
     slots = repair_overfull(apply_updates(state.slots, updates))
@@ -140,14 +140,14 @@ def solve_alternating(state: FlowState, updates: DataFrame, cycles: int | None =
     now = patched(state, updates, into_sink=True)
     for k in range(max_rounds):
         if k % 2:
-            now = discharge(now.mirror(), deficits, cycles=cycles, step="split", max_rounds=1).mirror()
+            now = discharge(now.mirror(), deficits, cycles=cycles, max_rounds=1).mirror()
         else:
-            now = discharge(now, deficits, cycles=cycles, step="split", max_rounds=1)
+            now = discharge(now, deficits, cycles=cycles, max_rounds=1)
         over = now.verts.where((F.col("excess") > 0) & ~F.col("id").isin(now.s, now.t))
         levels, _ = sink_levels(now.slots, deficits(now), now.n, (now.s,))
         if over.join(levels, "id", "left_semi").isEmpty():
             return finish(now)
-    now = discharge(now, deficits, cycles=cycles, step="split")
+    now = discharge(now, deficits, cycles=cycles)
     return finish(replace(now, counters=now.counters | {"fallback": 1}))
 
 
