@@ -6,7 +6,7 @@ the overlap from above. Sets are met and joined like this:
 
 1. Equal sets are one vertex, however many texts share them.
 2. Every set posts its ``n - ceil(t n) + 1`` least hashes; two sets above the threshold share such a posting. Postings
-   that only one set has are dropped by a combining count.
+   that only one set has are dropped by a combining count, and of postings with the same sets one stays, with a weight.
 3. Every vertex is first compared with one pivot, the least vertex of the postings it shares with it most often.
    Components of the links found leave little open.
 4. Postings that still hold several components go, in bands of set size, to R-trees over count points; each finds the
@@ -28,7 +28,7 @@ from pyspark.sql import types as T
 from .common import PrefixHash, cut, mix, text_blocks
 from .components import components
 
-GROUPS = 64
+GROUPS = 256
 LEAF = 16
 FOLD = np.arange(256, dtype=np.uint8)
 FOLD[65:91] += 32
@@ -73,7 +73,7 @@ def fields(**kinds: T.DataType) -> T.StructType:
 
 LONG = T.LongType()
 POINT = fields(doc_id=LONG, n=LONG, v=LONG, twin=LONG, counts=T.BinaryType(), posted=T.ArrayType(LONG))
-SET = fields(v=LONG, members=T.BinaryType())
+SET = fields(id=LONG, members=T.BinaryType())
 
 
 def points(rows: Iterator[pa.RecordBatch], words: int, percent: int) -> Iterator[pa.RecordBatch]:
@@ -87,7 +87,7 @@ def points(rows: Iterator[pa.RecordBatch], words: int, percent: int) -> Iterator
             total = lambda x: np.diff(np.concatenate([np.zeros(1, np.uint64), np.cumsum(x)])[at])  # noqa: E731, B023
             v = mix(total(mix(h)) + n.astype(np.uint64)).view(np.int64)
             twin = mix(total(mix(h ^ np.uint64(0xA5A5A5A5A5A5A5A5)))).view(np.int64)
-            held = np.bincount(owner * GROUPS + (mix(h) >> np.uint64(58)).astype(np.int64), minlength=rows_ * GROUPS).astype("<u4").reshape(rows_, GROUPS)
+            held = np.bincount(owner * GROUPS + (mix(h) >> np.uint64(56)).astype(np.int64), minlength=rows_ * GROUPS).astype("<u4").reshape(rows_, GROUPS)
             size = np.where(n > 0, n - -(-percent * n // 100) + 1, 0)
             ends = np.concatenate([[0], np.cumsum(size)])
             posted = h[np.repeat(at[:-1] - ends[:-1], size) + np.arange(ends[-1])].view(np.int64)
@@ -134,10 +134,14 @@ def tree_pairs(rows: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.Reco
     key, held = None, []
 
     def found() -> pa.RecordBatch:
-        home, v, n, label, counts = (np.array(x) for x in zip(*[(h, v, n, l, np.frombuffer(c, "<u4").astype(np.int64)) for h, v, n, l, c in held], strict=True))
+        none = pa.RecordBatch.from_arrays([pa.array([], pa.int64())] * 2, names=PAIR.names)
+        if len({r[3] for r in held}) < 2 or not any(r[0] for r in held):
+            return none
+        home, v, n, label = (np.array([r[k] for r in held]) for k in range(4))
+        counts = np.frombuffer(b"".join([r[4] for r in held]), "<u4").astype(np.int32).reshape(len(held), GROUPS)
         out: list[np.ndarray] = []
         own = np.flatnonzero(home)
-        if len(own) and len(np.unique(label)) > 1:
+        if len(own):
             tree = CountTree(counts[own], n[own])
             for x in range(len(v)):
                 near = own[tree.reach(counts[x], int(n[x]), percent)]
@@ -186,40 +190,40 @@ def near_sets(docs: DataFrame, key: str = "doc_id", text: str = "text", words: i
     texts = docs.select(F.col(key).cast("long").alias("doc_id"), F.col(text).alias("text"))
     made = cut(texts.mapInArrow(lambda it: points(it, words, percent), POINT))
     some = made.where("n > 0 and doc_id is not null")
-    post = some.select("v", F.explode("posted").alias("t"))
-    shared = post.groupBy("t").agg(F.min("v").alias("pivot"), F.max("v").alias("top")).where("pivot <> top").select("t", "pivot")
-    post = cut(post.join(shared, "t").distinct())
-    vertex = cut(some.groupBy("v").agg(F.min("doc_id").alias("one"), F.min("twin").alias("t1"), F.max("twin").alias("t2"), F.min("n").alias("n"), F.min("counts").alias("counts")))
+    vertex = cut(some.groupBy("v").agg(F.min("doc_id").alias("id"), F.min("twin").alias("t1"), F.max("twin").alias("t2")))
     if not vertex.where("t1 <> t2").isEmpty():
         raise RuntimeError("two different sets share a 64-bit hash; choose another seed")
-    point = vertex.select("v", "n", "counts")
-    open_ids = post.select("v").distinct().join(vertex.select("v", "one"), "v")
-    sets = texts.join(open_ids.select(F.col("one").alias("doc_id"), "v"), "doc_id").select("v", "text").mapInArrow(lambda it: members(it, words), SET)
-    sets = cut(sets.dropDuplicates(["v"]))
-
-    def check(pairs: DataFrame, bound: bool) -> DataFrame:
-        if bound:
-            a, b = (point.select(F.col("v").alias(x), F.col("n").alias(f"n{x}"), F.col("counts").alias(f"c{x}")) for x in "ab")
-            pairs = pairs.join(a, "a").join(b, "b").select("a", "b", "na", "ca", "nb", "cb").mapInArrow(lambda it: bounded(it, percent), PAIR)
-        a, b = (sets.select(F.col("v").alias(x), F.col("members").alias(f"m{x}")) for x in "ab")
+    vertex = vertex.select("v", "id")
+    one = some.withColumn("id", F.col("doc_id")).join(vertex, ["v", "id"])
+    point = cut(one.select("id", "n", "counts").dropDuplicates(["id", "n"]))
+    post = one.select("id", F.explode("posted").alias("t"))
+    who = post.groupBy("t").agg(F.min("id").alias("pivot"), F.max("id").alias("top"), F.count(F.lit(1)).alias("n"), F.expr("bit_xor(xxhash64(id))").alias("x"), F.expr("bit_xor(xxhash64(id, 1))").alias("y"))
+    kept = cut(who.where("pivot <> top").groupBy("pivot", "n", "x", "y").agg(F.min("t").alias("t"), F.count(F.lit(1)).alias("weight")).select("t", "pivot", "weight"))
+    post = cut(post.join(kept, "t").distinct())
+
+    def check(pairs: DataFrame) -> DataFrame:
+        """Exact verification. Texts meet the ids they are needed for; the planner broadcasts those only if their table is small."""
+        pairs = cut(pairs)
+        need = cut(pairs.select(F.col("a").alias("id")).union(pairs.select(F.col("b").alias("id"))).distinct())
+        sets = texts.join(need, texts["doc_id"] == need["id"]).select("id", "text").mapInArrow(lambda it: members(it, words), SET)
+        sets = cut(sets.distinct())
+        a, b = (sets.select(F.col("id").alias(x), F.col("members").alias(f"m{x}")) for x in "ab")
         return cut(pairs.join(b, "b").join(a, "a").select("a", "b", "ma", "mb").mapInArrow(lambda it: verified(it, percent), PAIR))
 
-    times = post.where("v <> pivot").groupBy("v", "pivot").agg(F.count(F.lit(1)).alias("times"))
-    star = times.groupBy("v").agg(F.max_by("pivot", F.struct("times", "pivot")).alias("a")).select("a", F.col("v").alias("b"))
-    links = check(star, True)
+    times = post.where("id <> pivot").groupBy("id", "pivot").agg(F.sum("weight").alias("times"))
+    star = times.groupBy("id").agg(F.max_by("pivot", F.struct("times", "pivot")).alias("a")).select("a", F.col("id").alias("b"))
+    a, b = (point.select(F.col("id").alias(x), F.col("n").alias(f"n{x}"), F.col("counts").alias(f"c{x}")) for x in "ab")
+    star = star.join(a, "a").join(b, "b").select("a", "b", "na", "ca", "nb", "cb").mapInArrow(lambda it: bounded(it, percent), PAIR)
+    links = check(star)
     label = components(links)
-    left = post.join(label.withColumnRenamed("id", "v"), "v", "left").select("t", "v", F.coalesce("component_id", "v").alias("label"))
+    left = post.join(label, "id", "left").select("t", "id", F.coalesce("component_id", "id").alias("label"))
     split = left.groupBy("t").agg(F.min("label").alias("x"), F.max("label").alias("y")).where("x <> y").select("t")
-    rows = left.join(split, "t").join(point, "v")
+    rows = left.join(split, "t").join(point, "id")
     band = F.floor(F.log("n") / math.log(100 / percent) + 1e-9)
-    rows = rows.select("t", F.explode(F.array(F.struct(band.alias("band"), F.lit(True).alias("home")), F.struct((band + 1).alias("band"), F.lit(False).alias("home")))).alias("in"), "v", "n", "label", "counts")
-    rows = rows.select("t", "in.band", "in.home", "v", "n", "label", "counts").repartition("t", "band").sortWithinPartitions("t", "band")
+    rows = rows.select("t", F.explode(F.array(F.struct(band.alias("band"), F.lit(True).alias("home")), F.struct((band + 1).alias("band"), F.lit(False).alias("home")))).alias("in"), "id", "n", "label", "counts")
+    rows = rows.select("t", "in.band", "in.home", "id", "n", "label", "counts").repartition("t", "band").sortWithinPartitions("t", "band")
     pairs = rows.mapInArrow(lambda it: tree_pairs(it, percent), PAIR).distinct()
-    more = check(pairs, False)
-    label = components(links.unionByName(more)).select(F.col("id").alias("v"), F.col("component_id").alias("root"))
-    # classes of equal sets and linked classes -> smallest document id
-    rooted = vertex.select("v", "one").join(label, "v", "left").select("v", F.coalesce("root", "v").alias("root"), "one")
-    least = rooted.groupBy("root").agg(F.min("one").alias("component_id"))
-    named = rooted.join(least, "root").select("v", "component_id")
+    label = components(links.unionByName(check(pairs))).withColumnRenamed("component_id", "root")
+    named = vertex.join(label, "id", "left").select("v", F.coalesce("root", "id").alias("component_id"))
     out = made.join(named, "v", "left").select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id"))
     return out.withColumn("component_id", F.when(F.col("doc_id").isNull(), F.lit(None).cast("long")).otherwise(F.col("component_id")))
