@@ -52,10 +52,12 @@ def mix(docs: DataFrame, weights: tuple[float, ...] = (3.0, 1.0, 2.0), share: fl
 
     Null texts have size 0 and take nothing; null sources are one source; repeated rows (same id and size) count each,
     in an arbitrary but harmless order among themselves; an empty table gives an empty one. Prefix sums run in two
-    levels: a hash deals each source into ``buckets``, so a source with a third of all rows is never one group.
+    levels: ranges of a hash (60 bits of the digest of id and text, so that any SQL engine finds the same layout) deal
+    each source into ``buckets``, so a source with a third of all rows is never one group.
     """
-    rows = docs.select(*keep, "source", word_count(F.col("text")).alias("size"))
-    rows = rows.withColumn("__h", F.xxhash64(*[F.col(k) for k in keep])).withColumn("__b", F.pmod("__h", F.lit(buckets)))
+    digest = F.md5(F.concat(F.coalesce(F.col("doc_id").cast("string"), F.lit("")), F.lit(":"), F.coalesce(F.col("text"), F.lit(""))).cast("binary"))
+    rows = docs.select(*keep, "source", word_count(F.col("text")).alias("size"), F.conv(F.substring(digest, 1, 15), 16, 10).cast("long").alias("__h"))
+    rows = rows.withColumn("__b", F.shiftright("__h", 60 - (buckets - 1).bit_length()))
     by_bucket = rows.groupBy("source", "__b").agg(F.sum("size").alias("__in"))
     sizes = by_bucket.groupBy("source").agg(F.sum("__in").alias("source_size"))
     targets = source_targets(sizes, weights, share, most)

@@ -71,7 +71,6 @@ class Matcher:
                 words.add(max(count, key=lambda w: (count[w], w)))
                 free = {g for g in free if words.isdisjoint(g)}
         self.words, self.ratio = words, ratio
-        self.sizes = [len(t.grams) for t in self.templates]
 
     def best(self, words: list[str]) -> tuple[str, float] | None:
         """Best template of a unit at or above the threshold; ties go to the smaller template, then by name."""
@@ -94,7 +93,7 @@ class Matcher:
         words = whole.split()
         if self.words.isdisjoint(words):
             return []
-        units = [(0, words)] if len(words) - 1 <= max(self.sizes) / self.ratio and "\n" in text else []
+        units = [(0, words)] if "\n" in text else []
         units += [(k, line.split()) for k, line in enumerate(whole.split("\n"), 1)]
         return [(k, *hit) for k, w in units if (hit := self.best(w))]
 
