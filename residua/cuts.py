@@ -19,14 +19,15 @@ def flow_value(state: FlowState) -> int:
     return int(rows.agg(F.sum("excess")).first()[0] or 0)
 
 
-def cut_sides(state: FlowState, kind: str = "height") -> DataFrame:
+def cut_sides(state: FlowState, kind: str = "height", exact: bool = False) -> DataFrame:
     """``(id, side)``: 'T' for what can still reach the sink or a deficit, 'S' for the rest.
 
     kind 'height' takes a final exact relabel from the sink and the deficits; 'reach' also marks the vertices that the
-    source or an overflow reaches as 'S' and puts vertices in neither set there.
+    source or an overflow reaches as 'S' and puts vertices in neither set there. ``exact`` takes the state's own heights: a run that ended
+    with a global relabel over all arcs, and moved nothing since, has them.
     """
-    levels, _ = sink_levels(state.slots, deficits(state), state.n, (state.s,))
-    sides = full_levels(state.verts, levels, state.n).select("id", F.when(F.col("height") < state.n, "T").otherwise("S").alias("side"))
+    heights = state.verts if exact else full_levels(state.verts, sink_levels(state.slots, deficits(state), state.n, (state.s,))[0], state.n)
+    sides = heights.select("id", F.when(F.col("height") < state.n, "T").otherwise("S").alias("side"))
     if kind == "reach":
         over = state.verts.where((F.col("excess") > 0) & (F.col("id") != state.t) | (F.col("id") == state.s)).select("id")
         seen, _ = source_levels(state.slots, over, state.n, (state.t,))

@@ -66,8 +66,8 @@ def plan_wide_pushes(slots: DataFrame, verts: DataFrame, work: DataFrame) -> Dat
     near = slots.join(mine, "src").where("cap_out > net").join(theirs, "dst").where("own > far").withColumn("room", F.col("cap_out") - F.col("net"))
     order = Window.partitionBy("src").orderBy("far", "dst").rowsBetween(Window.unboundedPreceding, -1)
     d = F.least("room", F.col("excess") - F.coalesce(F.sum("room").over(order), F.lit(0)))
-    moves = near.select("src", "dst", d.alias("amount"), "room").where("amount > 0")
-    return moves.select("src", "dst", "amount", F.lit(None).cast("long").alias("height"), (F.col("amount") == F.col("room")).alias("full"))
+    moves = near.select("src", "dst", d.alias("amount"), "room", "far").where("amount > 0")
+    return moves.select("src", "dst", "amount", F.lit(None).cast("long").alias("height"), (F.col("amount") == F.col("room")).alias("full"), "far")
 
 
 def plan_relabels(low: DataFrame, n: int) -> DataFrame:
@@ -103,7 +103,9 @@ def discharge(state: FlowState, roots: Callable[[FlowState], DataFrame] = defici
 
     ``step``: 'fused' pushes and relabels on one snapshot and then fills steep arcs, 'split' pushes first and relabels
     on what is left, which makes none, 'wide' pushes along all falling arcs of a vertex at once and leaves relabelling to
-    the next global relabel (far fewer supersteps; a vertex with a path always has a falling arc). ``drive``: 'worklist' joins only active vertices to slots, 'topology' scans all.
+    the next global relabel (far fewer supersteps; a vertex with a path always has a falling arc). A vertex that pushed so
+    has no falling arc left or no excess, and pushes open rising arcs only, so the next wide superstep can move something
+    only if this one pushed to a height above 0. ``drive``: 'worklist' joins only active vertices to slots, 'topology' scans all.
     ``worklist``: 'frozen' keeps the round's first list. ``relabel``: 'every' round, 'once', or 'never'. ``keep``
     restricts the arcs that may be used.
     """
@@ -148,18 +150,18 @@ def discharge(state: FlowState, roots: Callable[[FlowState], DataFrame] = defici
             path = folder(spark)
             moves.write.parquet(path)
             paths.append(path)
-            done = spark.read.schema(MOVES).parquet(path)
+            done = spark.read.schema(f"{MOVES}, far long").parquet(path)
             if step == "split":
                 after = with_moves(state, spark.read.schema(MOVES).parquet(*paths))
                 low = lowest_neighbours(keep(after.slots), after.verts, active(after))
                 path = folder(spark)
                 plan_relabels(low, state.n).write.parquet(path)
                 paths.append(path)
-                done = spark.read.schema(MOVES).parquet(paths[-2], path)
-            c = done.agg(F.count("amount"), F.count(F.when(F.col("full"), 1)), F.count("height")).first()
+                done = spark.read.schema(f"{MOVES}, far long").parquet(paths[-2], path)
+            c = done.agg(F.count("amount"), F.count(F.when(F.col("full"), 1)), F.count("height"), F.count(F.when(F.col("far") > 0, 1))).first()
             add(counters, pushes=c[0], saturating=c[1], relabels=c[2], supersteps=1, message_rows=2 * c[0])
             trace.append((rounds, n_active, c[0], c[1], c[2], time.perf_counter() - began))
-            if not c[0] and not c[2]:
+            if not c[3] if step == "wide" else not c[0] and not c[2]:
                 break
         log = spark.read.schema(MOVES).parquet(*paths)
         state = with_moves(state, log)

@@ -31,9 +31,9 @@ class FlowResult:
         return self.state.slots.sparkSession.createDataFrame(self.state.trace, "round long, active long, pushes long, saturating long, relabels long, seconds double")
 
 
-def finish(state: FlowState, kind: str = "height") -> FlowResult:
-    """Publishes value and cut after a last exact relabel."""
-    return FlowResult(flow_value(state), replace(state, cut=cut_sides(state, kind)))
+def finish(state: FlowState, kind: str = "height", exact: bool = False) -> FlowResult:
+    """Publishes value and cut after a last exact relabel; ``exact`` says that the state's heights already are its result."""
+    return FlowResult(flow_value(state), replace(state, cut=cut_sides(state, kind, exact)))
 
 
 # ---- from scratch
@@ -41,12 +41,12 @@ def finish(state: FlowState, kind: str = "height") -> FlowResult:
 
 def solve_static(problem: FlowProblem, drive: str = "worklist", cycles: int | None = None, step: str = "wide", global_relabel: str = "every", worklist: str = "refresh") -> FlowResult:
     """Push-relabel with global relabels; drive 'topology' or 'worklist'. Without relabels every round, steps must be fused."""
-    return finish(discharge(init_state(problem), sink_only, drive, cycles, step, global_relabel, worklist=worklist))
+    return finish(discharge(init_state(problem), sink_only, drive, cycles, step, global_relabel, worklist=worklist), exact=global_relabel == "every")
 
 
 def solve_static_pushpull(problem: FlowProblem, cycles: int | None = None, step: str = "wide") -> FlowResult:
     """Source and sink arcs saturated; deficient vertices act as sinks."""
-    return finish(discharge(init_state(problem, into_sink=True), deficits, "worklist", cycles, step), "reach")
+    return finish(discharge(init_state(problem, into_sink=True), deficits, "worklist", cycles, step), "reach", exact=True)
 
 
 # ---- after a batch
@@ -81,7 +81,7 @@ def patched(state: FlowState, updates: DataFrame, into_sink: bool = False) -> Fl
 
 def solve_dynamic(state: FlowState, updates: DataFrame, drive: str = "worklist", cycles: int | None = None, step: str = "wide") -> FlowResult:
     """Continues from a residual state: patch, repair, re-saturate, excess from net flow, then rounds with deficits as roots."""
-    return finish(discharge(patched(state, updates), deficits, drive, cycles, step))
+    return finish(discharge(patched(state, updates), deficits, drive, cycles, step), exact=True)
 
 
 def side_filter(sides: DataFrame, side: str):
