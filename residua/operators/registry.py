@@ -7,6 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .. import experiments as X
 from .. import workloads as W
 from ..cuts import cut_capacity
 from ..engine import lowest_neighbours, plan_pushes, plan_relabels
@@ -42,6 +43,8 @@ def cut_bipartite(middle: str, out_cap: str, in_cap: str, kind: str | None = Non
     return f"WITH b AS ({middle}), l AS (SELECT u, ({out_cap}) AS cap FROM (SELECT u, sum(cap) AS m FROM b GROUP BY u)), r AS (SELECT v, ({in_cap}) AS cap FROM (SELECT v, sum(cap) AS m FROM b GROUP BY v)), a AS (SELECT u, v, {RULE[kind]} AS cap FROM b), m AS (SELECT range AS k FROM range((SELECT 1 << CAST(max(u) + 1 AS INTEGER) FROM b))), x AS (SELECT k, coalesce(sum(cap) FILTER ((k >> u) & 1 = 0), 0) AS cost FROM m, l GROUP BY k), y AS (SELECT k, v, coalesce(sum(cap) FILTER ((k >> u) & 1 = 1), 0) AS inflow FROM m, a GROUP BY k, v), z AS (SELECT k, sum(least(inflow, r.cap)) AS cost FROM y JOIN r USING (v) GROUP BY k) SELECT CAST(min(x.cost + z.cost) AS BIGINT) AS value, CAST(min(x.cost + z.cost) AS BIGINT) AS cut_capacity FROM x JOIN z USING (k)"
 
 
+NEW_CAP = {"increase": "cap + 1 + h % 100", "decrease": "(cap * (h % 10)) // 10", "mixed": "CASE WHEN k % 2 = 1 THEN cap + 1 + h % 100 ELSE (cap * (h % 10)) // 10 END"}
+
 CLOSED = {
     "trade14": cut_trade,
     "tier": lambda kind=None: cut_bipartite(TIER, "(m * (1 + 2 * u)) // 4", "(m * (1 + v % 4)) // 3", kind),
@@ -173,8 +176,26 @@ def cycles(s: SparkSession, d: str) -> DataFrame:
 
 
 for _kind in ("increase", "decrease", "mixed"):
-    _new = {"increase": "cap + 1 + h % 100", "decrease": "(cap * (h % 10)) // 10", "mixed": "CASE WHEN k % 2 = 1 THEN cap + 1 + h % 100 ELSE (cap * (h % 10)) // 10 END"}[_kind]
-    put(f"updates_{_kind}_trade14", lambda s, d, kind=_kind: make_updates(W.trade14(s, d).arcs, 10, kind, 3, 12), f"WITH a AS ({TRADE}), b AS (SELECT *, (u * 7919 + v * 104729 + 31) % 1000003 AS h FROM a), c AS (SELECT *, row_number() OVER (ORDER BY CASE WHEN u = 3 OR v = 12 THEN h / 8.0::DOUBLE ELSE CAST(h AS DOUBLE) END, u, v) AS k FROM b) SELECT u AS src, v AS dst, CAST({_new} AS BIGINT) AS new_cap, CAST(0 AS BIGINT) AS seq FROM c WHERE k <= (SELECT count(*) FROM a) * 10 // 100")
+    put(f"updates_{_kind}_trade14", lambda s, d, kind=_kind: make_updates(W.trade14(s, d).arcs, 10, kind, 3, 12), f"WITH a AS ({TRADE}), b AS (SELECT *, (u * 7919 + v * 104729 + 31) % 1000003 AS h FROM a), c AS (SELECT *, row_number() OVER (ORDER BY CASE WHEN u = 3 OR v = 12 THEN h / 8.0::DOUBLE ELSE CAST(h AS DOUBLE) END, u, v) AS k FROM b) SELECT u AS src, v AS dst, CAST({NEW_CAP[_kind]} AS BIGINT) AS new_cap, CAST(0 AS BIGINT) AS seq FROM c WHERE k <= (SELECT count(*) FROM a) * 10 // 100")
+
+# ---- the experiments, on the smallest network; seconds are left out where values have a twin
+
+TREE_ARCS = "WITH d AS (SELECT CAST(n_regionkey AS BIGINT) AS r, CAST(n_nationkey AS BIGINT) AS n, count(c_custkey) AS d FROM nation LEFT JOIN customer ON c_nationkey = n_nationkey GROUP BY 1, 2), a AS (SELECT CAST(-1 AS BIGINT) AS src, 1099511627776 + r AS dst, CAST((sum(d) * (2 + r)) // 4 AS BIGINT) AS cap FROM d GROUP BY r UNION ALL SELECT 1099511627776 + r, 2199023255552 + n, d FROM d UNION ALL SELECT 2199023255552 + n, -2, 1 + (d * (1 + n % 3)) // 2 FROM d)"
+SHARE = 20
+
+
+def tree_regime(kind: str) -> str:
+    """Nested minima over the patched tree, one row for each program."""
+    named = ", ".join(f"('{p}')" for p in X.SEVEN)
+    return f"{TREE_ARCS}, b AS (SELECT *, ((src * 7919 + dst * 104729 + 31) % 1000003 + 1000003) % 1000003 AS h FROM a), c AS (SELECT *, row_number() OVER (ORDER BY CASE WHEN src = -1 OR dst = -2 THEN h / 8.0::DOUBLE ELSE CAST(h AS DOUBLE) END, src, dst) AS k FROM b), p AS (SELECT src, dst, CASE WHEN k <= (SELECT count(*) FROM a) * {SHARE} // 100 THEN {NEW_CAP[kind]} ELSE cap END AS cap FROM c), low AS (SELECT m.src AS r, sum(least(m.cap, l.cap)) AS cap FROM p m JOIN p l ON m.dst = l.src WHERE m.src <> -1 GROUP BY 1), f AS (SELECT CAST(sum(least(x.cap, low.cap)) AS BIGINT) AS value FROM p x JOIN low ON x.dst = low.r WHERE x.src = -1) SELECT 'tree' AS graph, '{kind}' AS kind, CAST({SHARE} AS INTEGER) AS pct, program, value FROM f, (VALUES {named}) q(program)"
+
+
+for _kind in NEW_CAP:
+    put(f"experiment_regime_{_kind}", lambda s, d, kind=_kind: X.regime(W.tree(s, d), kind, [SHARE]).select("graph", "kind", "pct", "program", "value"), tree_regime(_kind))
+put("experiment_sweep_cycles", lambda s, d: X.sweep_cycles(W.tree(s, d), (1, 2, 4)).select("graph", "cycles", "value"), f"SELECT 'tree' AS graph, CAST(k AS INTEGER) AS cycles, value FROM ({CLOSED['tree']()}), (VALUES (1), (2), (4)) q(k)")
+put("experiment_graphs", lambda s, d: X.graph_table(s, [W.tree(s, d)]), f"{TREE_ARCS} SELECT 'tree' AS graph, CAST((SELECT count(*) FROM (SELECT src FROM a UNION SELECT dst FROM a)) AS BIGINT) AS vertices, (SELECT count(*) FROM a WHERE cap > 0) AS arcs, CAST(-1 AS BIGINT) AS s, CAST(-2 AS BIGINT) AS t, (SELECT value FROM ({CLOSED['tree']()})) AS value")
+put("experiment_active_trace", lambda s, d: X.active_trace(W.tree(s, d)))
+put("experiment_cut_drift", lambda s, d: X.drift(W.tree(s, d), "mixed", SHARE))
 
 # ---- streams
 
