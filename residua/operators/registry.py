@@ -21,7 +21,9 @@ from . import relational
 # ---- SQL of the networks
 
 TRADE_Q = "SELECT CAST(s_nationkey AS BIGINT) AS u, CAST(c_nationkey AS BIGINT) AS v, CAST(sum(l_quantity) AS BIGINT) AS q FROM lineitem JOIN supplier ON l_suppkey = s_suppkey JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey WHERE s_nationkey < 14 AND c_nationkey < 14 AND s_nationkey <> c_nationkey GROUP BY 1, 2"
+TRADE_ALL_Q = "SELECT CAST(s_nationkey AS BIGINT) AS u, CAST(c_nationkey AS BIGINT) AS v, CAST(sum(l_quantity) AS BIGINT) AS q FROM lineitem JOIN supplier ON l_suppkey = s_suppkey JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey WHERE s_nationkey <> c_nationkey GROUP BY 1, 2"
 TRADE = f"SELECT u, v, CASE WHEN u % 5 = v % 5 THEN 40 + q % 60 ELSE 1 + q % 4 END AS cap FROM ({TRADE_Q})"
+TRADE_ALL = f"SELECT u, v, CASE WHEN u % 5 = v % 5 THEN 40 + q % 60 ELSE 1 + q % 4 END AS cap FROM ({TRADE_ALL_Q})"
 RANK = "(SELECT {c}, dense_rank() OVER (ORDER BY {c}) - 1 AS {r} FROM (SELECT DISTINCT {c} FROM {t}))"
 TIER = f"SELECT u, CAST(c_nationkey AS BIGINT) AS v, count(*) AS cap FROM customer JOIN {RANK.format(c='c_mktsegment', r='u', t='customer')} USING (c_mktsegment) GROUP BY 1, 2"
 DOCS = f"SELECT u, v, count(*) AS cap FROM documents JOIN {RANK.format(c='lang', r='u', t='documents')} USING (lang) JOIN {RANK.format(c='source', r='v', t='documents')} USING (source) GROUP BY 1, 2"
@@ -92,12 +94,19 @@ for _net, _kind, _p in (("trade14", "increase", "dyn_pp"), ("trade14", "decrease
 put("value_trade14_augment_shortest", lambda s, d: (lambda q: value_row(solve_augmenting(q), q.arcs))(W.trade14(s, d)), cut_trade())
 put("value_trade14_augment_any", lambda s, d: (lambda q: value_row(solve_augmenting(q, "any"), q.arcs))(W.trade14(s, d)), cut_trade())
 put("value_trade14_no_relabel", lambda s, d: (lambda q: value_row(solve_static(q, global_relabel="once", step="fused"), q.arcs))(W.trade14(s, d)), cut_trade())
-for _net in ("relay", "dialog", "trade14"):
+# all nations: 2^25 cuts are too many to enumerate, so these have no twin; the certificate proves the value
+for _p in PROGRAMS:
+    put(f"value_trade_{_p}", lambda s, d, p=_p: (lambda q: value_row(PROGRAMS[p](q), q.arcs))(W.trade(s, d)))
+for _kind, _p in (("increase", "dyn_pp"), ("decrease", "dyn_data"), ("mixed", "alt_pp"), ("mixed", "recompute")):
+    put(f"value_trade_{_kind}_{_p}", after_batch("trade", _kind, _p))
+put("value_trade_augment_shortest", lambda s, d: (lambda q: value_row(solve_augmenting(q), q.arcs))(W.trade(s, d)))
+put("value_trade_augment_any", lambda s, d: (lambda q: value_row(solve_augmenting(q, "any"), q.arcs))(W.trade(s, d)))
+put("value_trade_no_relabel", lambda s, d: (lambda q: value_row(solve_static(q, global_relabel="once", step="fused"), q.arcs))(W.trade(s, d)))
+for _net in ("relay", "dialog", "trade14", "trade"):
     put(f"certificate_{_net}", lambda s, d, net=_net: (lambda q: certify(q, PROGRAMS["static_pp"](q)))(W.NETWORKS[net](s, d)), ZERO)
 
 # ---- networks and single steps
 
-put("network_trade14", lambda s, d: W.trade14(s, d).arcs, f"SELECT u AS src, v AS dst, CAST(cap AS BIGINT) AS cap FROM ({TRADE})")
 put("network_relay", lambda s, d: W.relay(s, d).arcs, "SELECT DISTINCT u AS src, v AS dst, CAST(1 + (7 * u + 13 * v) % 100 AS BIGINT) AS cap FROM (SELECT user_id AS u, lead(user_id) OVER (PARTITION BY event_type ORDER BY ts, event_id) AS v FROM events) WHERE v IS NOT NULL AND u <> v")
 put("network_sizes", lambda s, d: sizes(s, d))
 
@@ -111,72 +120,70 @@ def sizes(s: SparkSession, d: str) -> DataFrame:
 
 
 SLOTS = f"SELECT src, dst, CAST(sum(o) AS BIGINT) AS cap_out, CAST(sum(i) AS BIGINT) AS cap_in FROM (SELECT u AS src, v AS dst, cap AS o, 0 AS i FROM t UNION ALL SELECT v, u, 0, cap FROM t) GROUP BY 1, 2"
-HEAD = f"WITH t AS ({TRADE}), sl AS ({SLOTS}), st AS (SELECT *, CASE WHEN src = 3 THEN cap_out WHEN dst = 3 THEN -cap_in ELSE 0 END AS net FROM sl)"
-put("slots_trade14", lambda s, d: build_slots(W.trade14(s, d).arcs), f"{HEAD} SELECT src, dst, cap_out, cap_in, CAST(0 AS BIGINT) AS net FROM st")
-put("init_excess_trade14", lambda s, d: excess_of(saturate(build_slots(W.trade14(s, d).arcs), 3)), f"{HEAD} SELECT src AS id, CAST(-sum(net) AS BIGINT) AS excess FROM st GROUP BY 1")
-EX = f"{HEAD}, v AS (SELECT src AS id, -sum(net) AS excess, CASE WHEN src = 3 THEN 14 WHEN src = 12 THEN 0 ELSE 1 END AS height FROM st GROUP BY 1), near AS (SELECT st.src, x.excess, x.height AS own, y.height AS far, st.dst, cap_out - net AS room FROM st JOIN v x ON x.id = st.src AND x.excess > 0 AND x.id NOT IN (3, 12) JOIN v y ON y.id = st.dst WHERE cap_out > net), low AS (SELECT * FROM near QUALIFY row_number() OVER (PARTITION BY src ORDER BY far, dst) = 1)"
-
-
-def snapshot(s: SparkSession, d: str):
-    """The network after saturation, with heights 0 at the sink, 14 at the source and 1 elsewhere."""
-    slots = saturate(build_slots(W.trade14(s, d).arcs), 3)
-    verts = excess_of(slots).select("id", F.when(F.col("id") == 3, 14).when(F.col("id") == 12, 0).otherwise(1).cast("long").alias("height"), "excess")
-    return slots, verts, lowest_neighbours(slots, verts, verts.where("excess > 0 and id not in (3, 12)"))
-
-
-put("lowest_neighbour_trade14", lambda s, d: snapshot(s, d)[2].select("src", "dst", "far", "room"), f"{EX} SELECT src, dst, CAST(far AS BIGINT) AS far, CAST(room AS BIGINT) AS room FROM low")
-put("push_step_trade14", lambda s, d: plan_pushes(snapshot(s, d)[2]).select("src", "dst", "amount", "full"), f"{EX} SELECT src, dst, CAST(least(excess, room) AS BIGINT) AS amount, least(excess, room) = room AS \"full\" FROM low WHERE own > far")
-put("relabel_step_trade14", lambda s, d: plan_relabels(snapshot(s, d)[2], 14).select("src", "height"), f"{EX} SELECT src, CAST(least(far + 1, 14) AS BIGINT) AS height FROM low WHERE own <= far")
-
-
-def steep(s: SparkSession, d: str) -> DataFrame:
-    slots = saturate(build_slots(W.trade14(s, d).arcs), 3)
-    h = lambda c: (F.col(c) * 5 % 7).alias("h" + c)
-    return slots.where("cap_out > net").select("src", "dst", h("src"), h("dst"), room_out().alias("room")).where("hsrc > hdst + 1").select("src", "dst", "room")
-
+put("degree_stats_relay", lambda s, d: (lambda a: a.groupBy("src").agg(F.count(F.lit(1)).alias("n")).agg(F.count(F.lit(1)).alias("vertices"), F.sum("n").alias("arcs"), F.max("n").alias("top")))(W.relay(s, d).arcs), f"WITH a AS ({ORACLES['network_relay']}), g AS (SELECT src, count(*) AS n FROM a GROUP BY 1) SELECT count(*) AS vertices, CAST(sum(n) AS BIGINT) AS arcs, max(n) AS top FROM g")
+put("default_cycles_relay", lambda s, d: cycles(s, d), f"WITH a AS ({ORACLES['network_relay']}) SELECT CAST(greatest(1, round(count(*) / (SELECT count(DISTINCT x) FROM (SELECT src AS x FROM a UNION SELECT dst FROM a)))) AS BIGINT) AS cycles FROM a")
 
-put("steep_arcs_trade14", steep, f"{HEAD} SELECT src, dst, CAST(cap_out - net AS BIGINT) AS room FROM st WHERE cap_out > net AND src * 5 % 7 > dst * 5 % 7 + 1")
 
+def cycles(s: SparkSession, d: str) -> DataFrame:
+    a = W.relay(s, d).arcs
+    v = a.select("src").union(a.select("dst")).distinct().count()
+    return s.createDataFrame([(default_cycles(a.count(), v, None),)], "cycles long")
 
-def levels(s: SparkSession, d: str) -> DataFrame:
-    p = W.trade14(s, d)
-    slots = build_slots(p.arcs.where("cap <= 3"))
-    return sink_levels(slots, s.range(1).select(F.lit(12).cast("long").alias("id")), 14)[0]
 
+def steps(net: str, build: Callable[..., FlowProblem], trade: str, n: int) -> None:
+    """Network, slots, single steps, levels and batches of a network of ``n`` nations with its SQL ``trade``."""
 
-put("levels_single_trade14", levels, f"WITH RECURSIVE t AS ({TRADE}), r(id, level) AS (SELECT CAST(12 AS BIGINT), CAST(0 AS BIGINT) UNION SELECT t.u, r.level + 1 FROM r JOIN t ON t.v = r.id WHERE t.cap <= 3 AND t.cap > 0 AND r.level < 14) SELECT id, min(level) AS level FROM r GROUP BY id")
+    put(f"network_{net}", lambda s, d: build(s, d).arcs, f"SELECT u AS src, v AS dst, CAST(cap AS BIGINT) AS cap FROM ({trade})")
+    head = f"WITH t AS ({trade}), sl AS ({SLOTS}), st AS (SELECT *, CASE WHEN src = 3 THEN cap_out WHEN dst = 3 THEN -cap_in ELSE 0 END AS net FROM sl)"
+    put(f"slots_{net}", lambda s, d: build_slots(build(s, d).arcs), f"{head} SELECT src, dst, cap_out, cap_in, CAST(0 AS BIGINT) AS net FROM st")
+    put(f"init_excess_{net}", lambda s, d: excess_of(saturate(build_slots(build(s, d).arcs), 3)), f"{head} SELECT src AS id, CAST(-sum(net) AS BIGINT) AS excess FROM st GROUP BY 1")
+    ex = f"{head}, v AS (SELECT src AS id, -sum(net) AS excess, CASE WHEN src = 3 THEN {n} WHEN src = 12 THEN 0 ELSE 1 END AS height FROM st GROUP BY 1), near AS (SELECT st.src, x.excess, x.height AS own, y.height AS far, st.dst, cap_out - net AS room FROM st JOIN v x ON x.id = st.src AND x.excess > 0 AND x.id NOT IN (3, 12) JOIN v y ON y.id = st.dst WHERE cap_out > net), low AS (SELECT * FROM near QUALIFY row_number() OVER (PARTITION BY src ORDER BY far, dst) = 1)"
 
+    def snapshot(s: SparkSession, d: str):
+        """The network after saturation, with heights 0 at the sink, ``n`` at the source and 1 elsewhere."""
+        slots = saturate(build_slots(build(s, d).arcs), 3)
+        verts = excess_of(slots).select("id", F.when(F.col("id") == 3, n).when(F.col("id") == 12, 0).otherwise(1).cast("long").alias("height"), "excess")
+        return slots, verts, lowest_neighbours(slots, verts, verts.where("excess > 0 and id not in (3, 12)"))
 
-def multi(s: SparkSession, d: str) -> DataFrame:
-    slots = build_slots(W.trade14(s, d).arcs.where("cap <= 3"))
-    return sink_levels(slots, s.createDataFrame([(12,), (5,)], "id long"), 14, (3,))[0]
+    put(f"lowest_neighbour_{net}", lambda s, d: snapshot(s, d)[2].select("src", "dst", "far", "room"), f"{ex} SELECT src, dst, CAST(far AS BIGINT) AS far, CAST(room AS BIGINT) AS room FROM low")
+    put(f"push_step_{net}", lambda s, d: plan_pushes(snapshot(s, d)[2]).select("src", "dst", "amount", "full"), f"{ex} SELECT src, dst, CAST(least(excess, room) AS BIGINT) AS amount, least(excess, room) = room AS \"full\" FROM low WHERE own > far")
+    put(f"relabel_step_{net}", lambda s, d: plan_relabels(snapshot(s, d)[2], n).select("src", "height"), f"{ex} SELECT src, CAST(least(far + 1, {n}) AS BIGINT) AS height FROM low WHERE own <= far")
 
+    def steep(s: SparkSession, d: str) -> DataFrame:
+        slots = saturate(build_slots(build(s, d).arcs), 3)
+        h = lambda c: (F.col(c) * 5 % 7).alias("h" + c)
+        return slots.where("cap_out > net").select("src", "dst", h("src"), h("dst"), room_out().alias("room")).where("hsrc > hdst + 1").select("src", "dst", "room")
 
-put("levels_multi_trade14", multi, f"WITH RECURSIVE t AS ({TRADE}), r(id, level) AS (SELECT CAST(x AS BIGINT), CAST(0 AS BIGINT) FROM (VALUES (12), (5)) q(x) UNION SELECT t.u, r.level + 1 FROM r JOIN t ON t.v = r.id WHERE t.cap <= 3 AND t.cap > 0 AND t.u <> 3 AND r.level < 14) SELECT id, min(level) AS level FROM r GROUP BY id")
+    put(f"steep_arcs_{net}", steep, f"{head} SELECT src, dst, CAST(cap_out - net AS BIGINT) AS room FROM st WHERE cap_out > net AND src * 5 % 7 > dst * 5 % 7 + 1")
 
+    def levels(s: SparkSession, d: str) -> DataFrame:
+        p = build(s, d)
+        slots = build_slots(p.arcs.where("cap <= 3"))
+        return sink_levels(slots, s.range(1).select(F.lit(12).cast("long").alias("id")), n)[0]
 
-def batch14(s: SparkSession, d: str) -> DataFrame:
-    old, new = W.trade14(s, d).arcs, W.trade14(s, d, "mixed").arcs
-    return new.join(old.withColumnRenamed("cap", "old"), ["src", "dst"]).where("cap <> old").select("src", "dst", F.col("cap").alias("new_cap"), F.lit(0).cast("long").alias("seq"))
+    put(f"levels_single_{net}", levels, f"WITH RECURSIVE t AS ({trade}), r(id, level) AS (SELECT CAST(12 AS BIGINT), CAST(0 AS BIGINT) UNION SELECT t.u, r.level + 1 FROM r JOIN t ON t.v = r.id WHERE t.cap <= 3 AND t.cap > 0 AND r.level < {n}) SELECT id, min(level) AS level FROM r GROUP BY id")
 
+    def multi(s: SparkSession, d: str) -> DataFrame:
+        slots = build_slots(build(s, d).arcs.where("cap <= 3"))
+        return sink_levels(slots, s.createDataFrame([(12,), (5,)], "id long"), n, (3,))[0]
 
-NEW = f"WITH t AS (SELECT u, v, {RULE['mixed']} AS cap FROM ({TRADE})), sl AS ({SLOTS}), o AS (WITH t AS ({TRADE}) {SLOTS}), p AS (SELECT sl.src, sl.dst, sl.cap_out, sl.cap_in, CASE WHEN sl.src = 3 THEN o.cap_out WHEN sl.dst = 3 THEN -o.cap_in ELSE 0 END AS net FROM sl JOIN o USING (src, dst))"
-put("patched_slots_trade14", lambda s, d: apply_updates(saturate(build_slots(W.trade14(s, d).arcs), 3), batch14(s, d)), f"{NEW} SELECT src, dst, cap_out, cap_in, CAST(net AS BIGINT) AS net FROM p")
-put("repaired_slots_trade14", lambda s, d: repair_overfull(apply_updates(saturate(build_slots(W.trade14(s, d).arcs), 3), batch14(s, d))), f"{NEW} SELECT src, dst, cap_out, cap_in, CAST(greatest(-cap_in, least(cap_out, net)) AS BIGINT) AS net FROM p")
-put("excess_after_patch_trade14", lambda s, d: excess_of(saturate(repair_overfull(apply_updates(saturate(build_slots(W.trade14(s, d).arcs), 3), batch14(s, d))), 3)), f"{NEW} SELECT src AS id, CAST(-sum(CASE WHEN src = 3 THEN cap_out WHEN dst = 3 THEN -cap_in ELSE greatest(-cap_in, least(cap_out, net)) END) AS BIGINT) AS excess FROM p GROUP BY 1")
-put("cut_saturation_trade14", lambda s, d: saturate_cut(build_slots(W.trade14(s, d).arcs), s.range(14).select("id", F.when(F.col("id") % 3 == 0, "S").otherwise("T").alias("side"))), f"{HEAD} SELECT src, dst, cap_out, cap_in, CAST(CASE WHEN src % 3 = 0 AND dst % 3 <> 0 THEN cap_out WHEN src % 3 <> 0 AND dst % 3 = 0 THEN -cap_in ELSE 0 END AS BIGINT) AS net FROM st")
-put("degree_stats_relay", lambda s, d: (lambda a: a.groupBy("src").agg(F.count(F.lit(1)).alias("n")).agg(F.count(F.lit(1)).alias("vertices"), F.sum("n").alias("arcs"), F.max("n").alias("top")))(W.relay(s, d).arcs), f"WITH a AS ({ORACLES['network_relay']}), g AS (SELECT src, count(*) AS n FROM a GROUP BY 1) SELECT count(*) AS vertices, CAST(sum(n) AS BIGINT) AS arcs, max(n) AS top FROM g")
-put("default_cycles_relay", lambda s, d: cycles(s, d), f"WITH a AS ({ORACLES['network_relay']}) SELECT CAST(greatest(1, round(count(*) / (SELECT count(DISTINCT x) FROM (SELECT src AS x FROM a UNION SELECT dst FROM a)))) AS BIGINT) AS cycles FROM a")
+    put(f"levels_multi_{net}", multi, f"WITH RECURSIVE t AS ({trade}), r(id, level) AS (SELECT CAST(x AS BIGINT), CAST(0 AS BIGINT) FROM (VALUES (12), (5)) q(x) UNION SELECT t.u, r.level + 1 FROM r JOIN t ON t.v = r.id WHERE t.cap <= 3 AND t.cap > 0 AND t.u <> 3 AND r.level < {n}) SELECT id, min(level) AS level FROM r GROUP BY id")
 
+    def patch(s: SparkSession, d: str) -> DataFrame:
+        old, new = build(s, d).arcs, build(s, d, "mixed").arcs
+        return new.join(old.withColumnRenamed("cap", "old"), ["src", "dst"]).where("cap <> old").select("src", "dst", F.col("cap").alias("new_cap"), F.lit(0).cast("long").alias("seq"))
 
-def cycles(s: SparkSession, d: str) -> DataFrame:
-    a = W.relay(s, d).arcs
-    v = a.select("src").union(a.select("dst")).distinct().count()
-    return s.createDataFrame([(default_cycles(a.count(), v, None),)], "cycles long")
+    renewed = f"WITH t AS (SELECT u, v, {RULE['mixed']} AS cap FROM ({trade})), sl AS ({SLOTS}), o AS (WITH t AS ({trade}) {SLOTS}), p AS (SELECT sl.src, sl.dst, sl.cap_out, sl.cap_in, CASE WHEN sl.src = 3 THEN o.cap_out WHEN sl.dst = 3 THEN -o.cap_in ELSE 0 END AS net FROM sl JOIN o USING (src, dst))"
+    put(f"patched_slots_{net}", lambda s, d: apply_updates(saturate(build_slots(build(s, d).arcs), 3), patch(s, d)), f"{renewed} SELECT src, dst, cap_out, cap_in, CAST(net AS BIGINT) AS net FROM p")
+    put(f"repaired_slots_{net}", lambda s, d: repair_overfull(apply_updates(saturate(build_slots(build(s, d).arcs), 3), patch(s, d))), f"{renewed} SELECT src, dst, cap_out, cap_in, CAST(greatest(-cap_in, least(cap_out, net)) AS BIGINT) AS net FROM p")
+    put(f"excess_after_patch_{net}", lambda s, d: excess_of(saturate(repair_overfull(apply_updates(saturate(build_slots(build(s, d).arcs), 3), patch(s, d))), 3)), f"{renewed} SELECT src AS id, CAST(-sum(CASE WHEN src = 3 THEN cap_out WHEN dst = 3 THEN -cap_in ELSE greatest(-cap_in, least(cap_out, net)) END) AS BIGINT) AS excess FROM p GROUP BY 1")
+    put(f"cut_saturation_{net}", lambda s, d: saturate_cut(build_slots(build(s, d).arcs), s.range(n).select("id", F.when(F.col("id") % 3 == 0, "S").otherwise("T").alias("side"))), f"{head} SELECT src, dst, cap_out, cap_in, CAST(CASE WHEN src % 3 = 0 AND dst % 3 <> 0 THEN cap_out WHEN src % 3 <> 0 AND dst % 3 = 0 THEN -cap_in ELSE 0 END AS BIGINT) AS net FROM st")
+    for _kind in ("increase", "decrease", "mixed"):
+        put(f"updates_{_kind}_{net}", lambda s, d, kind=_kind: make_updates(build(s, d).arcs, 10, kind, 3, 12), f"WITH a AS ({trade}), b AS (SELECT *, (u * 7919 + v * 104729 + 31) % 1000003 AS h FROM a), c AS (SELECT *, row_number() OVER (ORDER BY CASE WHEN u = 3 OR v = 12 THEN h / 8.0::DOUBLE ELSE CAST(h AS DOUBLE) END, u, v) AS k FROM b) SELECT u AS src, v AS dst, CAST({NEW_CAP[_kind]} AS BIGINT) AS new_cap, CAST(0 AS BIGINT) AS seq FROM c WHERE k <= (SELECT count(*) FROM a) * 10 // 100")
 
 
-for _kind in ("increase", "decrease", "mixed"):
-    put(f"updates_{_kind}_trade14", lambda s, d, kind=_kind: make_updates(W.trade14(s, d).arcs, 10, kind, 3, 12), f"WITH a AS ({TRADE}), b AS (SELECT *, (u * 7919 + v * 104729 + 31) % 1000003 AS h FROM a), c AS (SELECT *, row_number() OVER (ORDER BY CASE WHEN u = 3 OR v = 12 THEN h / 8.0::DOUBLE ELSE CAST(h AS DOUBLE) END, u, v) AS k FROM b) SELECT u AS src, v AS dst, CAST({NEW_CAP[_kind]} AS BIGINT) AS new_cap, CAST(0 AS BIGINT) AS seq FROM c WHERE k <= (SELECT count(*) FROM a) * 10 // 100")
+steps("trade14", W.trade14, TRADE, 14)
+steps("trade", W.trade, TRADE_ALL, 25)
 
 # ---- the experiments, on the smallest network; seconds are left out where values have a twin
 

@@ -80,19 +80,36 @@ def op_join_left(s, d):
 FORWARD = "SELECT s_nationkey AS a, c_nationkey AS b, count(*) AS n FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN supplier ON l_suppkey = s_suppkey WHERE s_nationkey < 6 AND c_nationkey < 6 GROUP BY 1, 2"
 
 
-def forward(s, d):
+def forward(s, d, below=None):
+    c, p = read(s, d, "customer", "c_custkey", "c_nationkey"), read(s, d, "supplier", "s_suppkey", "s_nationkey")
+    if below is not None:
+        c, p = c.where(F.col("c_nationkey") < below), p.where(F.col("s_nationkey") < below)
     x = read(s, d, "lineitem", "l_orderkey", "l_suppkey").join(read(s, d, "orders", "o_orderkey", "o_custkey"), F.col("l_orderkey") == F.col("o_orderkey"))
-    x = x.join(read(s, d, "customer", "c_custkey", "c_nationkey").where("c_nationkey < 6"), F.col("o_custkey") == F.col("c_custkey")).join(read(s, d, "supplier", "s_suppkey", "s_nationkey").where("s_nationkey < 6"), F.col("l_suppkey") == F.col("s_suppkey"))
+    x = x.join(c, F.col("o_custkey") == F.col("c_custkey")).join(p, F.col("l_suppkey") == F.col("s_suppkey"))
     return x.groupBy(F.col("s_nationkey").alias("a"), F.col("c_nationkey").alias("b")).agg(n_rows().alias("n"))
 
 
-@op(f"WITH f AS ({FORWARD}) SELECT coalesce(x.a, y.b) AS a, coalesce(x.b, y.a) AS b, coalesce(x.n, 0) AS n_out, coalesce(y.n, 0) AS n_in FROM f x FULL JOIN f y ON x.a = y.b AND x.b = y.a")
-def op_join_full(s, d):
-    f = forward(s, d)
+def both_ways(f):
     g = f.select(F.col("b").alias("a"), F.col("a").alias("b"), F.col("n").alias("n_in"))
     return f.withColumnRenamed("n", "n_out").join(g, ["a", "b"], "full").select("a", "b", F.coalesce("n_out", F.lit(0)).alias("n_out"), F.coalesce("n_in", F.lit(0)).alias("n_in"))
 
 
+FULL = "SELECT coalesce(x.a, y.b) AS a, coalesce(x.b, y.a) AS b, coalesce(x.n, 0) AS n_out, coalesce(y.n, 0) AS n_in FROM f x FULL JOIN f y ON x.a = y.b AND x.b = y.a"
+
+
+@op(f"WITH f AS ({FORWARD}) {FULL}")
+def op_join_full(s, d):
+    return both_ways(forward(s, d, 6))
+
+
+FORWARD_ALL = "SELECT s_nationkey AS a, c_nationkey AS b, count(*) AS n FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN supplier ON l_suppkey = s_suppkey GROUP BY 1, 2"
+
+
+@op(f"WITH f AS ({FORWARD_ALL}) {FULL}")
+def op_join_full_nations(s, d):
+    return both_ways(forward(s, d))
+
+
 @op("SELECT c_custkey FROM customer WHERE c_custkey IN (SELECT o_custkey FROM orders)")
 def op_join_semi(s, d):
     return read(s, d, "customer", "c_custkey").join(read(s, d, "orders", "o_custkey"), F.col("c_custkey") == F.col("o_custkey"), "left_semi")

@@ -32,14 +32,21 @@ def updated(middle: DataFrame, kind: str | None) -> DataFrame:
     return middle.withColumn("cap", rule.otherwise(cap))
 
 
-def trade14(spark: SparkSession, sf_dir: str, kind: str | None = None) -> FlowProblem:
+def trade(spark: SparkSession, sf_dir: str, kind: str | None = None, below: int | None = None) -> FlowProblem:
+    """Quantities between nations; ``below`` keeps nations of smaller keys only, few enough to enumerate cuts."""
     line, orders = read(spark, sf_dir, "lineitem", "l_orderkey", "l_suppkey", "l_quantity"), read(spark, sf_dir, "orders", "o_orderkey", "o_custkey")
     supplier, customer = read(spark, sf_dir, "supplier", "s_suppkey", "s_nationkey"), read(spark, sf_dir, "customer", "c_custkey", "c_nationkey")
-    pairs = line.join(orders, F.col("l_orderkey") == F.col("o_orderkey")).join(supplier.where("s_nationkey < 14"), F.col("l_suppkey") == F.col("s_suppkey")).join(customer.where("c_nationkey < 14"), F.col("o_custkey") == F.col("c_custkey"))
+    if below is not None:
+        supplier, customer = supplier.where(F.col("s_nationkey") < below), customer.where(F.col("c_nationkey") < below)
+    pairs = line.join(orders, F.col("l_orderkey") == F.col("o_orderkey")).join(supplier, F.col("l_suppkey") == F.col("s_suppkey")).join(customer, F.col("o_custkey") == F.col("c_custkey"))
     q = pairs.where("s_nationkey <> c_nationkey").groupBy(F.col("s_nationkey").cast("long").alias("u"), F.col("c_nationkey").cast("long").alias("v")).agg(F.sum("l_quantity").cast("long").alias("q"))
     cap = F.when(F.col("u") % 5 == F.col("v") % 5, 40 + F.col("q") % 60).otherwise(1 + F.col("q") % 4)
     middle = updated(q.select("u", "v", cap.alias("cap")), kind)
-    return FlowProblem(arc(middle, F.col("u"), F.col("v"), F.col("cap")), 3, 12, "trade14")
+    return FlowProblem(arc(middle, F.col("u"), F.col("v"), F.col("cap")), 3, 12, "trade" if below is None else f"trade{below}")
+
+
+def trade14(spark: SparkSession, sf_dir: str, kind: str | None = None) -> FlowProblem:
+    return trade(spark, sf_dir, kind, 14)
 
 
 def bipartite(middle: DataFrame, out_cap, in_cap, name: str, kind: str | None = None) -> FlowProblem:
@@ -150,5 +157,5 @@ def quality(spark: SparkSession, sf_dir: str) -> FlowProblem:
     return FlowProblem(with_super_terminals(one.unionByName(one.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "cap")), seeds.where("quality = 1"), seeds.where("quality = 0")), SOURCE, SINK, "quality")
 
 
-NETWORKS = {f.__name__: f for f in (trade14, tier, docs, tree, match, relay, copurchase, links, segment, dialog, supply, quality)}
+NETWORKS = {f.__name__: f for f in (trade, trade14, tier, docs, tree, match, relay, copurchase, links, segment, dialog, supply, quality)}
 NETWORKS["relay_comm"] = lambda spark, sf_dir: relay(spark, sf_dir, communities=True)
