@@ -28,6 +28,7 @@ RANK = "(SELECT {c}, dense_rank() OVER (ORDER BY {c}) - 1 AS {r} FROM (SELECT DI
 TIER = f"SELECT u, CAST(c_nationkey AS BIGINT) AS v, count(*) AS cap FROM customer JOIN {RANK.format(c='c_mktsegment', r='u', t='customer')} USING (c_mktsegment) GROUP BY 1, 2"
 DOCS = f"SELECT u, v, count(*) AS cap FROM documents JOIN {RANK.format(c='lang', r='u', t='documents')} USING (lang) JOIN {RANK.format(c='source', r='v', t='documents')} USING (source) GROUP BY 1, 2"
 MATCH = f"SELECT DISTINCT u, user_id AS v, CAST(1 AS BIGINT) AS cap FROM events JOIN {RANK.format(c='event_type', r='u', t='events')} USING (event_type) WHERE event_id % 61 = 0"
+MATCH_ALL = f"SELECT DISTINCT u, user_id AS v, CAST(1 AS BIGINT) AS cap FROM events JOIN {RANK.format(c='event_type', r='u', t='events')} USING (event_type)"
 RULE = {
     None: "cap",
     "increase": "CASE WHEN (7*u+11*v) % 4 = 0 THEN cap + 1 + (31*u+17*v) % 100 ELSE cap END",
@@ -52,6 +53,7 @@ CLOSED = {
     "tier": lambda kind=None: cut_bipartite(TIER, "(m * (1 + 2 * u)) // 4", "(m * (1 + v % 4)) // 3", kind),
     "docs": lambda kind=None: cut_bipartite(DOCS, "(m * (1 + u)) // 2", "(m * (1 + v % 3)) // 2", kind),
     "match": lambda kind=None: cut_bipartite(MATCH, "(m * (1 + 2 * u)) // 8", "1", kind),
+    "match_events": lambda kind=None: cut_bipartite(MATCH_ALL, "(m * (1 + 2 * u)) // 8", "1", kind),
     "tree": lambda kind=None: f"SELECT CAST(sum(value) AS BIGINT) AS value, CAST(sum(value) AS BIGINT) AS cut_capacity FROM ({relational.ORACLES['op_udaf']})",
 }
 ZERO = "SELECT CAST(0 AS BIGINT) AS capacity_violations, CAST(0 AS BIGINT) AS conservation_violations, CAST(0 AS BIGINT) AS cut_gap"
@@ -68,7 +70,7 @@ def put(name: str, query: Callable, sql: str | None = None) -> None:
 
 # ---- values from scratch, after batches, of baselines
 
-for _net, _programs in {"tier": ("static_topo", "static_data", "static_pp"), "trade14": ("static_topo", "static_data", "static_pp"), "tree": ("static_data",), "docs": ("static_pp",), "match": ("static_data",)}.items():
+for _net, _programs in {"tier": ("static_topo", "static_data", "static_pp"), "trade14": ("static_topo", "static_data", "static_pp"), "tree": ("static_data",), "docs": ("static_pp",), "match": ("static_data",), "match_events": ("static_data",)}.items():
     for _p in _programs:
         put(f"value_{_net}_{_p}", lambda s, d, net=_net, p=_p: (lambda q: value_row(PROGRAMS[p](q), q.arcs))(W.NETWORKS[net](s, d)), CLOSED[_net]())
 
@@ -108,6 +110,7 @@ for _net in ("relay", "dialog", "trade14", "trade"):
 # ---- networks and single steps
 
 put("network_relay", lambda s, d: W.relay(s, d).arcs, "SELECT DISTINCT u AS src, v AS dst, CAST(1 + (7 * u + 13 * v) % 100 AS BIGINT) AS cap FROM (SELECT user_id AS u, lead(user_id) OVER (PARTITION BY event_type ORDER BY ts, event_id) AS v FROM events) WHERE v IS NOT NULL AND u <> v")
+put("network_segment", lambda s, d: W.segment(s, d).arcs)
 put("network_sizes", lambda s, d: sizes(s, d))
 
 

@@ -2,10 +2,16 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from .graph import SINK, SOURCE, FlowProblem, with_super_terminals
+from .lineage import cut
 from .sources.tables import read
 
 
@@ -76,10 +82,16 @@ def tree(spark: SparkSession, sf_dir: str) -> FlowProblem:
     return FlowProblem(with_super_terminals(arc(d, node(1, "n_regionkey"), node(2, "n_nationkey"), F.col("d")), first, last), SOURCE, SINK, "tree")
 
 
-def match(spark: SparkSession, sf_dir: str) -> FlowProblem:
+def match_events(spark: SparkSession, sf_dir: str, every: int = 1) -> FlowProblem:
+    """Event types matched to users; with ``every`` only events whose id it divides."""
     events = read(spark, sf_dir, "events", "event_id", "user_id", "event_type")
-    pairs = events.where("event_id % 61 = 0").select("event_type", "user_id").distinct().join(ranked(events, "event_type", "u"), "event_type").select(F.col("u").cast("long"), F.col("user_id").alias("v"), F.lit(1).cast("long").alias("cap"))
-    return bipartite(pairs, lambda p, i: F.floor(p * (1 + 2 * i) / 8), lambda p, v: F.lit(1), "match")
+    taken = events.where(F.col("event_id") % every == 0) if every > 1 else events
+    pairs = taken.select("event_type", "user_id").distinct().join(ranked(events, "event_type", "u"), "event_type").select(F.col("u").cast("long"), F.col("user_id").alias("v"), F.lit(1).cast("long").alias("cap"))
+    return bipartite(pairs, lambda p, i: F.floor(p * (1 + 2 * i) / 8), lambda p, v: F.lit(1), "match_events" if every == 1 else "match")
+
+
+def match(spark: SparkSession, sf_dir: str) -> FlowProblem:
+    return match_events(spark, sf_dir, 61)
 
 
 def relay(spark: SparkSession, sf_dir: str, communities: bool = False) -> FlowProblem:
@@ -116,13 +128,45 @@ def links(spark: SparkSession, sf_dir: str) -> FlowProblem:
     return FlowProblem(arcs, 1 << 40, (1 << 40) + n - 1, "links")
 
 
+def nearest(rows: DataFrame, near: int, block: int = 1024) -> DataFrame:
+    """``(u, v, dot)``: for each vector of ``rows(u, x)`` the ``near`` others of its length with the largest inner product, over all rows.
+
+    Blocks of vectors meet as matrices, so no pair of rows is formed; each block keeps its best before the best of all are taken.
+    """
+    packed = T.StructType([T.StructField("dims", T.IntegerType()), T.StructField("ids", T.BinaryType()), T.StructField("data", T.BinaryType())])
+    found = T.StructType([T.StructField("u", T.LongType()), T.StructField("v", T.LongType()), T.StructField("dot", T.DoubleType())])
+
+    def pack(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in it:
+            by: dict[int, list] = {}
+            for i, x in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                by.setdefault(len(x), []).append((i, x))
+            for dims, own in by.items():
+                for k in range(0, len(own), block):
+                    ids, data = zip(*own[k : k + block], strict=True)
+                    yield pa.RecordBatch.from_arrays([pa.array([dims], pa.int32()), pa.array([np.array(ids, np.int64).tobytes()], pa.binary()), pa.array([np.array(data, np.float64).tobytes()], pa.binary())], names=packed.names)
+
+    def meet(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in it:
+            for dims, ids, data, other, more in zip(*(batch.column(k).to_pylist() for k in range(5)), strict=True):
+                u, v = np.frombuffer(ids, np.int64), np.frombuffer(other, np.int64)
+                x, y = np.frombuffer(data).reshape(-1, dims), np.frombuffer(more).reshape(-1, dims)
+                dots = np.where(u[:, None] == v, -np.inf, x @ y.T)
+                floor = np.partition(dots, max(0, len(v) - near), axis=1)[:, max(0, len(v) - near), None]
+                i, j = np.nonzero((dots >= floor - 1e-9 * (1 + np.abs(np.where(np.isinf(floor), 0, floor)))) & ~np.isinf(dots))  # with all that tie, up to rounding
+                yield pa.RecordBatch.from_arrays([pa.array(u[i]), pa.array(v[j]), pa.array((x[i] * y[j]).sum(axis=1))], names=found.names)
+
+    one = cut(rows.mapInArrow(pack, packed))
+    two = one.select("dims", F.col("ids").alias("other"), F.col("data").alias("more"))
+    pairs = one.join(two, "dims").select("dims", "ids", "data", "other", "more").repartition(F.xxhash64("ids"), F.xxhash64("other")).mapInArrow(meet, found)
+    return pairs.withColumn("r", F.row_number().over(Window.partitionBy("u").orderBy(F.desc("dot"), "v"))).where(F.col("r") <= near).drop("r")
+
+
 def segment(spark: SparkSession, sf_dir: str, near: int = 5, seed_cap: int = 1000) -> FlowProblem:
-    """Neighbours by inner product inside blocks of ids, similarity as weight; labels 0 and 1 seed the two sides."""
-    rows = read(spark, sf_dir, "embeddings", "vec_id", "embedding", "label").withColumn("block", F.col("vec_id") % 50)
-    a, b = rows.select("block", F.col("vec_id").alias("u"), F.col("embedding").alias("x")), rows.select("block", F.col("vec_id").alias("v"), F.col("embedding").alias("y"))
-    dot = F.aggregate(F.zip_with("x", "y", lambda p, q: p.cast("double") * q.cast("double")), F.lit(0.0), lambda s, p: s + p)
-    pairs = a.join(b, "block").where("u <> v").select("u", "v", dot.alias("dot"))
-    top = pairs.withColumn("r", F.row_number().over(Window.partitionBy("u").orderBy(F.desc("dot"), "v"))).where(F.col("r") <= near)
+    """Neighbours by inner product over all vectors, similarity as weight; labels 0 and 1 seed the two sides. Of a repeated id the least row counts."""
+    rows = read(spark, sf_dir, "embeddings", "vec_id", "embedding", "label").where("vec_id is not null and embedding is not null")
+    rows = rows.groupBy("vec_id").agg(F.min(F.struct("embedding", "label")).alias("r")).select("vec_id", "r.*")
+    top = nearest(rows.select(F.col("vec_id").alias("u"), F.col("embedding").alias("x")), near)
     one = arc(top, F.col("u"), F.col("v"), F.greatest(F.lit(0), F.floor(100 * F.col("dot"))))
     both = one.unionByName(one.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "cap"))
     seeds = rows.select(F.col("vec_id").alias("id"), F.lit(seed_cap).cast("long").alias("cap"), "label")
@@ -157,5 +201,5 @@ def quality(spark: SparkSession, sf_dir: str) -> FlowProblem:
     return FlowProblem(with_super_terminals(one.unionByName(one.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "cap")), seeds.where("quality = 1"), seeds.where("quality = 0")), SOURCE, SINK, "quality")
 
 
-NETWORKS = {f.__name__: f for f in (trade, trade14, tier, docs, tree, match, relay, copurchase, links, segment, dialog, supply, quality)}
+NETWORKS = {f.__name__: f for f in (trade, trade14, tier, docs, tree, match_events, match, relay, copurchase, links, segment, dialog, supply, quality)}
 NETWORKS["relay_comm"] = lambda spark, sf_dir: relay(spark, sf_dir, communities=True)

@@ -3,6 +3,7 @@
 import random
 from collections import Counter
 
+import numpy as np
 import pytest
 
 from residua import workloads as W
@@ -44,3 +45,26 @@ def test_join_full_over_all_nations(spark, traded):
     n = Counter((u, v) for u, v, _ in rows)
     want = {(u, v, n[u, v], n[v, u]) for u, v in n} | {(v, u, n[v, u], n[u, v]) for u, v in n}
     assert {tuple(r) for r in registry.queries()["op_join_full_nations"](spark, d).collect()} == want
+
+
+def test_match_over_all_events(spark, tmp_path):
+    events = [(k + 1, u, "ab"[(u + k) % 2]) for k, u in enumerate((5, 6, 7, 8, 9, 5, 6))]
+    spark.createDataFrame(events, "event_id long, user_id long, event_type string").write.parquet(f"{tmp_path}/events.parquet")
+    pairs = {("ab".index(t), u) for _, u, t in events}
+    held = Counter(i for i, _ in pairs)
+    arcs = [(-1, 100 + i, n * (1 + 2 * i) // 8) for i, n in held.items()] + [(100 + i, u, 1) for i, u in pairs] + [(u, -2, 1) for u in {u for _, u in pairs}]
+    assert tuple(registry.queries()["value_match_events_static_data"](spark, str(tmp_path)).first()) == (smallest_cut(arcs, -1, -2),) * 2
+
+
+def test_segment_over_all_vectors(spark, tmp_path):
+    rng = np.random.default_rng(2)
+    x = rng.standard_normal((130, 8)).astype(np.float32)
+    x[100:] = x[7]
+    spark.createDataFrame([(i, v.tolist(), i % 3) for i, v in enumerate(x)], "vec_id long, embedding array<float>, label int").write.parquet(f"{tmp_path}/embeddings.parquet")
+    dots = (x[:, None].astype(float) * x[None].astype(float)).sum(axis=2)
+    want = {(i, int(j)) for i in range(130) for j in [k for k in np.lexsort((np.arange(130), -dots[i])) if k != i][:5]}
+    rows = spark.read.parquet(f"{tmp_path}/embeddings.parquet").selectExpr("vec_id as u", "embedding as x")
+    for block in (1024, 16):
+        assert {(r.u, r.v) for r in W.nearest(rows, 5, block).collect()} == want
+    got = {(r.src, r.dst) for r in W.segment(spark, str(tmp_path)).arcs.where("src >= 0 and dst >= 0").collect()}
+    assert got == want | {(j, i) for i, j in want}
