@@ -63,6 +63,28 @@ def test_licenses(spark):
             assert (brute.best(line.split()) is not None) == (best >= brute.least)
 
 
+def test_licenses_wrapped_and_embedded(spark):
+    rng, wrap = random.Random(6), lambda t, n: re.sub("(.{%d}[^ ]*) " % n, "\\1\n# ", t)
+    prose = lambda n: " ".join(rng.choice(["the", "of", "license", "free", "blue", "house", "under"]) + rng.choice(["", "s", "x"]) for _ in range(n))
+    named = dict(licenses.FULL_TEXTS)
+    notice = licenses.TEMPLATES[5][1]
+    full = {n: " ".join(named[n].split()) for n in ("GPL-3.0", "Apache-2.0", "MIT")}
+    rows = [(1, prose(300) + "\n# " + wrap(notice, 30) + "\n" + prose(300)), (2, prose(80) + " Released under the MIT License. " + prose(80)), (3, prose(900) + "\n" + wrap(full["GPL-3.0"], 50) + "\n" + prose(9000)), (4, full["Apache-2.0"]), (5, prose(200) + wrap(full["MIT"], 25) + prose(200)), (6, prose(2000)), (7, prose(50) + "\nReleased\nunder the\nMIT License." * 40)]
+    got = {r.doc_id: r for r in licenses.scan_licenses(docs(spark, rows)).collect()}
+    want = {1: "Apache-2.0", 2: "MIT", 3: "GPL-3.0", 4: "Apache-2.0", 5: "MIT", 6: "", 7: "MIT"}
+    assert {i: r.licenses for i, r in got.items()} == want and got[1].hits.startswith("2:") and got[7].n_hits == 40
+    own = licenses.Matcher(licenses.TEMPLATES[:2] + licenses.TEMPLATES[4:5])
+    for _ in range(300):  # a run is found where there is one
+        words = [rng.choice(["released", "licensed", "under", "the", "mit", "apache", "license", "version", "2", "0"]) for _ in range(3)]
+        words += licenses.normal(rng.choice(own_texts := [t for _, t in licenses.TEMPLATES[:2] + licenses.TEMPLATES[4:5]])).split()
+        words[rng.randrange(len(words))] = rng.choice(["x", "the"])
+        words += licenses.normal(rng.choice(own_texts)).split()[: rng.randint(0, 5)]
+        runs = [licenses.bigrams(words[i:j]) for i in range(len(words)) for j in range(i + 2, len(words) + 1)]
+        best = max(2 * len(g & t.grams) / (len(g) + len(t.grams)) for g in runs for t in own.templates)
+        top = max((h[2] for h in own.scan(" ".join(words))), default=0)
+        assert (top >= 0.8) == (best >= 0.8) and top <= best
+
+
 def removed(texts, length=200):
     data = [(t or "").encode() for t in texts]
     seen = Counter(d[i : i + length] for d in data for i in range(len(d) - length + 1))
