@@ -20,6 +20,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from .common import cut
 from .vectors import matrix, sample, usable, width
 
 
@@ -38,17 +39,18 @@ def nearest(x: np.ndarray, c: np.ndarray) -> np.ndarray:
     return ((c * c).sum(axis=1) - 2 * x @ c.T).argmin(axis=1)
 
 
-def walk(first: np.ndarray, second: np.ndarray, held: np.ndarray, goal: float) -> list[int]:
-    """Cells in order of the summed shortfall of their two centroids until they hold ``goal`` rows."""
+def walk(first: np.ndarray, second: np.ndarray, held: np.ndarray, goal: float, owned: np.ndarray, least: float) -> list[int]:
+    """Cells in order of the summed shortfall of their two centroids until they hold ``goal`` rows and ``least`` in ``owned``."""
     a, b = np.argsort(first, kind="stable"), np.argsort(second, kind="stable")
-    out, got, seen = [], 0, {(0, 0)}
+    out, got, ids, seen = [], 0, 0.0, {(0, 0)}
     heap = [(first[a[0]] + second[b[0]], 0, 0)]
-    while heap and got < goal:
+    while heap and (got < goal or ids < least - 1e-6):
         _, i, j = heapq.heappop(heap)
         cell = int(a[i]) * len(second) + int(b[j])
         if held[cell]:
             out.append(cell)
             got += int(held[cell])
+            ids += owned[cell]
         for p, q in ((i + 1, j), (i, j + 1)):
             if p < len(a) and q < len(b) and (p, q) not in seen:
                 seen.add((p, q))
@@ -72,7 +74,8 @@ def search(rows: DataFrame, is_query: Column, k: int = 20, key: str = "vec_id",
     dims = width(rows, "v")
     if not dims:
         return rows.sparkSession.createDataFrame([], fields(query_id=T.LongType(), rank=T.IntegerType(), vec_id=T.LongType(), score=T.DoubleType()))
-    rows = rows.where(F.size("v") == dims)
+    # repeated rows are one; an id may keep several vectors
+    rows = cut(rows.where(F.size("v") == dims).groupBy("id", "v").agg(F.bool_or("q").alias("q")))
     half = max(1, dims // 2)
     fit = sample(rows, "v", most_fit)
     one = centroids(fit[:, :half], codes)
@@ -89,13 +92,19 @@ def search(rows: DataFrame, is_query: Column, k: int = 20, key: str = "vec_id",
     counts = {r.cell: r.n for r in placed.groupBy("cell").agg(F.count(F.lit(1)).alias("n")).collect()}  # at most codes^2 rows
     held = np.zeros(len(one) * wide, np.int64)
     held[list(counts)] = list(counts.values())
+    # ids by cell, an id of several vectors in shares that sum to 1: cells walked hold at least as many distinct ids
+    several = placed.groupBy("id").agg(F.count(F.lit(1)).alias("all")).where(F.col("all") > 1)
+    spread = placed.groupBy("id", "cell").agg(F.count(F.lit(1)).alias("n")).join(several, "id")
+    owned = held.astype(np.float64)
+    for r in spread.groupBy("cell").agg(F.sum("n").alias("n"), F.sum(F.col("n") / F.col("all")).alias("ids")).collect():
+        owned[r.cell] += r.ids - r.n
     # crowded cells first, each to the part that has least
     part_of, load = np.zeros(len(held), np.int64), [0] * parts
     for cell in np.argsort(-held, kind="stable").tolist():
         part_of[cell] = p = load.index(min(load))
         load[p] += int(held[cell])
     chunks = [max(1, -(-n // chunk)) for n in load]
-    goal = max(share * held.sum(), min(k + 1, held.sum()))
+    goal, least = share * held.sum(), min(k + 1, owned.sum())
 
     def ask(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in it:
@@ -103,7 +112,7 @@ def search(rows: DataFrame, is_query: Column, k: int = 20, key: str = "vec_id",
             s1, s2 = x[:, :half] @ one.T, (x[:, half:] @ two.T if dims > half else np.zeros((len(x), 1)))
             at, part, piece, mine = [], [], [], []
             for k_, (a, b) in enumerate(zip(s1.max(axis=1, keepdims=True) - s1, s2.max(axis=1, keepdims=True) - s2, strict=True)):
-                found = np.array(walk(a, b, held, goal), np.int32)
+                found = np.array(walk(a, b, held, goal, owned, least), np.int32)
                 for p in np.unique(part_of[found]).tolist():
                     bits = np.zeros(len(held), bool)
                     bits[found[part_of[found] == p]] = True
@@ -113,7 +122,7 @@ def search(rows: DataFrame, is_query: Column, k: int = 20, key: str = "vec_id",
 
     vector = rows.schema["v"].dataType
     MEET = fields(part=T.IntegerType(), piece=T.IntegerType(), q=T.BooleanType(), id=T.LongType(), v=vector, cell=T.IntegerType(), cells=T.BinaryType())
-    queries = rows.where("q").dropDuplicates(["id", "v"]).select("id", "v").mapInArrow(ask, MEET)
+    queries = rows.where("q").select("id", "v").mapInArrow(ask, MEET)
     by_cell = F.element_at(F.array(*[F.lit(int(p)) for p in part_of]), F.col("cell") + 1)
     n_chunks = F.element_at(F.array(*[F.lit(c) for c in chunks]), F.col("part") + 1)
     index = placed.select(by_cell.alias("part"), F.lit(False).alias("q"), "id", "v", "cell").withColumn("piece", F.pmod(F.xxhash64("id"), n_chunks).cast("int")).withColumn("cells", F.lit(None).cast("binary"))
@@ -147,11 +156,22 @@ def search(rows: DataFrame, is_query: Column, k: int = 20, key: str = "vec_id",
                         if not len(may):
                             continue
                         s = near[j, may]
-                        if len(may) > k:  # all that tie with the k-th, up to rounding
-                            floor = np.partition(s, len(s) - k)[len(s) - k]
+                        order = np.lexsort((-s, ids[0][may]))
+                        own_ids = ids[0][may][order]
+                        first = np.concatenate([[True], own_ids[1:] != own_ids[:-1]])
+                        if first.all():
+                            tops = s
+                        else:  # the best vectors of each id, up to rounding
+                            tops = s[order][first]
+                            top = tops[np.cumsum(first) - 1]
+                            fit_ = s[order] >= top - 1e-9 * (1 + np.abs(top))
+                            may, s = may[order][fit_], s[order][fit_]
+                        if len(tops) > k:  # all that tie with the k-th, up to rounding
+                            floor = np.partition(tops, len(tops) - k)[len(tops) - k]
                             may = may[s >= floor - 1e-9 * (1 + abs(floor))]
                         s = (xs[0][may] * q[j]).sum(axis=1)
-                        best = np.lexsort((ids[0][may], -s))[:k]
+                        best = np.lexsort((ids[0][may], -s))
+                        best = best[np.sort(np.unique(ids[0][may][best], return_index=True)[1])[:k]]
                         res[0] += [qid] * len(best)
                         res[1] += ids[0][may][best].tolist()
                         res[2] += s[best].tolist()

@@ -212,3 +212,25 @@ def test_secrets(spark):
     masked = {r.doc_id: r.text for r in secrets.redacted(secrets.scan(df)).collect()}
     assert masked[6] == rows[5][1] and "AKIA" not in masked[3] and masked[1] is None
     assert secrets.trigram_query(secrets.BASE[2].pattern) == [] and secrets.trigram_query("AKIA[A-Z0-9]+") == [frozenset({"aki", "kia"})]
+
+
+def test_repeated_ids_take_one_place(spark):
+    rng = np.random.default_rng(9)
+    x = rng.standard_normal((120, 8)).astype(np.float32)
+    rows = [(i, v.tolist()) for i, v in enumerate(x)] * 2  # every row twice
+    hot = [(500, (x[0] + 0.01 * rng.standard_normal(8)).astype(np.float32).tolist()) for _ in range(400)]  # one id all around a query
+    df = spark.createDataFrame(rows + hot + hot[:50], "vec_id long, embedding array<float>")
+    best = {}
+    for q in range(0, 120, 20):
+        for i, v in rows[:120] + hot:
+            if i != q:
+                score = float((x[q].astype(float) * np.array(v, np.float32).astype(float)).sum())
+                best[q, i] = max(score, best.get((q, i), score))
+    is_query = (F.col("vec_id") % 20 == 0) & (F.col("vec_id") < 500)
+    for share in (1.0, 0.1):
+        got = multiindex.search(df, is_query, share=share, codes=4, chunk=100).collect()
+        for q in range(0, 120, 20):
+            mine = [r.vec_id for r in sorted((r for r in got if r.query_id == q), key=lambda r: r.rank)]
+            assert len(set(mine)) == len(mine) == 20
+            if share == 1:
+                assert mine == sorted((i for p, i in best if p == q), key=lambda i: (-best[q, i], i))[:20]
