@@ -7,11 +7,12 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .. import apps
 from .. import experiments as X
 from .. import workloads as W
 from ..cuts import cut_capacity
 from ..engine import lowest_neighbours, plan_pushes, plan_relabels
-from ..graph import SINK, FlowProblem, build_slots, default_cycles, excess_of, room_out, saturate, simple_arcs
+from ..graph import SINK, SOURCE, FlowProblem, build_slots, default_cycles, excess_of, room_out, saturate, simple_arcs
 from ..heights import sink_levels
 from ..solvers import DYNAMIC, PROGRAMS, apply_updates, certify, recompute, repair_overfull, saturate_cut, solve_augmenting, solve_static, value_row
 from ..streaming import maintain
@@ -107,6 +108,47 @@ put("value_trade_no_relabel", lambda s, d: (lambda q: value_row(solve_static(q,
 for _net in ("relay", "dialog", "trade14", "trade"):
     put(f"certificate_{_net}", lambda s, d, net=_net: (lambda q: certify(q, PROGRAMS["static_pp"](q)))(W.NETWORKS[net](s, d)), ZERO)
 
+# larger networks: no twin, three zeros are the proof
+for _net in ("relay_comm", "copurchase", "links", "segment", "supply", "quality"):
+    put(f"certificate_{_net}", lambda s, d, net=_net: (lambda q: certify(q, PROGRAMS["static_pp"](q)))(W.NETWORKS[net](s, d)))
+
+# ---- applications
+
+
+def inner(q: FlowProblem) -> DataFrame:
+    return q.arcs.where((F.col("src") != SOURCE) & (F.col("dst") != SINK))
+
+
+def outer(q: FlowProblem, side: str) -> DataFrame:
+    """``(id, cap)`` of the arcs from the super source or to the super sink."""
+    return q.arcs.where(F.col("src") == SOURCE).select(F.col("dst").alias("id"), "cap") if side == "source" else q.arcs.where(F.col("dst") == SINK).select(F.col("src").alias("id"), "cap")
+
+
+def assigned(s: SparkSession, d: str):
+    q = W.match_events(s, d)
+    return apps.assign(inner(q).select(F.col("src").alias("left"), F.col("dst").alias("right")), outer(q, "source").withColumnRenamed("id", "left"))
+
+
+def reassigned(s: SparkSession, d: str) -> DataFrame:
+    """The assignment after every pair of a user with an id divisible by 3 went."""
+    gone = inner(W.match_events(s, d)).where("dst % 3 = 0").select("src", "dst", F.lit(0).cast("long").alias("new_cap"), F.lit(0).cast("long").alias("seq"))
+    return apps.reassign(assigned(s, d)[1], gone)[0]
+
+
+def balanced(s: SparkSession, d: str) -> DataFrame:
+    """Whether trade between all nations can circulate with a quarter of each capacity as its lower bound."""
+    a = W.trade(s, d).arcs.select("src", "dst", F.floor(F.col("cap") / 4).cast("long").alias("lo"), F.col("cap").alias("hi"))
+    return apps.feasible_circulation(a.select(F.col("src").alias("id"), F.lit(0).cast("long").alias("supply")).distinct(), a)
+
+
+count = lambda df: df.agg(F.count(F.lit(1)).alias("n"))
+put("matching_pairs_count", lambda s, d: count(assigned(s, d)[0]), f"SELECT value AS n FROM ({CLOSED['match_events']()})")
+put("matching_pairs_count_after_removal", lambda s, d: count(reassigned(s, d)))
+put("segment_sizes", lambda s, d: (lambda q: apps.segment(inner(q), outer(q, "source"), outer(q, "sink")))(W.segment(s, d)).groupBy("side").agg(F.count(F.lit(1)).alias("n")))
+put("circulation_feasible", balanced)
+put("route_flow_tier", lambda s, d: apps.route(W.tier(s, d)).where(F.col("src") == SOURCE).agg(F.sum("flow").cast("long").alias("flow")), f"SELECT value AS flow FROM ({CLOSED['tier']()})")
+put("cheapest_cut_tier", lambda s, d: apps.cheapest_cut(W.tier(s, d)).agg(F.sum("cap").cast("long").alias("cap")), f"SELECT value AS cap FROM ({CLOSED['tier']()})")
+
 # ---- networks and single steps
 
 put("network_relay", lambda s, d: W.relay(s, d).arcs, "SELECT DISTINCT u AS src, v AS dst, CAST(1 + (7 * u + 13 * v) % 100 AS BIGINT) AS cap FROM (SELECT user_id AS u, lead(user_id) OVER (PARTITION BY event_type ORDER BY ts, event_id) AS v FROM events) WHERE v IS NOT NULL AND u <> v")

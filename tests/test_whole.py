@@ -68,3 +68,34 @@ def test_segment_over_all_vectors(spark, tmp_path):
         assert {(r.u, r.v) for r in W.nearest(rows, 5, block).collect()} == want
     got = {(r.src, r.dst) for r in W.segment(spark, str(tmp_path)).arcs.where("src >= 0 and dst >= 0").collect()}
     assert got == want | {(j, i) for i, j in want}
+
+
+def test_applications(spark, traded, tmp_path):
+    d, _ = traded
+    found = registry.queries()
+    arcs = [tuple(r) for r in W.trade(spark, d).arcs.collect()]
+    net = Counter()
+    for u, v, c in arcs:
+        net[v] += c // 4
+        net[u] -= c // 4
+    ends = [(-1, n, x) for n, x in net.items() if x > 0] + [(n, -2, -x) for n, x in net.items() if x < 0]
+    moved, need = smallest_cut([(u, v, c - c // 4) for u, v, c in arcs] + ends, -1, -2), sum(x for x in net.values() if x > 0)
+    assert tuple(found["circulation_feasible"](spark, d).first()) == (need, need, moved, moved == need)
+    events = [(k + 1, u, "ab"[(u + k) % 2]) for k, u in enumerate((5, 6, 7, 8, 9, 5, 6))]
+    spark.createDataFrame(events, "event_id long, user_id long, event_type string").write.parquet(f"{tmp_path}/events.parquet")
+    pairs = {("ab".index(t), u) for _, u, t in events}
+    held = Counter(i for i, _ in pairs)
+    quota = [(-1, 100 + i, n * (1 + 2 * i) // 8) for i, n in held.items()]
+    for name, gone in (("matching_pairs_count", False), ("matching_pairs_count_after_removal", True)):
+        left = [(i, u) for i, u in pairs if not gone or ((2 << 40) + u) % 3]
+        want = smallest_cut(quota + [(100 + i, u, 1) for i, u in left] + [(u, -2, 1) for u in {u for _, u in left}], -1, -2)
+        assert found[name](spark, str(tmp_path)).first().n == want
+
+
+def test_certificate_and_sides_of_segment(spark, tmp_path):
+    rng = np.random.default_rng(3)
+    rows = [(i, rng.standard_normal(4).astype(np.float32).tolist(), i % 3) for i in range(9)]
+    spark.createDataFrame(rows, "vec_id long, embedding array<float>, label int").write.parquet(f"{tmp_path}/embeddings.parquet")
+    found = registry.queries()
+    assert tuple(found["certificate_segment"](spark, str(tmp_path)).first()) == (0, 0, 0)
+    assert sum(r.n for r in found["segment_sizes"](spark, str(tmp_path)).collect()) == 9
