@@ -53,7 +53,8 @@ def trigram_query(pattern: str) -> list[frozenset[str]]:
     """OR of ANDs of trigrams that any match must hold; empty if none is mandatory."""
     texts = _texts(parser.parse(pattern))
     terms = [frozenset(part[i : i + 3] for part in way for i in range(len(part) - 2)) for way in texts]
-    return [] if not terms or not all(terms) or len(terms) > MOST_TERMS else list(dict.fromkeys(terms))
+    terms = reduced(list(dict.fromkeys(terms)))
+    return [] if not all(terms) or len(terms) > MOST_TERMS else terms
 
 
 def _texts(tokens) -> list[tuple[str, ...]]:
@@ -68,7 +69,7 @@ def _texts(tokens) -> list[tuple[str, ...]]:
             more = [w for branch in arg[1] for w in _texts(branch)]
         elif op is sre.MAX_REPEAT and arg[:2] == (0, 1):
             more = [("",), *_texts(arg[2])]
-        elif op is sre.IN and len(arg) <= 4 and all(o is sre.LITERAL for o, _ in arg):
+        elif op is sre.IN and len(arg) <= 5 and all(o is sre.LITERAL for o, _ in arg):
             more = [(chr(c).lower(),) for _, c in arg]
         else:
             more = [("", "")]

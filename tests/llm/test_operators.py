@@ -234,3 +234,10 @@ def test_repeated_ids_take_one_place(spark):
             assert len(set(mine)) == len(mine) == 20
             if share == 1:
                 assert mine == sorted((i for p, i in best if p == q), key=lambda i: (-best[q, i], i))[:20]
+
+
+def test_secret_rules_use_the_index():
+    held = {r.kind: secrets.trigram_query(r.pattern) for r in secrets.RULES}
+    assert len(held["assign"]) == 6 and all("".join(sorted(t)) for t in held["assign"]) and frozenset({"tok", "oke", "ken"}) in held["assign"]
+    assert len(held["host_token"]) == 5 and frozenset({"ghp", "hp_"}) in held["host_token"]
+    assert [k for k, t in held.items() if not t] == ["hex"]
