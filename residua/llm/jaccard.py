@@ -181,6 +181,12 @@ def bounded(rows: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordB
         yield batch.select([0, 1]).filter(pa.array(np.minimum(x, y).sum(axis=1) >= needed(n, m, percent)))
 
 
+def one_of_each(post: DataFrame) -> DataFrame:
+    """Postings ``(id, v, t)`` -> ``(t, pivot, weight)``: one of the postings that the same sets ``v`` share, and their number."""
+    who = post.groupBy("t").agg(F.min("id").alias("pivot"), F.max("id").alias("top"), F.count(F.lit(1)).alias("n"), F.expr("bit_xor(xxhash64(v))").alias("x"), F.expr("bit_xor(xxhash64(v, 1))").alias("y"))
+    return who.where("pivot <> top").groupBy("pivot", "n", "x", "y").agg(F.min("t").alias("t"), F.count(F.lit(1)).alias("weight")).select("t", "pivot", "weight")
+
+
 def near_sets(docs: DataFrame, key: str = "doc_id", text: str = "text", words: int = 4, percent: int = 85) -> DataFrame:
     """``(doc_id, n_shingles, component_id)`` for each row.
 
@@ -188,18 +194,18 @@ def near_sets(docs: DataFrame, key: str = "doc_id", text: str = "text", words: i
     with a null id get a null component and link nothing. Empty tables give empty ones; other columns are ignored.
     """
     texts = docs.select(F.col(key).cast("long").alias("doc_id"), F.col(text).alias("text"))
-    made = cut(texts.mapInArrow(lambda it: points(it, words, percent), POINT))
+    made = cut(texts.mapInArrow(lambda it: points(it, words, percent), POINT).withColumn("row", F.monotonically_increasing_id()))
     some = made.where("n > 0 and doc_id is not null")
-    vertex = cut(some.groupBy("v").agg(F.min("doc_id").alias("id"), F.min("twin").alias("t1"), F.max("twin").alias("t2")))
+    vertex = cut(some.groupBy("v").agg(F.min(F.struct("doc_id", "row")).alias("least"), F.min("twin").alias("t1"), F.max("twin").alias("t2")))
     if not vertex.where("t1 <> t2").isEmpty():
         raise RuntimeError("two different sets share a 64-bit hash; choose another seed")
-    vertex = vertex.select("v", "id")
-    one = some.withColumn("id", F.col("doc_id")).join(vertex, ["v", "id"])
-    point = cut(one.select("id", "n", "counts").dropDuplicates(["id", "n"]))
-    post = one.select("id", F.explode("posted").alias("t"))
-    who = post.groupBy("t").agg(F.min("id").alias("pivot"), F.max("id").alias("top"), F.count(F.lit(1)).alias("n"), F.expr("bit_xor(xxhash64(id))").alias("x"), F.expr("bit_xor(xxhash64(id, 1))").alias("y"))
-    kept = cut(who.where("pivot <> top").groupBy("pivot", "n", "x", "y").agg(F.min("t").alias("t"), F.count(F.lit(1)).alias("weight")).select("t", "pivot", "weight"))
-    post = cut(post.join(kept, "t").distinct())
+    # one row for each set: an id may have several sets, and rows that repeat an id and text count once
+    one = some.withColumn("id", F.col("doc_id")).join(vertex.select("v", F.col("least.doc_id").alias("id"), F.col("least.row").alias("row")), ["v", "id", "row"])
+    vertex = vertex.select("v", F.col("least.doc_id").alias("id"))
+    point = cut(one.select("id", "n", "counts"))
+    post = one.select("id", "v", F.explode("posted").alias("t"))
+    kept = cut(one_of_each(post))
+    post = cut(post.drop("v").join(kept, "t").distinct())
 
     def check(pairs: DataFrame) -> DataFrame:
         """Exact verification. Texts meet the ids they are needed for; the planner broadcasts those only if their table is small."""

@@ -241,3 +241,32 @@ def test_secret_rules_use_the_index():
     assert len(held["assign"]) == 6 and all("".join(sorted(t)) for t in held["assign"]) and frozenset({"tok", "oke", "ken"}) in held["assign"]
     assert len(held["host_token"]) == 5 and frozenset({"ghp", "hp_"}) in held["host_token"]
     assert [k for k, t in held.items() if not t] == ["hex"]
+
+
+def test_jaccard_with_every_row_twice(spark):
+    rng = random.Random(11)
+    rows = []
+    for i in range(150):  # sets of few shingles, so that a link hangs on few postings
+        w = [f"f{i // 15}w{k}" for k in range(17)]
+        w[rng.choice([0, 16])] = f"z{rng.randint(0, 3)}"
+        if i % 2:
+            w[rng.choice([0, 16])] = f"y{rng.randint(0, 3)}"
+        rows.append((i, " ".join(w)))
+    rows += [(i, rows[(7 * i) % 150][1]) for i in range(0, 150, 10)]  # ids of two texts
+    once = {r.doc_id: r for r in jaccard.near_sets(docs(spark, rows[:150])).collect()}
+    twice = jaccard.near_sets(docs(spark, rows[:150] * 2)).collect()
+    sets = [{tuple(t.split()[k : k + 4]) for k in range(14)} for _, t in rows]
+    root = {i: i for i, _ in rows}
+    for a, (i, _) in enumerate(rows):
+        for b, (j, _) in enumerate(rows[:a]):
+            if a < 150 and 100 * len(sets[a] & sets[b]) >= 85 * len(sets[a] | sets[b]) and root[i] != root[j]:
+                x, y = sorted((root[i], root[j]))
+                root = {k: x if v == y else v for k, v in root.items()}
+    assert {i: r.component_id for i, r in once.items()} == root
+    assert all(r.component_id == root[r.doc_id] for r in twice) and len(twice) == 300
+
+
+def test_postings_of_ids_with_two_sets_stay_apart(spark):
+    held = {1: "ACDE", 2: "ABDE", 3: "ABCE", 4: "ABCD"}
+    rows = [(ord(c), 2 * ord(c) + k, t) for t, ids in held.items() for c in ids for k in (0, 1)]
+    assert jaccard.one_of_each(spark.createDataFrame(rows, "id long, v long, t long")).count() == 4
