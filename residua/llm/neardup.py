@@ -22,7 +22,7 @@ from pyspark.sql import types as T
 
 from .common import cut
 from .components import components
-from .vectors import matrix, sample, usable, width
+from .vectors import matrix, sample, usable
 
 
 def fields(**kinds: T.DataType) -> T.StructType:
@@ -54,17 +54,18 @@ def leaves(x: np.ndarray, levels: int) -> tuple[np.ndarray, np.ndarray]:
 def link(rows: DataFrame, least: float = 0.95, key: str = "vec_id", vec: str = "embedding", block_dims: int = 8, leaf_rows: int = 8192, most_fit: int = 8192) -> DataFrame:
     """``(vec_id, n_links, component_id, kept)`` for each row.
 
-    Vectors that are null, empty, zero, of another length than most, or hold null or non-finite components link with
-    nothing: they are their own component. So are rows with a null id (their component is null). Rows that repeat an
+    Vectors of one length are compared, each length by itself. Vectors that are null, empty, zero, or hold null or
+    non-finite components link with nothing: they are their own component. So are rows with a null id (their component is null). Rows that repeat an
     id and vector link like any equal vectors. An empty table gives an empty one; other columns are ignored.
     """
     given = rows.select(F.col(key).cast("long").alias("vec_id"), F.col(vec).alias("v"))
-    good = given.where(F.col("vec_id").isNotNull() & usable(F.col("v")))
-    dims = width(good, "v")
-    mine = F.when(F.col("vec_id").isNotNull() & usable(F.col("v")) & (F.size("v") == dims), F.struct(F.xxhash64("v").alias("x"), F.xxhash64(F.lit(1), "v").alias("y")))
+    mine = F.when(F.col("vec_id").isNotNull() & usable(F.col("v")), F.struct(F.xxhash64("v").alias("x"), F.xxhash64(F.lit(1), "v").alias("y")))
     given = given.withColumn("same", mine)
     classes = cut(given.where("same is not null").groupBy("same").agg(F.min("vec_id").alias("id"), F.count(F.lit(1)).alias("n"), F.first("v").alias("v")))
-    found = cut(join(classes, least, dims, block_dims, leaf_rows, most_fit)) if dims else classes.select(F.col("id").alias("a"), F.col("id").alias("b")).limit(0)
+    lengths = [r.d for r in classes.groupBy(F.size("v").alias("d")).agg(F.count(F.lit(1)).alias("n")).where("n > 1").orderBy("d").collect()]
+    found = classes.select(F.col("id").alias("a"), F.col("id").alias("b")).limit(0)
+    for dims in lengths:
+        found = found.unionByName(cut(join(classes.where(F.size("v") == dims), least, dims, block_dims, leaf_rows, most_fit)))
     size = classes.select(F.col("id").alias("b"), F.col("n").alias("m"))
     both = found.unionByName(found.select(F.col("b").alias("a"), F.col("a").alias("b")))
     degree = both.join(size, "b").groupBy(F.col("a").alias("id")).agg(F.sum("m").alias("others"))

@@ -270,3 +270,9 @@ def test_postings_of_ids_with_two_sets_stay_apart(spark):
     held = {1: "ACDE", 2: "ABDE", 3: "ABCE", 4: "ABCD"}
     rows = [(ord(c), 2 * ord(c) + k, t) for t, ids in held.items() for c in ids for k in (0, 1)]
     assert jaccard.one_of_each(spark.createDataFrame(rows, "id long, v long, t long")).count() == 4
+
+
+def test_vectors_of_minority_lengths_link(spark):
+    rows = [(i, [float(i == k) for k in range(4)]) for i in range(4)] + [(10, [1.0, 2.0]), (11, [1.0, 2.0]), (12, [1.0, 2.1]), (13, [2.0, -1.0])]
+    got = {r.vec_id: (r.n_links, r.component_id) for r in neardup.link(spark.createDataFrame(rows, "vec_id long, embedding array<float>")).collect()}
+    assert got == {i: (0, i) for i in (0, 1, 2, 3, 13)} | {i: (2, 10) for i in (10, 11, 12)}
