@@ -2,9 +2,12 @@
 
 from __future__ import annotations
 
+import atexit
+import re
+import shutil
 import tempfile
 import uuid
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -12,7 +15,9 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: UTF-8 bytes that vectorised kernels look at together; a longer text forms a block of its own.
-BLOCK_BYTES = 1 << 21
+BLOCK_BYTES = 1 << 19
+#: The temporary folder of a local session without a shared one.
+LOCAL: list[str] = []
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -20,14 +25,53 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def cut(df: DataFrame) -> DataFrame:
-    """Lineage cut: a written table in the folder that ``spark.checkpoint.dir`` names (tests without one get their own)."""
+def shared_folder(spark: SparkSession) -> str:
+    """The folder that ``spark.checkpoint.dir`` names. A local session without one (tests) gets a temporary folder, a cluster an error."""
+    base = spark.conf.get("spark.checkpoint.dir", None)
+    if base:
+        return base.rstrip("/")
+    if not re.match(r"local(\[|$)", spark.sparkContext.master):
+        raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+    if not LOCAL:
+        LOCAL.append(tempfile.mkdtemp(prefix="cuts-"))
+        atexit.register(shutil.rmtree, LOCAL[0], ignore_errors=True)
+    return LOCAL[0]
+
+
+def cut(df: DataFrame, path: str | None = None) -> DataFrame:
+    """Lineage cut: a written table in the shared folder."""
     spark = df.sparkSession
-    base = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="cut-")
-    df.write.option("compression", "zstd").parquet(path := f"{base.rstrip('/')}/cut-{uuid.uuid4().hex}")
+    path = path or f"{shared_folder(spark)}/cut-{uuid.uuid4().hex}"
+    df.write.option("compression", "zstd").parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+class Cuts:
+    """Lineage cuts of one operator call. A table that nothing reads any more is deleted with ``drop``; what the lazy result reads stays."""
+
+    def __init__(self) -> None:
+        self.held: dict[int, tuple[DataFrame, str]] = {}
+
+    def __call__(self, df: DataFrame) -> DataFrame:
+        out = cut(df, path := f"{shared_folder(df.sparkSession)}/cut-{uuid.uuid4().hex}")
+        self.held[id(out)] = out, path
+        return out
+
+    def drop(self, *tables: DataFrame) -> None:
+        for table in tables:
+            df, path = self.held.pop(id(table))
+            at = df.sparkSession._jvm.org.apache.hadoop.fs.Path(path)
+            at.getFileSystem(df.sparkSession._jsc.hadoopConfiguration()).delete(at, True)
+
+
+def free_name(name: str, taken: Iterable[str]) -> str:
+    """``name`` with as many underscores before it as make it differ from all ``taken`` (Spark compares without case)."""
+    lower = {x.lower() for x in taken}
+    while name.lower() in lower:
+        name = f"_{name}"
+    return name
+
+
 def word_count(text):
     """Words ``[^\\x20\\x09-\\x0D]+`` of a column, null as 0."""
     return F.coalesce(F.regexp_count(text, F.lit(r"[^\x20\x09-\x0D]+")), F.lit(0)).cast("long")

@@ -4,7 +4,7 @@ A text's set holds its distinct word shingles, as 64-bit hashes. Hashing the shi
 group counts; the summed coordinate minima of two points, or of a point and the upper corner of a box of points, bound
 the overlap from above. Sets are met and joined like this:
 
-1. Equal sets are one vertex, however many texts share them.
+1. Equal sets (by size and 128 bits of hash) are one vertex, however many texts share them.
 2. Every set posts its ``n - ceil(t n) + 1`` least hashes; two sets above the threshold share such a posting. Postings
    that only one set has are dropped by a combining count, and of postings with the same sets one stays, with a weight.
 3. Every vertex is first compared with one pivot, the least vertex of the postings it shares with it most often.
@@ -12,6 +12,9 @@ the overlap from above. Sets are met and joined like this:
 4. Postings that still hold several components go, in bands of set size, to R-trees over count points; each finds the
    pairs of different components whose bound reaches the overlap needed. These are verified exactly, and the components
    of all links are the result. Pairs inside a component need no look: they change nothing.
+
+Only narrow rows move until a pair has passed the bounds of size and counts; then the texts themselves come to the
+pair, once, and the task that verifies makes their sets. Tables that nothing reads any more are deleted.
 """
 
 from __future__ import annotations
@@ -25,7 +28,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import PrefixHash, cut, mix, text_blocks
+from .common import Cuts, PrefixHash, mix, text_blocks
 from .components import components
 
 GROUPS = 256
@@ -72,14 +75,31 @@ def fields(**kinds: T.DataType) -> T.StructType:
 
 
 LONG = T.LongType()
-POINT = fields(doc_id=LONG, n=LONG, v=LONG, twin=LONG, counts=T.BinaryType(), posted=T.ArrayType(LONG))
-SET = fields(id=LONG, members=T.BinaryType())
+PAIR = fields(a=LONG, b=LONG)
+POINT = fields(doc_id=LONG, h=LONG, n=LONG, v=LONG, twin=LONG, counts=T.BinaryType(), posted=T.ArrayType(LONG))
+#: Vertices verified against one copy of a pivot's text.
+CHUNK = 1024
+#: Rows of ids (some 40 bytes each) that are broadcast to the texts at most; beyond it the texts are shuffled to them.
+BROADCAST_ROWS = 1 << 18
+#: Finds of pairs that a task holds before it hands on each pair once.
+FLUSH = 1 << 15
+
+
+def packed_counts(held: np.ndarray) -> bytes:
+    """Counts of a point in one byte each if they fit, else in four."""
+    return (held.astype(np.uint8) if held.max(initial=0) < 256 else held.astype("<u4")).tobytes()
+
+
+def unpacked_counts(column: pa.Array) -> np.ndarray:
+    out = np.empty((len(column), GROUPS), np.int32)
+    for k, x in enumerate(column.to_pylist()):
+        out[k] = np.frombuffer(x, np.uint8 if len(x) == GROUPS else "<u4")
+    return out
 
 
 def points(rows: Iterator[pa.RecordBatch], words: int, percent: int) -> Iterator[pa.RecordBatch]:
-    """(doc_id, text) -> size of the set, vertex (a hash of the set), a second hash, count point, posted hashes."""
+    """(doc_id, h, text) -> size of the set, a hash of the set, a second one, count point, posted hashes."""
     for batch in rows:
-        ids = batch.column(0)
         for first, end, data, offsets in text_blocks(batch, "text"):
             h, at = shingle_sets(data, offsets, words)
             n, rows_ = np.diff(at), end - first
@@ -87,18 +107,12 @@ def points(rows: Iterator[pa.RecordBatch], words: int, percent: int) -> Iterator
             total = lambda x: np.diff(np.concatenate([np.zeros(1, np.uint64), np.cumsum(x)])[at])  # noqa: E731, B023
             v = mix(total(mix(h)) + n.astype(np.uint64)).view(np.int64)
             twin = mix(total(mix(h ^ np.uint64(0xA5A5A5A5A5A5A5A5)))).view(np.int64)
-            held = np.bincount(owner * GROUPS + (mix(h) >> np.uint64(56)).astype(np.int64), minlength=rows_ * GROUPS).astype("<u4").reshape(rows_, GROUPS)
+            held = np.bincount(owner * GROUPS + (mix(h) >> np.uint64(56)).astype(np.int64), minlength=rows_ * GROUPS).reshape(rows_, GROUPS)
             size = np.where(n > 0, n - -(-percent * n // 100) + 1, 0)
             ends = np.concatenate([[0], np.cumsum(size)])
             posted = h[np.repeat(at[:-1] - ends[:-1], size) + np.arange(ends[-1])].view(np.int64)
-            yield pa.RecordBatch.from_arrays([ids.slice(first, rows_), pa.array(n), pa.array(v), pa.array(twin), pa.array([x.tobytes() for x in held], pa.binary()), pa.ListArray.from_arrays(pa.array(ends.astype(np.int32)), pa.array(posted))], names=POINT.names)
-
-
-def members(rows: Iterator[pa.RecordBatch], words: int) -> Iterator[pa.RecordBatch]:
-    for batch in rows:
-        for first, end, data, offsets in text_blocks(batch, "text"):
-            h, at = shingle_sets(data, offsets, words)
-            yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, end - first), pa.array([h[a:b].tobytes() for a, b in zip(at[:-1], at[1:], strict=True)], pa.binary())], names=SET.names)
+            yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, rows_), batch.column(1).slice(first, rows_), pa.array(n), pa.array(v), pa.array(twin), pa.array([packed_counts(x) for x in held], pa.binary()), pa.ListArray.from_arrays(pa.array(ends.astype(np.int32)), pa.array(posted))], names=POINT.names)
+        pa.default_memory_pool().release_unused()
 
 
 class CountTree:
@@ -126,64 +140,76 @@ class CountTree:
         return self.order[at[np.minimum(self.counts[at], q).sum(axis=1) >= needed(self.n[at], n, percent)]]
 
 
-PAIR = fields(a=LONG, b=LONG)
 
 
 def tree_pairs(rows: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordBatch]:
-    """Rows (posting, band, home, v, n, label, counts) in order of (posting, band) -> candidate pairs of different labels."""
-    key, held = None, []
-
-    def found() -> pa.RecordBatch:
-        none = pa.RecordBatch.from_arrays([pa.array([], pa.int64())] * 2, names=PAIR.names)
-        if len({r[3] for r in held}) < 2 or not any(r[0] for r in held):
-            return none
-        home, v, n, label = (np.array([r[k] for r in held]) for k in range(4))
-        counts = np.frombuffer(b"".join([r[4] for r in held]), "<u4").astype(np.int32).reshape(len(held), GROUPS)
-        out: list[np.ndarray] = []
+    """Rows (posting, band, home, vertex, n, label, counts) in order of (posting, band) -> candidate pairs of different labels."""
+    key, held, pairs = None, [], []
+
+    def found() -> None:
+        home, v, n, label, counts = (np.concatenate([h[k] for h in held]) for k in range(5))
         own = np.flatnonzero(home)
-        if len(own):
-            tree = CountTree(counts[own], n[own])
-            for x in range(len(v)):
-                near = own[tree.reach(counts[x], int(n[x]), percent)]
-                near = near[(label[near] != label[x]) & (~home[x] | (v[near] < v[x]))]
-                if len(near):
-                    out.append(np.stack([np.minimum(v[near], v[x]), np.maximum(v[near], v[x])]))
-        pairs = np.concatenate(out, axis=1) if out else np.zeros((2, 0), np.int64)
-        return pa.RecordBatch.from_arrays([pa.array(pairs[0]), pa.array(pairs[1])], names=PAIR.names)
+        if not len(own) or (label == label[0]).all():
+            return
+        tree = CountTree(counts[own], n[own])
+        for x in range(len(v)):
+            near = own[tree.reach(counts[x], int(n[x]), percent)]
+            near = near[(label[near] != label[x]) & (~home[x] | (v[near] < v[x]))]
+            if len(near):
+                pairs.append(np.stack([np.minimum(v[near], v[x]), np.maximum(v[near], v[x])]))
+
+    def handed() -> pa.RecordBatch:
+        """The pairs so far, each once: postings that two vertices share find them again and again."""
+        once = np.unique(np.concatenate([np.zeros((2, 0), np.int64), *pairs], axis=1), axis=1)
+        pairs.clear()
+        return pa.RecordBatch.from_arrays([pa.array(once[0]), pa.array(once[1])], names=PAIR.names)
 
     for batch in rows:
-        for t, band, *row in zip(*(batch.column(k).to_pylist() for k in range(7)), strict=True):
-            if (t, band) != key:
-                if len(held) > 1:
-                    yield found()
-                key, held = (t, band), []
-            held.append(row)
-    if len(held) > 1:
-        yield found()
-
-
-def verified(rows: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordBatch]:
-    """(a, b, members of a, members of b) -> the pairs at or above the threshold."""
+        t, band, home, v, n, label = (batch.column(k).to_numpy(zero_copy_only=False) for k in range(6))
+        counts = unpacked_counts(batch.column(6))
+        edges = [0, *(np.flatnonzero((t[1:] != t[:-1]) | (band[1:] != band[:-1])) + 1).tolist(), len(t)]
+        for a, b in zip(edges[:-1], edges[1:], strict=True):
+            if a < b and (t[a], band[a]) != key:
+                if held:
+                    found()
+                if len(pairs) > FLUSH:
+                    yield handed()
+                key, held = (t[a], band[a]), []
+            held.append((home[a:b], v[a:b], n[a:b], label[a:b], counts[a:b]))
+    if held:
+        found()
+    yield handed()
+
+
+def verified(rows: Iterator[pa.RecordBatch], words: int, percent: int) -> Iterator[pa.RecordBatch]:
+    """Rows (pivot, chunk, side, vertex, text) in this order, a pivot's own text first -> the pairs at or above the threshold."""
+    key, pivot = None, np.zeros(0, np.uint64)
     for batch in rows:
-        keep = []
-        for x, y in zip(batch.column(2), batch.column(3), strict=True):
-            x, y = np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64)
-            at = np.minimum(np.searchsorted(x, y), len(x) - 1)
-            keep.append(int((x[at] == y).sum()) >= needed(len(x), len(y), percent))
-        yield batch.select([0, 1]).filter(pa.array(keep, pa.bool_()))
+        a, chunk, side, u = (batch.column(k).to_numpy() for k in range(4))
+        keep = np.zeros(len(a), bool)
+        for first, end, data, offsets in text_blocks(batch, "text", 1 << 19):
+            h, at = shingle_sets(data, offsets, words)
+            for k in range(first, end):
+                own = h[at[k - first] : at[k - first + 1]]
+                if not side[k]:
+                    key, pivot = (a[k], chunk[k]), own.copy()
+                elif len(pivot) and (a[k], chunk[k]) == key:
+                    place = np.minimum(np.searchsorted(pivot, own), len(pivot) - 1)
+                    keep[k] = int((pivot[place] == own).sum()) >= needed(len(pivot), len(own), percent)
+        yield pa.RecordBatch.from_arrays([pa.array(a[keep]), pa.array(u[keep])], names=PAIR.names)
 
 
 def bounded(rows: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordBatch]:
     """(a, b, n and counts of a, of b) -> the pairs whose summed minima reach the overlap needed."""
     for batch in rows:
         n, m = batch.column(2).to_numpy(), batch.column(4).to_numpy()
-        x, y = (np.frombuffer(b"".join(batch.column(k).to_pylist()), "<u4").reshape(-1, GROUPS) for k in (3, 5))
+        x, y = (unpacked_counts(batch.column(k)) for k in (3, 5))
         yield batch.select([0, 1]).filter(pa.array(np.minimum(x, y).sum(axis=1) >= needed(n, m, percent)))
 
 
 def one_of_each(post: DataFrame) -> DataFrame:
-    """Postings ``(id, v, t)`` -> ``(t, pivot, weight)``: one of the postings that the same sets ``v`` share, and their number."""
-    who = post.groupBy("t").agg(F.min("id").alias("pivot"), F.max("id").alias("top"), F.count(F.lit(1)).alias("n"), F.expr("bit_xor(xxhash64(v))").alias("x"), F.expr("bit_xor(xxhash64(v, 1))").alias("y"))
+    """Postings ``(u, t)`` of vertices -> ``(t, pivot, weight)``: one of the postings that the same vertices share, and their number."""
+    who = post.groupBy("t").agg(F.min("u").alias("pivot"), F.max("u").alias("top"), F.count(F.lit(1)).alias("n"), F.expr("bit_xor(xxhash64(u))").alias("x"), F.expr("bit_xor(xxhash64(u, 1))").alias("y"))
     return who.where("pivot <> top").groupBy("pivot", "n", "x", "y").agg(F.min("t").alias("t"), F.count(F.lit(1)).alias("weight")).select("t", "pivot", "weight")
 
 
@@ -193,43 +219,63 @@ def near_sets(docs: DataFrame, key: str = "doc_id", text: str = "text", words: i
     Null, empty and wordless texts have no shingles and stay alone. Rows of one id are one vertex of the links; rows
     with a null id get a null component and link nothing. Empty tables give empty ones; other columns are ignored.
     """
-    texts = docs.select(F.col(key).cast("long").alias("doc_id"), F.col(text).alias("text"))
-    made = cut(texts.mapInArrow(lambda it: points(it, words, percent), POINT).withColumn("row", F.monotonically_increasing_id()))
+    cuts = Cuts()
+    texts = docs.select(F.col(key).cast("long").alias("doc_id"), F.xxhash64(text).alias("h"), F.col(text).alias("text"))
+    wide = cuts(texts.mapInArrow(lambda it: points(it, words, percent), POINT).withColumn("row", F.monotonically_increasing_id()))
+    made = cuts(wide.select("doc_id", "h", "n", "v", "twin", "row"))
     some = made.where("n > 0 and doc_id is not null")
-    vertex = cut(some.groupBy("v").agg(F.min(F.struct("doc_id", "row")).alias("least"), F.min("twin").alias("t1"), F.max("twin").alias("t2")))
-    if not vertex.where("t1 <> t2").isEmpty():
-        raise RuntimeError("two different sets share a 64-bit hash; choose another seed")
-    # one row for each set: an id may have several sets, and rows that repeat an id and text count once
-    one = some.withColumn("id", F.col("doc_id")).join(vertex.select("v", F.col("least.doc_id").alias("id"), F.col("least.row").alias("row")), ["v", "id", "row"])
-    vertex = vertex.select("v", F.col("least.doc_id").alias("id"))
-    point = cut(one.select("id", "n", "counts"))
-    post = one.select("id", "v", F.explode("posted").alias("t"))
-    kept = cut(one_of_each(post))
-    post = cut(post.drop("v").join(kept, "t").distinct())
+    # a vertex takes the number of one row that holds its set
+    vertex = cuts(some.groupBy("n", "v", "twin").agg(F.min(F.struct("doc_id", "row", "h")).alias("least")).select("n", "v", "twin", F.col("least.row").alias("u"), F.col("least.doc_id").alias("id"), F.col("least.h").alias("h")))
+    own = cuts(wide.select("row", "n", "counts", "posted").join(vertex.select(F.col("u").alias("row")), "row", "left_semi").withColumnRenamed("row", "u"))
+    cuts.drop(wide)
+    post = own.select("u", F.explode("posted").alias("t"))
+    shared = cuts(post.groupBy("t").agg(F.min("u").alias("pivot"), F.count(F.lit(1)).alias("n")).where("n > 1").select("t"))
+    held = cuts(post.join(shared, "t"))
+    kept = cuts(one_of_each(held))
+    post = cuts(held.join(kept, "t").select("t", "u", "pivot", "weight"))
+    point = cuts(own.select("u", "n", "counts").join(post.select("u").distinct(), "u", "left_semi"))
+    cuts.drop(own, shared, held, kept)
+    size = vertex.select("u", "n")
+    least = lambda x, y: 100 * F.least(x, y) >= percent * F.greatest(x, y)
 
     def check(pairs: DataFrame) -> DataFrame:
-        """Exact verification. Texts meet the ids they are needed for; the planner broadcasts those only if their table is small."""
-        pairs = cut(pairs)
-        need = cut(pairs.select(F.col("a").alias("id")).union(pairs.select(F.col("b").alias("id"))).distinct())
-        sets = texts.join(need, texts["doc_id"] == need["id"]).select("id", "text").mapInArrow(lambda it: members(it, words), SET)
-        sets = cut(sets.distinct())
-        a, b = (sets.select(F.col("id").alias(x), F.col("members").alias(f"m{x}")) for x in "ab")
-        return cut(pairs.join(b, "b").join(a, "a").select("a", "b", "ma", "mb").mapInArrow(lambda it: verified(it, percent), PAIR))
-
-    times = post.where("id <> pivot").groupBy("id", "pivot").agg(F.sum("weight").alias("times"))
-    star = times.groupBy("id").agg(F.max_by("pivot", F.struct("times", "pivot")).alias("a")).select("a", F.col("id").alias("b"))
-    a, b = (point.select(F.col("id").alias(x), F.col("n").alias(f"n{x}"), F.col("counts").alias(f"c{x}")) for x in "ab")
-    star = star.join(a, "a").join(b, "b").select("a", "b", "na", "ca", "nb", "cb").mapInArrow(lambda it: bounded(it, percent), PAIR)
-    links = check(star)
-    label = components(links)
-    left = post.join(label, "id", "left").select("t", "id", F.coalesce("component_id", "id").alias("label"))
-    split = left.groupBy("t").agg(F.min("label").alias("x"), F.max("label").alias("y")).where("x <> y").select("t")
-    rows = left.join(split, "t").join(point, "id")
+        """Exact verification: texts come to a pivot's group, in chunks that each get a copy of the pivot's text."""
+        pairs = cuts(pairs)
+        times = pairs.groupBy("a").agg(F.ceil(F.count(F.lit(1)) / CHUNK).cast("int").alias("chunks"))
+        heads = times.select("a", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)).alias("chunk"), F.lit(0).alias("side"), F.col("a").alias("u"))
+        tails = pairs.join(times, "a").select("a", F.pmod(F.xxhash64("b"), "chunks").cast("int").alias("chunk"), F.lit(1).alias("side"), F.col("b").alias("u"))
+        roles = cuts(heads.unionByName(tails).join(vertex.select("u", "id", F.col("h").alias("hash")), "u"))
+        few = roles.count() <= BROADCAST_ROWS
+        rows = texts.join(F.broadcast(roles) if few else roles, (F.col("doc_id") == F.col("id")) & (F.col("h") == F.col("hash")))
+        rows = rows.select("a", "chunk", "side", "u", "text").repartition("a", "chunk").sortWithinPartitions("a", "chunk", "side")
+        out = cuts(rows.mapInArrow(lambda it: verified(it, words, percent), PAIR).distinct())
+        cuts.drop(pairs, roles)
+        return out
+
+    times = post.where("u <> pivot").groupBy("u", "pivot").agg(F.sum("weight").alias("times"))
+    star = times.groupBy("u").agg(F.max_by("pivot", F.struct("times", "pivot")).alias("a")).select("a", F.col("u").alias("b"))
+    na, nb = (size.select(F.col("u").alias(x), F.col("n").alias(f"n{x}")) for x in "ab")
+    star = cuts(star.join(na, "a").join(nb, "b").where(least("na", "nb")).select("a", "b", "na", "nb"))
+    ca, cb = (point.select(F.col("u").alias(x), F.col("counts").alias(f"c{x}")) for x in "ab")
+    near = star.join(ca, "a").join(cb, "b").select("a", "b", "na", "ca", "nb", "cb").mapInArrow(lambda it: bounded(it, percent), PAIR)
+    links = check(near)
+    label = cuts(components(links))
+    left = post.select("t", "u").join(label, F.col("u") == F.col("id"), "left").join(size, "u").select("t", "u", "n", F.coalesce("component_id", "u").alias("label"))
     band = F.floor(F.log("n") / math.log(100 / percent) + 1e-9)
-    rows = rows.select("t", F.explode(F.array(F.struct(band.alias("band"), F.lit(True).alias("home")), F.struct((band + 1).alias("band"), F.lit(False).alias("home")))).alias("in"), "id", "n", "label", "counts")
-    rows = rows.select("t", "in.band", "in.home", "id", "n", "label", "counts").repartition("t", "band").sortWithinPartitions("t", "band")
-    pairs = rows.mapInArrow(lambda it: tree_pairs(it, percent), PAIR).distinct()
-    label = components(links.unionByName(check(pairs))).withColumnRenamed("component_id", "root")
-    named = vertex.join(label, "id", "left").select("v", F.coalesce("root", "id").alias("component_id"))
-    out = made.join(named, "v", "left").select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id"))
-    return out.withColumn("component_id", F.when(F.col("doc_id").isNull(), F.lit(None).cast("long")).otherwise(F.col("component_id")))
+    left = left.select("t", F.explode(F.array(F.struct(band.alias("band"), F.lit(True).alias("home")), F.struct((band + 1).alias("band"), F.lit(False).alias("home")))).alias("in"), "u", "n", "label")
+    left = cuts(left.select("t", "in.band", "in.home", "u", "n", "label"))
+    # a band of a posting stays if it holds several components, one of them at home
+    split = left.groupBy("t", "band").agg(F.min("label").alias("x"), F.max("label").alias("y"), F.bool_or("home").alias("any")).where("x <> y and any").select("t", "band")
+    rows = left.join(split, ["t", "band"]).join(point.select("u", "counts"), "u")
+    rows = rows.select("t", "band", "home", "u", "n", "label", "counts").repartition("t", "band").sortWithinPartitions("t", "band")
+    links = links.unionByName(check(rows.mapInArrow(lambda it: tree_pairs(it, percent), PAIR).distinct()))
+    cuts.drop(left, label, star, post, point)
+    # the sets of one id are one vertex
+    rows = cuts(made.join(vertex.select("n", "v", "twin", "u"), ["n", "v", "twin"], "left").select("doc_id", "n", F.when(F.col("doc_id").isNotNull(), F.col("u")).alias("u")))
+    many = rows.where("u is not null").groupBy("doc_id").agg(F.min("u").alias("a"), F.max("u").alias("b")).where("a <> b").select("doc_id", "a")
+    links = links.unionByName(rows.join(many, "doc_id").where("u <> a").select("a", F.col("u").alias("b")))
+    root = components(links).select(F.col("id").alias("u"), F.col("component_id").alias("root"))
+    named = cuts(vertex.select("u", "id").join(root, "u", "left").select("u", "id", F.coalesce("root", "u").alias("root")))
+    cuts.drop(made, vertex)
+    named = named.join(named.groupBy("root").agg(F.min("id").alias("least")), "root").select("u", F.col("least").alias("component_id"))
+    return rows.join(named, "u", "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component_id", "doc_id").alias("component_id"))

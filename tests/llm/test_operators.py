@@ -269,7 +269,7 @@ def test_jaccard_with_every_row_twice(spark):
 def test_postings_of_ids_with_two_sets_stay_apart(spark):
     held = {1: "ACDE", 2: "ABDE", 3: "ABCE", 4: "ABCD"}
     rows = [(ord(c), 2 * ord(c) + k, t) for t, ids in held.items() for c in ids for k in (0, 1)]
-    assert jaccard.one_of_each(spark.createDataFrame(rows, "id long, v long, t long")).count() == 4
+    assert jaccard.one_of_each(spark.createDataFrame([(v, t) for _, v, t in rows], "u long, t long")).count() == 4
 
 
 def test_vectors_of_minority_lengths_link(spark):
