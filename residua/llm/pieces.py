@@ -3,8 +3,8 @@
 A text is cut where no vocabulary entry can span: before a space mark that follows another character. Inside such a
 chunk the encoder keeps an agenda of adjacent symbol pairs ordered by score (leftmost first among equals) and merges
 the best pair until none is left. The distinct chunks of a block of texts are merged together, one array column each;
-long chunks, and those with characters outside ASCII and the vocabulary, take a heap. A bounded memo remembers chunks by a 64-bit
-hash and length. A share of the chunks that a block meets for the first time is compared with the sentencepiece library
+long chunks, and those with characters outside ASCII and the vocabulary, take a heap. A bounded memo remembers chunks, found by a
+64-bit hash and then compared by their bytes. A share of the chunks that a block meets for the first time is compared with the sentencepiece library
 on the spot; a difference raises.
 """
 
@@ -20,13 +20,13 @@ import sentencepiece
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
-from .common import PrefixHash, text_blocks
+from .common import PrefixHash, mix, text_blocks
 
 MARK = "\u2581"
 #: Chunks of more symbols use the heap; places in an agenda entry take so many bits.
 ARRAY_SYMBOLS, PLACES = 60, 6
 #: Columns merged together, and chunks remembered by a worker.
-COLUMNS, MEMO = 2048, 600_000
+COLUMNS, MEMO = 2048, 400_000
 #: Every so-manieth new chunk is compared with the library.
 COMPARE = 32
 NONE = np.int32(1 << 30)
@@ -38,6 +38,14 @@ def ragged(starts: np.ndarray, lens: np.ndarray) -> np.ndarray:
     return np.arange(int(ends[-1]) if len(ends) else 0) + np.repeat(starts - (ends - lens), lens)
 
 
+def same_runs(a: np.ndarray, at: np.ndarray, b: np.ndarray, to: np.ndarray, lens: np.ndarray) -> np.ndarray:
+    """Whether the bytes of ``a`` from each place of ``at`` equal those of ``b`` from the place of ``to``, over ``lens`` of 1 or more."""
+    if not len(lens):
+        return np.zeros(0, bool)
+    apart = a[ragged(at, lens)] != b[ragged(to, lens)]
+    return ~np.logical_or.reduceat(apart, np.cumsum(lens) - lens)
+
+
 class PieceCoder:
     def __init__(self, path: str):
         self.library = sp = sentencepiece.SentencePieceProcessor(model_file=path)
@@ -74,7 +82,8 @@ class PieceCoder:
 
     def forget(self) -> None:
         self.hash, self.at = np.zeros(0, np.uint64), np.zeros(0, np.int64)
-        self.chars, self.size, self.pool = np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.int32)
+        self.size, self.pool = np.zeros(0, np.int64), np.zeros(0, np.int32)
+        self.bytes, self.start, self.lens = np.zeros(0, np.uint8), np.zeros(0, np.int64), np.zeros(0, np.int64)
 
     def _pair(self, left: np.ndarray, right: np.ndarray, at: np.ndarray) -> np.ndarray:
         """Agenda entries (rank, then place ``at``) of symbol pairs; NONE where no piece joins them. Symbols below 0 are no pieces."""
@@ -234,27 +243,38 @@ class PieceCoder:
         head[first] = True
         starts = np.flatnonzero(head)
         ends = np.append(starts[1:], len(data))
-        whole, back = np.unique(PrefixHash(data).of(starts, ends), return_inverse=True)
-        pick = np.zeros(len(whole), np.int64)
-        pick[back] = np.arange(len(starts))
-        size = ends[pick] - starts[pick]
+        lens_of, hashes = ends - starts, PrefixHash(data).of(starts, ends)
+        while True:  # chunks of one hash that differ take another one
+            whole, pick, back = np.unique(hashes, return_index=True, return_inverse=True)
+            like = pick[back]
+            odd = lens_of != lens_of[like]
+            odd[~odd] = ~same_runs(data, starts[~odd], data, starts[like[~odd]], lens_of[~odd])
+            if not odd.any():
+                break
+            hashes[odd] = mix(hashes[odd] + np.uint64(1))
+        size = lens_of[pick]
         at = np.minimum(np.searchsorted(self.hash, whole), max(0, len(self.hash) - 1))
-        new = np.ones(len(whole), bool) if not len(self.hash) else (self.hash[at] != whole) | (self.chars[at] != size)
+        new = np.ones(len(whole), bool)
+        if len(self.hash):
+            hit = np.flatnonzero((self.hash[at] == whole) & (self.lens[at] == size))
+            new[hit] = ~same_runs(data, starts[pick[hit]], self.bytes, self.start[at[hit]], size[hit])
         if new.any():
             lack = pick[new]
-            ids, n = self.learn(data[ragged(starts[lack], size[new])].tobytes(), size[new])
+            raws = data[ragged(starts[lack], size[new])]
+            ids, n = self.learn(raws.tobytes(), size[new])
             if len(self.hash) + len(lack) > MEMO:  # only what this block uses stays
-                kept = at[~new]
-                order = kept
-            else:
-                order = np.arange(len(self.hash))
+                order = at[~new]
+            else:  # a remembered chunk gives way to another one of its hash
+                order = np.flatnonzero(~np.isin(self.hash, whole[new]))
             pool = np.concatenate([self.pool[ragged(self.at[order], self.size[order])], ids])
-            sizes = np.concatenate([self.size[order], n])
-            keys, chars = np.concatenate([self.hash[order], whole[new]]), np.concatenate([self.chars[order], size[new]])
+            held = np.concatenate([self.bytes[ragged(self.start[order], self.lens[order])], raws])
+            sizes, lens_all = np.concatenate([self.size[order], n]), np.concatenate([self.lens[order], size[new]])
+            keys = np.concatenate([self.hash[order], whole[new]])
             sort = np.argsort(keys, kind="stable")
-            self.hash, self.chars, self.size, self.at, self.pool = keys[sort], chars[sort], sizes[sort], (np.cumsum(sizes) - sizes)[sort], pool
+            self.hash, self.pool, self.bytes = keys[sort], pool, held
+            self.size, self.at = sizes[sort], (np.cumsum(sizes) - sizes)[sort]
+            self.lens, self.start = lens_all[sort], (np.cumsum(lens_all) - lens_all)[sort]
             at = np.searchsorted(self.hash, whole)
-            at += self.chars[at] != size  # two chunks of one hash stand side by side
         slot = at[back]
         n = self.size[slot]
         ids = self.pool[ragged(self.at[slot], n)]
@@ -300,9 +320,11 @@ def encode_column(docs: DataFrame, path: str, text: str = "text", keep: list[str
     """``keep`` columns of ``docs`` plus n_tokens, ids_sha256, decoded_sha256 (and ``token_ids`` on demand).
 
     Null texts count as empty ones (only the end id); repeated rows stay repeated; an empty table gives an empty one.
-    Clashing names: columns of ``docs`` called like an output must not be in ``keep``.
+    A kept column called like an output raises; other columns of ``docs`` are ignored.
     """
     keep = ["doc_id"] if keep is None else keep
+    if clash := {x.lower() for x in keep} & {*(n for n, _ in SCHEMA), "token_ids"}:
+        raise ValueError(f"kept columns and outputs share names: {sorted(clash)}")
     fields = [docs.schema[k] for k in keep] + [T.StructField("n_tokens", T.LongType()), T.StructField("ids_sha256", T.StringType()), T.StructField("decoded_sha256", T.StringType())]
     if ids:
         fields.append(T.StructField("token_ids", T.ArrayType(T.IntegerType())))
@@ -329,5 +351,6 @@ def encode_column(docs: DataFrame, path: str, text: str = "text", keep: list[str
                 arrays = [pa.array(v, t) for v, (_, t) in zip(out, [*SCHEMA, ("token_ids", pa.list_(pa.int32()))] if ids else SCHEMA, strict=False)]
                 rows = batch.slice(first, last - first)
                 yield pa.RecordBatch.from_arrays([rows.column(k) for k in range(kept)] + arrays, names=[f.name for f in fields])
+            pa.default_memory_pool().release_unused()
 
     return docs.select(*keep, docs[text].alias("__text")).mapInArrow(run, T.StructType(fields))
