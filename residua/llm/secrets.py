@@ -23,6 +23,9 @@ except ImportError:  # the module's place before Python 3.11
 
 #: Alternatives beyond which a query is cut short (a weaker query finds more candidates, never fewer).
 MOST_TERMS = 64
+SPANS = "array<struct<start:int,place:int,end:int,kind:string>>"
+#: Findings of a text walked together.
+RUN = 128
 
 
 @dataclass(frozen=True)
@@ -119,11 +122,15 @@ def _spans(rule: Rule, order: int, text: Column) -> Column:
     kept = F.regexp_extract_all(text, pattern, F.lit(rule.group))
     gaps = F.split(text, rule.pattern, -1)
     each = F.zip_with(F.slice(gaps, F.lit(1), F.size(hits)), F.arrays_zip(hits.alias("hit"), kept.alias("kept")), lambda g, h: F.struct(F.length(g).alias("gap"), F.length(h["hit"]).alias("n"), F.length(h["kept"]).alias("m")))
-    empty = F.array().cast("array<struct<start:int,place:int,end:int,kind:string>>")
+    empty = F.array().cast(SPANS)
     start = lambda acc, x: acc["at"] + x["gap"]
     span = lambda acc, x: F.array(F.struct(start(acc, x).alias("start"), F.lit(order).alias("place"), (start(acc, x) + x["n"]).alias("end"), F.lit(rule.kind).alias("kind")))
-    walk = F.aggregate(each, F.struct(F.lit(0).alias("at"), empty.alias("found")), lambda acc, x: F.struct((start(acc, x) + x["n"]).alias("at"), F.when(x["m"] >= rule.least, F.concat(acc["found"], span(acc, x))).otherwise(acc["found"]).alias("found")))
-    return F.when(F.regexp_like(text, pattern), walk["found"]).otherwise(empty)
+    step = lambda acc, x: F.struct((start(acc, x) + x["n"]).alias("at"), F.when(x["m"] >= rule.least, F.concat(acc["found"], span(acc, x))).otherwise(acc["found"]).alias("found"))
+    # an array that grows by one copies itself: runs of findings are walked one after the other, then joined
+    run = lambda acc, k: F.aggregate(F.slice(each, k * RUN + 1, F.lit(RUN)), F.struct(acc["at"].alias("at"), empty.alias("found")), step)
+    runs = F.sequence(F.lit(0), F.floor(F.size(each) / RUN).cast("int"))
+    walk = F.aggregate(runs, F.struct(F.lit(0).alias("at"), F.array().cast(f"array<{SPANS}>").alias("found")), lambda acc, k: (lambda more: F.struct(more["at"].alias("at"), F.concat(acc["found"], F.array(more["found"])).alias("found")))(run(acc, k)))
+    return F.when(F.regexp_like(text, pattern), F.flatten(walk["found"])).otherwise(empty)
 
 
 def scan(docs: DataFrame, rules: tuple[Rule, ...] = RULES, index: DataFrame | None = None, key: str = "doc_id", text: str = "text") -> DataFrame:
@@ -142,7 +149,7 @@ def scan(docs: DataFrame, rules: tuple[Rule, ...] = RULES, index: DataFrame | No
         spans = _spans(rule, order, body)
         if trigram_query(rule.pattern):
             asked = F.col(key).isNull() | F.coalesce(F.array_contains("__kinds", rule.kind), F.lit(False))
-            spans = F.when(asked, spans).otherwise(F.array().cast("array<struct<start:int,place:int,end:int,kind:string>>"))
+            spans = F.when(asked, spans).otherwise(F.array().cast(SPANS))
         found.append(spans)
     return rows.withColumn("found", F.array_sort(F.concat(*found))).drop("__doc", "__kinds")
 
