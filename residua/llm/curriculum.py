@@ -51,37 +51,43 @@ def mix(docs: DataFrame, weights: tuple[float, ...] = (3.0, 1.0, 2.0), share: fl
     """``keep`` columns plus source, size, source_size, target, taken, position, last_position (training times of the first and last word taken; null if none is).
 
     Null texts have size 0 and take nothing; null sources are one source; repeated rows (same id and size) count each,
-    in an arbitrary but harmless order among themselves; an empty table gives an empty one. Prefix sums run in two
+    in an arbitrary but harmless order among themselves; an empty table gives an empty one; a kept column called like an
+    output raises (``source`` comes once). Prefix sums run in two
     levels: ranges of a hash (60 bits of the digest of id and text, so that any SQL engine finds the same layout) deal
     each source into ``buckets``, so a source with a third of all rows is never one group.
     """
+    if clash := {k.lower() for k in keep} & {"size", "source_size", "target", "taken", "position", "last_position"}:
+        raise ValueError(f"kept columns and outputs share names: {sorted(clash)}")
     digest = F.md5(F.concat(F.coalesce(F.col("doc_id").cast("string"), F.lit("")), F.lit(":"), F.coalesce(F.col("text"), F.lit(""))).cast("binary"))
-    rows = docs.select(*keep, "source", word_count(F.col("text")).alias("size"), F.conv(F.substring(digest, 1, 15), 16, 10).cast("long").alias("__h"))
+    named = F.coalesce(F.concat(F.lit("="), F.col("source")), F.lit("")).alias("__k")  # a source's key, never null
+    others = [k for k in keep if k.lower() not in ("source",)]
+    rows = docs.select(*others, "source", named, word_count(F.col("text")).alias("__size"), F.conv(F.substring(digest, 1, 15), 16, 10).cast("long").alias("__h"))
     rows = rows.withColumn("__b", F.shiftright("__h", 60 - (buckets - 1).bit_length()))
-    by_bucket = rows.groupBy("source", "__b").agg(F.sum("size").alias("__in"))
+    by_bucket = rows.groupBy("source", "__k", "__b").agg(F.sum("__size").alias("__in"))
     sizes = by_bucket.groupBy("source").agg(F.sum("__in").alias("source_size"))
     targets = source_targets(sizes, weights, share, most)
     targets = targets.withColumn("__place", F.row_number().over(Window.partitionBy(F.lit(0)).orderBy(F.col("source").isNull(), F.col("source").cast("binary"))) - 1)
     slope = F.element_at(F.array(*map(F.lit, slopes)), (F.col("__place") % len(slopes) + 1).cast("int"))
-    before = F.sum("__in").over(Window.partitionBy("source").orderBy("__b").rowsBetween(Window.unboundedPreceding, -1))
-    offsets = by_bucket.select(F.col("source").alias("__s"), F.col("__b").alias("__c"), F.coalesce(before, F.lit(0)).alias("__before"))
-    t = targets.select(F.col("source").alias("__t"), "source_size", "target", slope.alias("__slope"))
-    offsets = offsets.join(t, F.col("__s").eqNullSafe(F.col("__t")))
-    inside = F.sum("size").over(Window.partitionBy("source", "__b").orderBy("__h", *keep, "size").rowsBetween(Window.unboundedPreceding, Window.currentRow)) - F.col("size")
-    rows = rows.withColumn("__inside", inside).join(offsets, F.col("source").eqNullSafe(F.col("__s")) & (F.col("__b") == F.col("__c")))
+    before = F.sum("__in").over(Window.partitionBy("__k").orderBy("__b").rowsBetween(Window.unboundedPreceding, -1))
+    offsets = by_bucket.select(F.col("source").alias("__s"), "__k", "__b", F.coalesce(before, F.lit(0)).alias("__before"))
+    t = targets.select(F.col("source").alias("__t"), F.col("source_size").alias("__source_size"), F.col("target").alias("__target"), slope.alias("__slope"))
+    offsets = offsets.join(t, F.col("__s").eqNullSafe(F.col("__t"))).drop("__s", "__t")
+    inside = F.sum("__size").over(Window.partitionBy("__k", "__b").orderBy("__h", "__size").rowsBetween(Window.unboundedPreceding, Window.currentRow)) - F.col("__size")
+    # the window has dealt the rows out by the keys of this join: texts in ``keep`` move once
+    rows = rows.withColumn("__inside", inside).join(offsets, ["__k", "__b"])
     at = F.col("__before") + F.col("__inside")
-    goal = F.floor("target")
-    full = F.when(F.col("source_size") > 0, F.least(F.lit(int(most)), F.expr("cast(floor(target) as bigint) div greatest(source_size, 1)"))).otherwise(0)
-    rest = F.greatest(F.lit(0), goal - full * F.col("source_size"))
-    last = F.greatest(F.lit(0), F.least(F.col("size"), rest - at))
+    goal = F.floor("__target")
+    full = F.when(F.col("__source_size") > 0, F.least(F.lit(int(most)), F.expr("cast(floor(__target) as bigint) div greatest(__source_size, 1)"))).otherwise(0)
+    rest = F.greatest(F.lit(0), goal - full * F.col("__source_size"))
+    last = F.greatest(F.lit(0), F.least(F.col("__size"), rest - at))
     rows = rows.withColumns({"__at": at, "__full": full, "__last": last})
-    taken = (F.col("__full") * F.col("size") + F.col("__last")).cast("long")
-    end = F.when(F.col("__last") > 0, F.col("__full") * F.col("source_size") + F.col("__at") + F.col("__last")).otherwise((F.col("__full") - 1) * F.col("source_size") + F.col("__at") + F.col("size"))
+    taken = (F.col("__full") * F.col("__size") + F.col("__last")).cast("long")
+    end = F.when(F.col("__last") > 0, F.col("__full") * F.col("__source_size") + F.col("__at") + F.col("__last")).otherwise((F.col("__full") - 1) * F.col("__source_size") + F.col("__at") + F.col("__size"))
     any_taken = taken > 0
     return rows.select(
-        *keep, "source", "size", "source_size", "target", taken.alias("taken"),
-        F.when(any_taken, position(F.col("__at"), F.col("target"), F.col("__slope"))).alias("position"),
-        F.when(any_taken, position(end, F.col("target"), F.col("__slope"))).alias("last_position"),
+        *others, "source", F.col("__size").alias("size"), F.col("__source_size").alias("source_size"), F.col("__target").alias("target"), taken.alias("taken"),
+        F.when(any_taken, position(F.col("__at"), F.col("__target"), F.col("__slope"))).alias("position"),
+        F.when(any_taken, position(end, F.col("__target"), F.col("__slope"))).alias("last_position"),
     )
 
 

@@ -57,7 +57,8 @@ def op8_embedding_neardup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op9_curriculum_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return curriculum.mix(table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken", "position", "last_position")
+    mixed = curriculum.mix(table(spark, sf_dir, "documents"))
+    return curriculum.ordered(mixed).select("doc_id", "size", "source_size", "target", "taken", "position", "last_position")
 
 
 def op10_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
