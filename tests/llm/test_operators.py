@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 public_tokenizers = pytest.importorskip("public_tokenizers")
 
-from residua.llm import chat, curriculum, jaccard, langid, licenses, multiindex, neardup, pieces, queries, secrets, suffixes  # noqa: E402
+from residua.llm import chat, components, curriculum, jaccard, langid, licenses, multiindex, neardup, pieces, queries, secrets, suffixes  # noqa: E402
 
 TEXTS = [(1, None), (2, ""), (3, "a"), (3, "a"), (4, "Hello  World \n▁ x 日本 🙂"), (None, "token = abcdefgh12"), (5, "x " * 3000), (6, "é" * 400)]
 SCHEMA = "doc_id long, text string"
@@ -276,3 +276,33 @@ def test_vectors_of_minority_lengths_link(spark):
     rows = [(i, [float(i == k) for k in range(4)]) for i in range(4)] + [(10, [1.0, 2.0]), (11, [1.0, 2.0]), (12, [1.0, 2.1]), (13, [2.0, -1.0])]
     got = {r.vec_id: (r.n_links, r.component_id) for r in neardup.link(spark.createDataFrame(rows, "vec_id long, embedding array<float>")).collect()}
     assert got == {i: (0, i) for i in (0, 1, 2, 3, 13)} | {i: (2, 10) for i in (10, 11, 12)}
+
+
+def test_crowds_of_near_vectors(spark):
+    """Balls, their members near the threshold, and vectors outside, against brute force; leaves of few rows too."""
+    rng = np.random.default_rng(4)
+    unit = lambda v: v / np.linalg.norm(v, axis=-1, keepdims=True)
+    centre = unit(rng.standard_normal((3, 24)))
+    x = [unit(centre[k] + s / 24**0.5 * rng.standard_normal((n, 24))) for k, s, n in ((0, 0.1, 120), (0, 0.3, 150), (1, 0.16, 90), (1, 0.25, 60), (2, 0.02, 50))]
+    x = np.concatenate([*x, rng.standard_normal((200, 24)), x[0][:20]]).astype(np.float32)
+    rows = [(i, v.tolist()) for i, v in enumerate(x)] + [(5, x[400].tolist())]  # one id of two vectors
+    y = np.array([v for _, v in rows])
+    near = np.array([[float((p * q).sum() / np.sqrt((p * p).sum() * (q * q).sum())) >= 0.95 for q in y] for p in y])
+    np.fill_diagonal(near, False)
+    root = np.arange(len(y))
+    for _ in range(len(y)):
+        root = np.minimum(root, np.where(near, root, len(y)).min(axis=1))
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<float>").withColumns({"u": F.lit(1), "n": F.lit(2), "ball": F.lit(3)})
+    want = Counter((i, int(near[k].sum()), int(min(rows[j][0] for j in np.flatnonzero(root == root[k])))) for k, (i, _) in enumerate(rows))
+    assert len(neardup.crowds(unit(x.astype(float)), np.arccos(0.95) / 2)) >= 3
+    for kwargs in ({}, {"leaf_rows": 32, "block_dims": 8}):
+        assert Counter((r.vec_id, r.n_links, r.component_id) for r in neardup.link(df, **kwargs).collect()) == want
+
+
+def test_components_of_long_chains(spark):
+    n, rng = 1500, random.Random(2)
+    orders = [list(range(n)), [0, *range(n - 1, 0, -1)], rng.sample(range(n), n), [x for p in zip(range(n // 2), range(n - 1, n // 2 - 1, -1), strict=True) for x in p]]
+    links = [(k * n + a, k * n + b) for k, o in enumerate(orders) for a, b in zip(o[:-1], o[1:], strict=True)] + [(90000, 90000 + i) for i in range(1, 500)] + [(7, 7), (None, 3)]
+    got = {r.id: r.component_id for r in components.components(spark.createDataFrame(links, "a long, b long")).collect()}
+    assert got == {k * n + i: k * n for k in range(4) for i in range(n)} | {90000 + i: 90000 for i in range(500)}
+    assert components.components(spark.createDataFrame([], "a long, b long")).count() == 0
