@@ -11,7 +11,8 @@ the overlap from above. Sets are met and joined like this:
    Components of the links found leave little open.
 4. Postings that still hold several components go, in bands of set size, to R-trees over count points; each finds the
    pairs of different components whose bound reaches the overlap needed. These are verified exactly, and the components
-   of all links are the result. Pairs inside a component need no look: they change nothing.
+   of all links are the result. Pairs inside a component need no look: they change nothing. So that a crowd of near copies
+   is one component before its pairs are asked for, crowded bands first give each vertex's best candidate alone.
 
 Only narrow rows move until a pair has passed the bounds of size and counts; then the texts themselves come to the
 pair, once, and the task that verifies makes their sets. Tables that nothing reads any more are deleted.
@@ -33,6 +34,8 @@ from .components import components
 
 GROUPS = 256
 LEAF = 16
+#: Rows at home that are one leaf of a posting's tree.
+FEW = 64
 FOLD = np.arange(256, dtype=np.uint8)
 FOLD[65:91] += 32
 
@@ -81,6 +84,8 @@ POINT = fields(doc_id=LONG, h=LONG, n=LONG, v=LONG, twin=LONG, counts=T.BinaryTy
 CHUNK = 1024
 #: Rows of ids (some 40 bytes each) that are broadcast to the texts at most; beyond it the texts are shuffled to them.
 BROADCAST_ROWS = 1 << 18
+#: Members of a band of a posting above which they first follow their best candidates only.
+CROWDED = 16
 #: Finds of pairs that a task holds before it hands on each pair once.
 FLUSH = 1 << 15
 
@@ -142,8 +147,11 @@ class CountTree:
 
 
 
-def tree_pairs(rows: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordBatch]:
-    """Rows (posting, band, home, vertex, n, label, counts) in order of (posting, band) -> candidate pairs of different labels."""
+def tree_pairs(rows: Iterator[pa.RecordBatch], percent: int, best: bool) -> Iterator[pa.RecordBatch]:
+    """Rows (posting, band, home, vertex, n, label, counts) in order of (posting, band) -> candidate pairs of different labels.
+
+    ``best``: of a vertex's candidates in a posting only the one whose bound is furthest above the overlap needed.
+    """
     key, held, pairs = None, [], []
 
     def found() -> None:
@@ -151,10 +159,28 @@ def tree_pairs(rows: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.Reco
         own = np.flatnonzero(home)
         if not len(own) or (label == label[0]).all():
             return
+        if len(own) <= FEW:  # one leaf: all bounds at once
+            mine = counts[own]
+            for lo in range(0, len(v), FEW):
+                some = slice(lo, lo + FEW)
+                above = np.minimum(counts[some, None], mine[None]).sum(axis=2) - needed(n[own][None], n[some, None], percent)
+                good = (above >= 0) & (label[own][None] != label[some, None])
+                if best:
+                    good &= np.arange(len(own)) == np.where(good, above, -1).argmax(axis=1)[:, None]
+                else:
+                    good &= ~home[some, None] | (v[own][None] < v[some, None])
+                x, y = np.nonzero(good)
+                if len(x):
+                    x, y = v[lo + x], v[own[y]]
+                    pairs.append(np.stack([np.minimum(x, y), np.maximum(x, y)]))
+            return
         tree = CountTree(counts[own], n[own])
         for x in range(len(v)):
             near = own[tree.reach(counts[x], int(n[x]), percent)]
-            near = near[(label[near] != label[x]) & (~home[x] | (v[near] < v[x]))]
+            near = near[(label[near] != label[x]) & (best | ~home[x] | (v[near] < v[x]))]
+            if best and len(near) > 1:
+                above = np.minimum(counts[near], counts[x]).sum(axis=1) - needed(n[near], n[x], percent)
+                near = near[[above.argmax()]]
             if len(near):
                 pairs.append(np.stack([np.minimum(v[near], v[x]), np.maximum(v[near], v[x])]))
 
@@ -260,16 +286,24 @@ def near_sets(docs: DataFrame, key: str = "doc_id", text: str = "text", words: i
     near = star.join(ca, "a").join(cb, "b").select("a", "b", "na", "ca", "nb", "cb").mapInArrow(lambda it: bounded(it, percent), PAIR)
     links = check(near)
     label = cuts(components(links))
-    left = post.select("t", "u").join(label, F.col("u") == F.col("id"), "left").join(size, "u").select("t", "u", "n", F.coalesce("component_id", "u").alias("label"))
     band = F.floor(F.log("n") / math.log(100 / percent) + 1e-9)
-    left = left.select("t", F.explode(F.array(F.struct(band.alias("band"), F.lit(True).alias("home")), F.struct((band + 1).alias("band"), F.lit(False).alias("home")))).alias("in"), "u", "n", "label")
-    left = cuts(left.select("t", "in.band", "in.home", "u", "n", "label"))
-    # a band of a posting stays if it holds several components, one of them at home
-    split = left.groupBy("t", "band").agg(F.min("label").alias("x"), F.max("label").alias("y"), F.bool_or("home").alias("any")).where("x <> y and any").select("t", "band")
-    rows = left.join(split, ["t", "band"]).join(point.select("u", "counts"), "u")
-    rows = rows.select("t", "band", "home", "u", "n", "label", "counts").repartition("t", "band").sortWithinPartitions("t", "band")
-    links = links.unionByName(check(rows.mapInArrow(lambda it: tree_pairs(it, percent), PAIR).distinct()))
-    cuts.drop(left, label, star, post, point)
+    left = post.select("t", "u").join(size, "u").select("t", F.explode(F.array(F.struct(band.alias("band"), F.lit(True).alias("home")), F.struct((band + 1).alias("band"), F.lit(False).alias("home")))).alias("in"), "u", "n")
+    left = cuts(left.select("t", "in.band", "in.home", "u", "n"))
+
+    def trees(label: DataFrame, best: bool) -> DataFrame:
+        """Candidates from the bands of postings that hold several components, one of them at home (``best``: from the crowded ones)."""
+        open_ = left.join(label, F.col("u") == F.col("id"), "left").withColumn("label", F.coalesce("component_id", "u"))
+        split = open_.groupBy("t", "band").agg(F.min("label").alias("x"), F.max("label").alias("y"), F.bool_or("home").alias("any"), F.count(F.lit(1)).alias("members"))
+        split = split.where(f"x <> y and any and members > {CROWDED if best else 1}").select("t", "band")
+        rows = open_.join(split, ["t", "band"]).join(point.select("u", "counts"), "u")
+        rows = rows.select("t", "band", "home", "u", "n", "label", "counts").repartition("t", "band").sortWithinPartitions("t", "band")
+        return rows.mapInArrow(lambda it: tree_pairs(it, percent, best), PAIR).distinct()
+
+    # crowds first grow together along each vertex's best candidate; then every pair still open is looked at
+    links = links.unionByName(check(trees(label, True)))
+    whole = cuts(components(links))
+    links = links.unionByName(check(trees(whole, False)))
+    cuts.drop(left, label, whole, star, post, point)
     # the sets of one id are one vertex
     rows = cuts(made.join(vertex.select("n", "v", "twin", "u"), ["n", "v", "twin"], "left").select("doc_id", "n", F.when(F.col("doc_id").isNotNull(), F.col("u")).alias("u")))
     many = rows.where("u is not null").groupBy("doc_id").agg(F.min("u").alias("a"), F.max("u").alias("b")).where("a <> b").select("doc_id", "a")
