@@ -2,7 +2,8 @@
 
 A superstep reads one snapshot (base tables plus the log of moves since the last compaction), lets every active vertex
 push to its lowest residual neighbour or relabel, and appends one small table of moves. Slots are rewritten only when
-the log is compacted, at the end of a round.
+the log is compacted, at the end of a round. Under the worklist drive base slots meet the worklist before anything else:
+they are scanned, but only rows of active vertices move.
 """
 
 from __future__ import annotations
@@ -16,7 +17,7 @@ from pyspark.sql import functions as F
 
 from .graph import FlowState, default_cycles, excess_of
 from .heights import full_levels, sink_levels
-from .lineage import cut, folder
+from .lineage import cut, drop, folder
 
 MOVES = "src long, dst long, amount long, height long, full boolean"
 #: Wide supersteps between two global relabels, at most: a round ends when none pushes.
@@ -24,18 +25,38 @@ WIDE_CYCLES = 8
 Filter = Callable[[DataFrame], DataFrame]
 
 
-def with_moves(state: FlowState, log: DataFrame | None) -> FlowState:
-    """The state after the log's pushes and relabels."""
-    if log is None:
-        return state
+def both_ways(log: DataFrame) -> DataFrame:
+    """Every push of the log as it changes the net flow of both rows of its pair."""
     push = log.where("amount is not null")
-    both = push.select("src", "dst", "amount").unionByName(push.select(F.col("dst").alias("src"), F.col("src").alias("dst"), (-F.col("amount")).alias("amount")))
-    by_slot = both.groupBy("src", "dst").agg(F.sum("amount").cast("long").alias("moved"))
-    slots = state.slots.join(by_slot, ["src", "dst"], "left").select("src", "dst", "cap_out", "cap_in", (F.col("net") + F.coalesce("moved", F.lit(0))).alias("net"))
-    by_vertex = both.select(F.col("src").alias("id"), "amount", F.lit(None).cast("long").alias("height")).unionByName(log.where("height is not null").select(F.col("src").alias("id"), F.lit(0).cast("long").alias("amount"), "height"))
+    return push.select("src", "dst", "amount").unionByName(push.select(F.col("dst").alias("src"), F.col("src").alias("dst"), (-F.col("amount")).alias("amount")))
+
+
+def slots_after(slots: DataFrame, log: DataFrame | None) -> DataFrame:
+    """Slots, all or some of them, after the log's pushes."""
+    if log is None:
+        return slots
+    by_slot = both_ways(log).groupBy("src", "dst").agg(F.sum("amount").cast("long").alias("moved"))
+    return slots.join(by_slot, ["src", "dst"], "left").select("src", "dst", "cap_out", "cap_in", (F.col("net") + F.coalesce("moved", F.lit(0))).alias("net"))
+
+
+def verts_after(verts: DataFrame, log: DataFrame | None) -> DataFrame:
+    """Vertices after the log's pushes and relabels."""
+    if log is None:
+        return verts
+    by_vertex = both_ways(log).select(F.col("src").alias("id"), "amount", F.lit(None).cast("long").alias("height")).unionByName(log.where("height is not null").select(F.col("src").alias("id"), F.lit(0).cast("long").alias("amount"), "height"))
     by_vertex = by_vertex.groupBy("id").agg(F.sum("amount").cast("long").alias("out"), F.max("height").alias("new"))
-    verts = state.verts.join(by_vertex, "id", "left").select("id", F.coalesce("new", "height").alias("height"), (F.col("excess") - F.coalesce("out", F.lit(0))).alias("excess"))
-    return replace(state, slots=slots, verts=verts)
+    return verts.join(by_vertex, "id", "left").select("id", F.coalesce("new", "height").alias("height"), (F.col("excess") - F.coalesce("out", F.lit(0))).alias("excess"))
+
+
+def with_moves(state: FlowState, log: DataFrame | None) -> FlowState:
+    """The state after the log's pushes and relabels."""
+    return replace(state, slots=slots_after(state.slots, log), verts=verts_after(state.verts, log))
+
+
+def slots_of(slots: DataFrame, work: DataFrame, log: DataFrame | None) -> DataFrame:
+    """The current slots of the vertices of ``work`` alone: base slots meet the worklist first, so that the log, the
+    neighbours' heights and every shuffle behind them see as many rows as these vertices have neighbours."""
+    return slots_after(slots.join(work.select(F.col("id").alias("src")), "src", "left_semi"), log)
 
 
 def active(state: FlowState, verts: DataFrame | None = None) -> DataFrame:
@@ -110,7 +131,7 @@ def discharge(state: FlowState, roots: Callable[[FlowState], DataFrame] = defici
     restricts the arcs that may be used.
     """
     spark = state.slots.sparkSession
-    k = cycles or (WIDE_CYCLES if step == "wide" else default_cycles(state.n_arcs, state.n))
+    k = cycles or (WIDE_CYCLES if step == "wide" else default_cycles(state.n_arcs, state.n, None))
     counters, trace = dict(state.counters), list(state.trace)
     rounds = 0
     while max_rounds is None or rounds < max_rounds:
@@ -129,11 +150,12 @@ def discharge(state: FlowState, roots: Callable[[FlowState], DataFrame] = defici
         first = active(state).select("id")
         for _ in range(k):
             began = time.perf_counter()
-            now = with_moves(state, spark.read.schema(MOVES).parquet(*paths) if paths else None)
-            usable = keep(now.slots)
+            log = spark.read.schema(MOVES).parquet(*paths) if paths else None
+            now = replace(state, verts=verts_after(state.verts, log))
             work = active(now)
             if worklist == "frozen":
                 work = work.join(first, "id", "left_semi")
+            usable = slots_after(keep(state.slots), log) if drive == "topology" else slots_of(keep(state.slots), work, log)
             if step == "wide":
                 if drive == "topology":  # every vertex looks at its neighbours; those that are not active have nothing to push
                     live = (F.col("excess") > 0) & (F.col("height") < state.n) & ~F.col("id").isin(state.s, state.t)
@@ -152,8 +174,9 @@ def discharge(state: FlowState, roots: Callable[[FlowState], DataFrame] = defici
             paths.append(path)
             done = spark.read.schema(f"{MOVES}, far long").parquet(path)
             if step == "split":
-                after = with_moves(state, spark.read.schema(MOVES).parquet(*paths))
-                low = lowest_neighbours(keep(after.slots), after.verts, active(after))
+                log = spark.read.schema(MOVES).parquet(*paths)
+                after = replace(state, verts=verts_after(state.verts, log))
+                low = lowest_neighbours(slots_of(keep(state.slots), active(after), log), after.verts, active(after))
                 path = folder(spark)
                 plan_relabels(low, state.n).write.parquet(path)
                 paths.append(path)
@@ -172,6 +195,7 @@ def discharge(state: FlowState, roots: Callable[[FlowState], DataFrame] = defici
             state = with_moves(state, steep)
         slots = cut(state.slots)
         state = replace(state, slots=slots, verts=cut(state.verts))
+        drop(spark, paths)  # the round's log is in the state now
         add(counters, rounds=1)
     return replace(state, counters=counters, trace=trace)
 

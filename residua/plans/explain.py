@@ -1,10 +1,15 @@
-"""Plan checks used in tests: what a plan must not hold."""
+"""Plan checks used in tests: what a plan must and must not hold."""
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame
 
 
+def physical(df: DataFrame) -> str:
+    """The physical plan as a tree, a line for each operator, as planned before the run."""
+    return df._jdf.queryExecution().sparkPlan().toString()
+
+
 def plan_of(df: DataFrame) -> str:
     return df._jdf.queryExecution().explainString(df.sparkSession._jvm.org.apache.spark.sql.execution.ExplainMode.fromString("formatted"))
 

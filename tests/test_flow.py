@@ -1,13 +1,18 @@
 """Hand graphs with known values, seeded random graphs against oracles, and certificates."""
 
 import random
+from datetime import datetime
 
 import pytest
+from pyspark.sql import functions as F
 
 from residua.cuts import arc_flows, audit_slots, settle
+from residua.engine import MOVES, lowest_neighbours, slots_of
 from residua.graph import ARCS, FlowProblem, FlowState, build_slots, init_state, rejected_arcs, validate_arcs
+from residua.plans.explain import has_product, physical
 from residua.reference import sequential_push_relabel, smallest_cut
-from residua.solvers import DYNAMIC, PROGRAMS, certify, solve_dynamic, solve_static
+from residua.solvers import DYNAMIC, PROGRAMS, certify, solve_augmenting, solve_dynamic, solve_static
+from residua.streaming.maintain import Maintainer
 
 HAND = {
     "g1": ([(0, 1, 5), (1, 9, 3)], 3, [(1, 9, 10)], 5),
@@ -59,6 +64,52 @@ def test_fused_step_with_steep_arcs(spark):
     assert result.value == 7 and audit_slots(result.state.slots).isEmpty()
 
 
+def test_augmenting_paths(spark):
+    arcs = HAND["g3"][0]
+    for search in ("shortest", "any"):
+        result = solve_augmenting(problem(spark, arcs), search)
+        assert result.value == 6 and tuple(certify(problem(spark, arcs), result).first()) == ZERO
+
+
+def test_inserted_and_deleted_arcs(spark):
+    """An arc that was not there, a deleted one, then both batches undone: a sequence continues from state to state."""
+    arcs = [(0, 1, 4), (1, 9, 2)]
+    state = solve_static(problem(spark, arcs)).state
+    for change, value in (([(1, 2, 3), (2, 9, 3)], 4), ([(1, 9, 0)], 3), ([(1, 2, 0), (1, 9, 2), (0, 1, 1)], 1)):
+        result = solve_dynamic(state, batch(spark, change), step="fused")
+        assert result.value == value
+        state = result.state
+
+
+def test_superstep_moves_only_the_worklists_rows(spark, tmp_path):
+    n = 20_000
+    path = str(tmp_path / "slots")
+    ring = spark.range(n).select("id", ((F.col("id") + 1) % n).alias("to"))
+    build_slots(ring.select(F.col("id").alias("src"), F.col("to").alias("dst"), F.lit(3).cast("long").alias("cap"))).write.parquet(path)
+    log = spark.createDataFrame([(5, 6, 1, None, None)], MOVES)
+    work = spark.createDataFrame([(5, 1, 2), (6, 1, 1)], "id long, height long, excess long")
+    verts = spark.range(n).select("id", F.lit(1).cast("long").alias("height"), F.lit(0).cast("long").alias("excess"))
+    low = lowest_neighbours(slots_of(spark.read.parquet(path), work, log), verts, work)
+    assert {(r.src, r.dst, r.room) for r in low.collect()} == {(5, 6, 2), (6, 5, 1)}
+    assert not has_product(low)
+    lines = physical(low).splitlines()
+    scan = next(k for k, x in enumerate(lines) if "FileScan parquet" in x and "cap_out" in x)
+    joins = [x for x in lines[:scan] if "Join" in x]
+    assert "LeftSemi" in joins[-1], lines  # the join right above the base slots is the one with the worklist
+
+
+def test_stream_of_changes_keeps_a_state_current(spark, tmp_path):
+    base = solve_static(problem(spark, [(0, 1, 5), (1, 9, 3)]))
+    keeper = Maintainer(str(tmp_path))
+    base.state.save(f"{tmp_path}/state-base")
+    rows = lambda *r: spark.createDataFrame(r, "src long, dst long, new_cap long, seq long, ts timestamp")
+    day = datetime(2024, 1, 1)
+    keeper(rows((1, 9, 1, 0, day), (1, 9, 10, 1, day)), 0)
+    keeper(rows((1, 9, 1, 0, day)), 0)  # a replayed batch does nothing
+    keeper(rows((0, 1, 2, 0, day)), 1)
+    assert [(r.batch_id, r.value) for r in spark.read.parquet(f"{tmp_path}/done").orderBy("batch_id").collect()] == [(0, 5), (1, 2)]
+
+
 def test_state_and_flow(spark, tmp_path):
     arcs = [(0, 1, 10), (1, 2, 10), (1, 9, 1)]
     result = solve_static(problem(spark, arcs))
