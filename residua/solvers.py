@@ -135,19 +135,19 @@ def run_bridge(state: FlowState, **how) -> FlowState:
 # ---- baselines
 
 
-def solve_alternating(state: FlowState, updates: DataFrame, cycles: int | None = None, max_rounds: int = 12) -> FlowResult:
+def solve_alternating(state: FlowState, updates: DataFrame, cycles: int | None = None, max_rounds: int = 12, step: str = "wide") -> FlowResult:
     """Push and pull in turn over the whole graph; after ``max_rounds`` it pushes only, so that it ends (``fallback`` counts that)."""
     now = patched(state, updates, into_sink=True)
     for k in range(max_rounds):
         if k % 2:
-            now = discharge(now.mirror(), deficits, cycles=cycles, max_rounds=1).mirror()
+            now = discharge(now.mirror(), deficits, cycles=cycles, max_rounds=1, step=step).mirror()
         else:
-            now = discharge(now, deficits, cycles=cycles, max_rounds=1)
+            now = discharge(now, deficits, cycles=cycles, max_rounds=1, step=step)
         over = now.verts.where((F.col("excess") > 0) & ~F.col("id").isin(now.s, now.t))
         levels, _ = sink_levels(now.slots, deficits(now), now.n, (now.s,))
         if over.join(levels, "id", "left_semi").isEmpty():
             return finish(now)
-    now = discharge(now, deficits, cycles=cycles)
+    now = discharge(now, deficits, cycles=cycles, step=step)
     return finish(replace(now, counters=now.counters | {"fallback": 1}))
 
 
@@ -157,30 +157,41 @@ def recompute(problem: FlowProblem, updates: DataFrame, method: str = "static_da
 
 
 def solve_augmenting(problem: FlowProblem, search: str = "shortest", max_paths: int = 500) -> FlowResult:
-    """One augmenting path after another, along breadth-first parents; 'any' takes the largest parent instead of the smallest.
-    For small graphs: a path goes through the driver."""
+    """One augmenting path after another. 'shortest' takes a path of fewest arcs; 'any' takes whatever path its scaled
+    network has, which holds the arcs with room for ``unit`` and more, the unit halving when no such path is left.
+
+    For small graphs: a job for each arc of a path, whose arcs alone go through the driver.
+    """
     spark = problem.arcs.sparkSession
     slots = cut(build_slots(problem.arcs))
     state = fresh(FlowState(slots, None, problem.s, problem.t, 0, 0))
-    for paths in range(max_paths + 1):
-        start = state.verts.where(F.col("id") == state.s).select("id")
-        levels, _ = source_levels(state.slots, start, state.n)
-        if levels.where(F.col("id") == state.t).isEmpty():
+    most = slots.agg(F.max(room_out())).first()[0] or 0
+    unit = 1 if search == "shortest" else 1 << max(0, int(most).bit_length() - 1)
+    start = state.verts.where(F.col("id") == state.s).select("id")
+    paths = 0
+    while True:
+        wide = state.slots.where(room_out() >= unit)
+        levels, _ = source_levels(wide, start, state.n)
+        end = levels.where(F.col("id") == state.t).first()
+        if end is None and unit == 1:
             return finish(replace(state, verts=cut(state.verts), counters={"paths": paths}))
-        a = levels.select(F.col("id").alias("src"), F.col("level").alias("x"))
-        b = levels.select(F.col("id").alias("dst"), F.col("level").alias("y"))
-        step = state.slots.where(room_out() > 0).join(a, "src").join(b, "dst").where("y = x + 1")
-        pick = F.min if search == "shortest" else F.max
-        parent = {r.dst: (r.p.src, r.p.room) for r in step.groupBy("dst").agg(pick(F.struct("src", room_out().alias("room"))).alias("p")).collect()}
+        if end is None:
+            unit //= 2
+            continue
+        if paths == max_paths:
+            raise RuntimeError("too many augmenting paths for this baseline")
+        paths += 1
         path, at = [], state.t
-        while at != state.s:
-            path.append((parent[at][0], at, parent[at][1]))
-            at = path[-1][0]
+        for level in range(end.level - 1, -1, -1):
+            before = levels.where(F.col("level") == level).select(F.col("id").alias("src"))
+            back = wide.where(F.col("dst") == at).join(before, "src", "left_semi").select("src", room_out().alias("room"))
+            step = back.agg(F.min(F.struct("src", "room")).alias("p")).first().p
+            path.append((step.src, at, step.room))
+            at = step.src
         d = min(p[2] for p in path)
         log = spark.createDataFrame([(u, v, d, None, None) for u, v, _ in path], MOVES)
         state = with_moves(state, log)
         state = replace(state, slots=cut(state.slots), verts=cut(state.verts))
-    raise RuntimeError("too many augmenting paths for this baseline")
 
 
 PROGRAMS = {
