@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..graph import FlowState
+from ..lineage import folder
 from ..solvers import DYNAMIC
 
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
@@ -50,10 +51,21 @@ def exists(spark: SparkSession, path: str) -> bool:
     return p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(p)
 
 
-def run_to_table(stream: DataFrame, name: str, mode: str = "append", checkpoint: str | None = None) -> DataFrame:
-    """Everything available now through a Parquet-free memory sink, as a table."""
+def run_to_table(stream: DataFrame, mode: str = "append", at: str | None = None) -> DataFrame:
+    """Everything available now, written as Parquet with a checkpoint beside it, as a table.
+
+    A batch overwrites its own folder, so a replayed one changes nothing; in 'complete' mode the last batch is the result.
+    """
     spark = stream.sparkSession
-    writer = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True)
-    query = (writer.option("checkpointLocation", checkpoint) if checkpoint else writer).start()
-    query.awaitTermination()
-    return spark.table(name)
+    at, kind = at or folder(spark), stream.schema
+    done: list[int] = []
+
+    def write(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{at}/batch={number}")
+        done.append(number)
+
+    writer = stream.writeStream.foreachBatch(write).outputMode(mode).trigger(availableNow=True)
+    writer.option("checkpointLocation", f"{at}-checkpoint").start().awaitTermination()
+    if not done:
+        return spark.createDataFrame([], kind)
+    return spark.read.schema(kind).parquet(*[f"{at}/batch={k}" for k in (done if mode != "complete" else done[-1:])])
