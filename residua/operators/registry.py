@@ -11,8 +11,8 @@ from .. import apps
 from .. import experiments as X
 from .. import workloads as W
 from ..cuts import cut_capacity
-from ..engine import lowest_neighbours, plan_pushes, plan_relabels
-from ..graph import SINK, SOURCE, FlowProblem, build_slots, default_cycles, excess_of, room_out, saturate, simple_arcs
+from ..engine import lowest_neighbours, plan_pushes, plan_relabels, steep_moves
+from ..graph import SINK, SOURCE, FlowProblem, FlowState, build_slots, default_cycles, excess_of, saturate, simple_arcs
 from ..heights import sink_levels
 from ..solvers import DYNAMIC, PROGRAMS, apply_updates, certify, recompute, repair_overfull, saturate_cut, solve_augmenting, solve_static, value_row
 from ..streaming import maintain
@@ -76,7 +76,14 @@ for _net, _programs in {"tier": ("static_topo", "static_data", "static_pp"), "tr
         put(f"value_{_net}_{_p}", lambda s, d, net=_net, p=_p: (lambda q: value_row(PROGRAMS[p](q), q.arcs))(W.NETWORKS[net](s, d)), CLOSED[_net]())
 
 
-def after_batch(net: str, kind: str, program: str) -> Callable:
+# the single-arc steps, K = average degree: 'fused' with steep arcs filled, 'split', and the worklist frozen for a round
+for _p in PROGRAMS:
+    put(f"value_tier_{_p}_fused", lambda s, d, p=_p: (lambda q: value_row(PROGRAMS[p](q, step="fused"), q.arcs))(W.tier(s, d)), CLOSED["tier"]())
+put("value_tier_static_data_split", lambda s, d: (lambda q: value_row(PROGRAMS["static_data"](q, step="split"), q.arcs))(W.tier(s, d)), CLOSED["tier"]())
+put("value_tier_static_data_frozen", lambda s, d: (lambda q: value_row(PROGRAMS["static_data"](q, step="fused", worklist="frozen"), q.arcs))(W.tier(s, d)), CLOSED["tier"]())
+
+
+def after_batch(net: str, kind: str, program: str, **how: str) -> Callable:
     """Solves the network, then the fixtures' batch from the residual state (or from zero for 'recompute')."""
 
     def run(s: SparkSession, d: str) -> DataFrame:
@@ -87,13 +94,15 @@ def after_batch(net: str, kind: str, program: str) -> Callable:
         if program == "recompute":
             return value_row(recompute(old, batch), new.arcs)
         base = PROGRAMS["static_pp"](old).state
-        return value_row(DYNAMIC[program](base, batch), new.arcs)
+        return value_row(DYNAMIC[program](base, batch, **how), new.arcs)
 
     return run
 
 
 for _net, _kind, _p in (("trade14", "increase", "dyn_pp"), ("trade14", "decrease", "dyn_data"), ("trade14", "mixed", "alt_pp"), ("trade14", "mixed", "recompute"), ("tier", "increase", "dyn_data"), ("tier", "decrease", "dyn_topo"), ("tier", "mixed", "dyn_pp"), ("docs", "decrease", "dyn_pp"), ("docs", "increase", "alt_pp")):
     put(f"value_{_net}_{_kind}_{_p}", after_batch(_net, _kind, _p), CLOSED[_net](_kind))
+for _kind, _p in (("increase", "dyn_topo"), ("mixed", "dyn_data"), ("decrease", "dyn_pp"), ("increase", "alt_pp")):
+    put(f"value_tier_{_kind}_{_p}_fused", after_batch("tier", _kind, _p, step="fused"), CLOSED["tier"](_kind))
 put("value_trade14_augment_shortest", lambda s, d: (lambda q: value_row(solve_augmenting(q), q.arcs))(W.trade14(s, d)), cut_trade())
 put("value_trade14_augment_any", lambda s, d: (lambda q: value_row(solve_augmenting(q, "any"), q.arcs))(W.trade14(s, d)), cut_trade())
 put("value_trade14_no_relabel", lambda s, d: (lambda q: value_row(solve_static(q, global_relabel="once", step="fused"), q.arcs))(W.trade14(s, d)), cut_trade())
@@ -192,14 +201,20 @@ def steps(net: str, build: Callable[..., FlowProblem], trade: str, n: int) -> No
 
     put(f"lowest_neighbour_{net}", lambda s, d: snapshot(s, d)[2].select("src", "dst", "far", "room"), f"{ex} SELECT src, dst, CAST(far AS BIGINT) AS far, CAST(room AS BIGINT) AS room FROM low")
     put(f"push_step_{net}", lambda s, d: plan_pushes(snapshot(s, d)[2]).select("src", "dst", "amount", "full"), f"{ex} SELECT src, dst, CAST(least(excess, room) AS BIGINT) AS amount, least(excess, room) = room AS \"full\" FROM low WHERE own > far")
-    put(f"relabel_step_{net}", lambda s, d: plan_relabels(snapshot(s, d)[2], n).select("src", "height"), f"{ex} SELECT src, CAST(least(far + 1, {n}) AS BIGINT) AS height FROM low WHERE own <= far")
+    def grounded(s: SparkSession, d: str) -> DataFrame:
+        """Lowest neighbours in the very first state: every height 0 but the source's, so that active vertices relabel."""
+        slots, verts, _ = snapshot(s, d)
+        verts = verts.withColumn("height", F.when(F.col("id") == 3, F.lit(n)).otherwise(F.lit(0)).cast("long"))
+        return lowest_neighbours(slots, verts, verts.where("excess > 0 and id not in (3, 12)"))
+
+    put(f"relabel_step_{net}", lambda s, d: plan_relabels(grounded(s, d), n).select("src", "height"), f"{ex.replace('WHEN src = 12 THEN 0 ELSE 1 END AS height', 'ELSE 0 END AS height')} SELECT src, CAST(least(far + 1, {n}) AS BIGINT) AS height FROM low WHERE own <= far")
 
     def steep(s: SparkSession, d: str) -> DataFrame:
         slots = saturate(build_slots(build(s, d).arcs), 3)
-        h = lambda c: (F.col(c) * 5 % 7).alias("h" + c)
-        return slots.where("cap_out > net").select("src", "dst", h("src"), h("dst"), room_out().alias("room")).where("hsrc > hdst + 1").select("src", "dst", "room")
+        verts = excess_of(slots).select("id", (F.col("id") * 5 % 7).alias("height"), "excess")
+        return steep_moves(FlowState(slots, verts, 3, 12, n, 0), slots).select("src", "dst", F.col("amount").alias("room"))
 
-    put(f"steep_arcs_{net}", steep, f"{head} SELECT src, dst, CAST(cap_out - net AS BIGINT) AS room FROM st WHERE cap_out > net AND src * 5 % 7 > dst * 5 % 7 + 1")
+    put(f"steep_arcs_{net}", steep, f"{head} SELECT src, dst, CAST(cap_out - net AS BIGINT) AS room FROM st WHERE cap_out > net AND src NOT IN (3, 12) AND src * 5 % 7 > dst * 5 % 7 + 1")
 
     def levels(s: SparkSession, d: str) -> DataFrame:
         p = build(s, d)
@@ -254,10 +269,8 @@ put("experiment_cut_drift", lambda s, d: X.drift(W.tree(s, d), "mixed", SHARE))
 DAY = "CAST(ts AS DATE)"
 
 
-def stream(s: SparkSession, d: str, name: str, make: Callable[[DataFrame], DataFrame], mode: str = "append") -> DataFrame:
-    import uuid
-
-    return maintain.run_to_table(make(maintain.event_stream(s, d)), f"{name}_{uuid.uuid4().hex[:8]}", mode)
+def stream(s: SparkSession, d: str, make: Callable[[DataFrame], DataFrame], mode: str = "append") -> DataFrame:
+    return maintain.run_to_table(make(maintain.event_stream(s, d)), mode)
 
 
 def windowed(w) -> Callable[[DataFrame], DataFrame]:
@@ -265,12 +278,12 @@ def windowed(w) -> Callable[[DataFrame], DataFrame]:
 
 
 CHG = "SELECT user_id % 14 AS src, event_id % 14 AS dst, CAST(1 + CAST(floor(value) AS BIGINT) % 100 AS BIGINT) AS new_cap, event_id AS seq, ts FROM events WHERE user_id % 14 <> event_id % 14"
-put("stream_tumbling", lambda s, d: stream(s, d, "tumbling", windowed(lambda c: F.window(c, "1 day")), "complete"), f"SELECT CAST(epoch(date_trunc('day', ts)) AS BIGINT) AS start, CAST(sum(new_cap) AS BIGINT) AS cap, count(*) AS n FROM ({CHG}) GROUP BY 1")
-put("stream_sliding", lambda s, d: stream(s, d, "sliding", windowed(lambda c: F.window(c, "1 day", "6 hours")), "complete"), f"SELECT CAST((CAST(floor(epoch(ts)) AS BIGINT) // 21600) * 21600 AS BIGINT) - k.range * 21600 AS start, CAST(sum(new_cap) AS BIGINT) AS cap, count(*) AS n FROM ({CHG}), range(4) k GROUP BY 1")
-put("stream_session", lambda s, d: stream(s, d, "session", lambda e: e.withWatermark("ts", "1 hour").groupBy("user_id", F.session_window("ts", "1 hour").alias("w")).agg(F.count(F.lit(1)).alias("n")).select("user_id", "n"), "append"))
-put("stream_dedup", lambda s, d: stream(s, d, "dedup", lambda e: maintain.changes(e).withWatermark("ts", "3650 days").dropDuplicatesWithinWatermark(["src", "dst", "new_cap"]).select("src", "dst", "new_cap")), f"SELECT DISTINCT src, dst, new_cap FROM ({CHG})")
-put("stream_late", lambda s, d: stream(s, d, "late", lambda e: maintain.changes(e).withWatermark("ts", "1 day").groupBy(F.window("ts", "1 day").alias("w")).agg(F.count(F.lit(1)).alias("n")).select(F.unix_seconds("w.start").alias("start"), "n")))
-put("stream_last_cap", lambda s, d: stream(s, d, "last", lambda e: maintain.changes(e).groupBy("src", "dst").agg(F.max_by("new_cap", F.struct("ts", "seq")).alias("new_cap")), "complete"), f"SELECT src, dst, max_by(new_cap, struct_pack(a := ts, b := seq)) AS new_cap FROM ({CHG}) GROUP BY 1, 2")
+put("stream_tumbling", lambda s, d: stream(s, d, windowed(lambda c: F.window(c, "1 day")), "complete"), f"SELECT CAST(epoch(date_trunc('day', ts)) AS BIGINT) AS start, CAST(sum(new_cap) AS BIGINT) AS cap, count(*) AS n FROM ({CHG}) GROUP BY 1")
+put("stream_sliding", lambda s, d: stream(s, d, windowed(lambda c: F.window(c, "1 day", "6 hours")), "complete"), f"SELECT CAST((CAST(floor(epoch(ts)) AS BIGINT) // 21600) * 21600 AS BIGINT) - k.range * 21600 AS start, CAST(sum(new_cap) AS BIGINT) AS cap, count(*) AS n FROM ({CHG}), range(4) k GROUP BY 1")
+put("stream_session", lambda s, d: stream(s, d, lambda e: e.withWatermark("ts", "1 hour").groupBy("user_id", F.session_window("ts", "1 hour").alias("w")).agg(F.count(F.lit(1)).alias("n")).select("user_id", "n"), "append"))
+put("stream_dedup", lambda s, d: stream(s, d, lambda e: maintain.changes(e).withWatermark("ts", "3650 days").dropDuplicatesWithinWatermark(["src", "dst", "new_cap"]).select("src", "dst", "new_cap")), f"SELECT DISTINCT src, dst, new_cap FROM ({CHG})")
+put("stream_late", lambda s, d: stream(s, d, lambda e: maintain.changes(e).withWatermark("ts", "1 day").groupBy(F.window("ts", "1 day").alias("w")).agg(F.count(F.lit(1)).alias("n")).select(F.unix_seconds("w.start").alias("start"), "n")))
+put("stream_last_cap", lambda s, d: stream(s, d, lambda e: maintain.changes(e).groupBy("src", "dst").agg(F.max_by("new_cap", F.struct("ts", "seq")).alias("new_cap")), "complete"), f"SELECT src, dst, max_by(new_cap, struct_pack(a := ts, b := seq)) AS new_cap FROM ({CHG}) GROUP BY 1, 2")
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
