@@ -2,11 +2,13 @@
 
 Each half of a vector is quantised by its own codebook, so two codebooks of ``codes`` centroids make ``codes``^2 cells.
 A query ranks both codebooks by how far a centroid's inner product falls short of the best one, and walks the pairs in
-order of the summed shortfall with a heap until the cells walked hold ``share`` of all rows. Rows of those cells are
-reranked by the exact inner product in double precision.
+order of the summed shortfall with a heap (of blocks of neighbouring pairs) until the cells walked hold ``share`` of all
+rows. Rows of those cells, and no others, are multiplied, in single precision, and those near the k-th best are reranked
+by the exact inner product in double precision.
 
 Codebooks are fitted on a bounded sample (``most_fit`` rows); every row is indexed. Cells are dealt into ``parts``, and
-parts into chunks of about ``chunk`` rows, so a crowded cell is searched by many tasks.
+parts into chunks of about ``chunk`` rows, so a crowded cell is searched by many tasks. Since a fixed share of all rows is
+walked, a query goes to most chunks: the work for a query grows with the rows, at ``share`` of a full scan.
 """
 
 from __future__ import annotations
@@ -24,6 +26,10 @@ from .common import cut
 from .vectors import matrix, sample, usable, width
 
 
+#: Ranked centroids a side of a block that the heap holds.
+STEP = 16
+
+
 def centroids(x: np.ndarray, k: int, rounds: int = 15, seed: int = 7) -> np.ndarray:
     """Lloyd's algorithm from a seeded choice; fewer centroids if there are fewer distinct rows."""
     x = np.unique(x, axis=0)
@@ -39,30 +45,47 @@ def nearest(x: np.ndarray, c: np.ndarray) -> np.ndarray:
     return ((c * c).sum(axis=1) - 2 * x @ c.T).argmin(axis=1)
 
 
-def walk(first: np.ndarray, second: np.ndarray, held: np.ndarray, goal: float, owned: np.ndarray, least: float) -> list[int]:
-    """Cells in order of the summed shortfall of their two centroids until they hold ``goal`` rows and ``least`` in ``owned``."""
+def walk(first: np.ndarray, second: np.ndarray, held: np.ndarray, goal: float, owned: np.ndarray, least: float) -> np.ndarray:
+    """Cells in order of the summed shortfall of their two centroids until they hold ``goal`` rows and ``least`` in ``owned``.
+
+    The heap holds blocks of ``STEP`` x ``STEP`` pairs of ranked centroids by their least sum. A popped block opens its two
+    neighbours; all cells whose sum is no greater than the least block left are final.
+    """
     a, b = np.argsort(first, kind="stable"), np.argsort(second, kind="stable")
-    out, got, ids, seen = [], 0, 0.0, {(0, 0)}
-    heap = [(first[a[0]] + second[b[0]], 0, 0)]
-    while heap and (got < goal or ids < least - 1e-6):
+    x, y, by_rank = first[a], second[b], held.reshape(len(first), len(second))
+    heap, seen = [(x[0] + y[0], 0, 0)], {(0, 0)}
+    sums, cells, rows, ids = [], [], 0, 0.0
+    while heap:
         _, i, j = heapq.heappop(heap)
-        cell = int(a[i]) * len(second) + int(b[j])
-        if held[cell]:
-            out.append(cell)
-            got += int(held[cell])
-            ids += owned[cell]
-        for p, q in ((i + 1, j), (i, j + 1)):
-            if p < len(a) and q < len(b) and (p, q) not in seen:
+        some = a[i : i + STEP][:, None], b[j : j + STEP][None]
+        n = by_rank[some]
+        u, v = np.nonzero(n)
+        cell = a[i + u] * len(second) + b[j + v]
+        sums.append(x[i + u] + y[j + v])
+        cells.append(cell)
+        rows += int(n.sum())
+        ids += float(owned[cell].sum())
+        for p, q in ((i + STEP, j), (i, j + STEP)):
+            if p < len(x) and q < len(y) and (p, q) not in seen:
                 seen.add((p, q))
-                heapq.heappush(heap, (first[a[p]] + second[b[q]], p, q))
-    return out
+                heapq.heappush(heap, (x[p] + y[q], p, q))
+        if rows >= goal and ids >= least - 1e-6 or not heap:
+            total, found = np.concatenate(sums), np.concatenate(cells)
+            order = np.lexsort((found, total))
+            total, found = total[order], found[order]
+            enough = np.flatnonzero((np.cumsum(held[found]) >= goal) & (np.cumsum(owned[found]) >= least - 1e-6))
+            if len(enough) and (not heap or total[enough[0]] <= heap[0][0]):
+                return found[: enough[0] + 1]
+            if not heap:
+                return found
+    return np.zeros(0, np.int64)
 
 
 def fields(**kinds: T.DataType) -> T.StructType:
     return T.StructType([T.StructField(n, t) for n, t in kinds.items()])
 
 
-def search(rows: DataFrame, is_query: Column, k: int = 20, key: str = "vec_id", vec: str = "embedding", share: float = 0.75, codes: int = 32, most_fit: int = 8192, parts: int = 8, chunk: int = 8192) -> DataFrame:
+def search(rows: DataFrame, is_query: Column, k: int = 20, key: str = "vec_id", vec: str = "embedding", share: float = 0.35, codes: int = 256, most_fit: int = 8192, parts: int = 8, chunk: int = 8192) -> DataFrame:
     """``(query_id, rank, vec_id, score)``: the ``k`` rows of largest inner product found for each query row.
 
     A query's own id is no candidate (for repeated ids, all rows of it). Null ids and vectors that are null, empty,
@@ -88,7 +111,7 @@ def search(rows: DataFrame, is_query: Column, k: int = 20, key: str = "vec_id",
             cell = nearest(x[:, :half], one) * wide + (nearest(x[:, half:], two) if dims > half else 0)
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(cell.astype(np.int32))], names=["id", "v", "q", "cell"])
 
-    placed = rows.mapInArrow(cells, T.StructType([*rows.schema.fields, T.StructField("cell", T.IntegerType())]))
+    placed = cut(rows.mapInArrow(cells, T.StructType([*rows.schema.fields, T.StructField("cell", T.IntegerType())])))
     counts = {r.cell: r.n for r in placed.groupBy("cell").agg(F.count(F.lit(1)).alias("n")).collect()}  # at most codes^2 rows
     held = np.zeros(len(one) * wide, np.int64)
     held[list(counts)] = list(counts.values())
@@ -99,10 +122,12 @@ def search(rows: DataFrame, is_query: Column, k: int = 20, key: str = "vec_id",
     for r in spread.groupBy("cell").agg(F.sum("n").alias("n"), F.sum(F.col("n") / F.col("all")).alias("ids")).collect():
         owned[r.cell] += r.ids - r.n
     # crowded cells first, each to the part that has least
-    part_of, load = np.zeros(len(held), np.int64), [0] * parts
-    for cell in np.argsort(-held, kind="stable").tolist():
+    part_of, local, load, width_of = np.zeros(len(held), np.int64), np.zeros(len(held), np.int64), [0] * parts, [0] * parts
+    for cell in np.argsort(-held, kind="stable")[: np.count_nonzero(held)].tolist():
         part_of[cell] = p = load.index(min(load))
+        local[cell] = width_of[p]
         load[p] += int(held[cell])
+        width_of[p] += 1
     chunks = [max(1, -(-n // chunk)) for n in load]
     goal, least = share * held.sum(), min(k + 1, owned.sum())
 
@@ -112,10 +137,10 @@ def search(rows: DataFrame, is_query: Column, k: int = 20, key: str = "vec_id",
             s1, s2 = x[:, :half] @ one.T, (x[:, half:] @ two.T if dims > half else np.zeros((len(x), 1)))
             at, part, piece, mine = [], [], [], []
             for k_, (a, b) in enumerate(zip(s1.max(axis=1, keepdims=True) - s1, s2.max(axis=1, keepdims=True) - s2, strict=True)):
-                found = np.array(walk(a, b, held, goal, owned, least), np.int32)
+                found = walk(a, b, held, goal, owned, least)
                 for p in np.unique(part_of[found]).tolist():
-                    bits = np.zeros(len(held), bool)
-                    bits[found[part_of[found] == p]] = True
+                    bits = np.zeros(width_of[p], bool)
+                    bits[local[found[part_of[found] == p]]] = True
                     for c in range(chunks[p]):
                         at.append(k_), part.append(p), piece.append(c), mine.append(np.packbits(bits).tobytes())
             yield pa.RecordBatch.from_arrays([pa.array(part, pa.int32()), pa.array(piece, pa.int32()), pa.array([True] * len(at), pa.bool_()), batch.column(0).take(pa.array(at, pa.int64())), batch.column(1).take(pa.array(at, pa.int64())), pa.array([-1] * len(at), pa.int32()), pa.array(mine, pa.binary())], names=MEET.names)
@@ -123,58 +148,61 @@ def search(rows: DataFrame, is_query: Column, k: int = 20, key: str = "vec_id",
     vector = rows.schema["v"].dataType
     MEET = fields(part=T.IntegerType(), piece=T.IntegerType(), q=T.BooleanType(), id=T.LongType(), v=vector, cell=T.IntegerType(), cells=T.BinaryType())
     queries = rows.where("q").select("id", "v").mapInArrow(ask, MEET)
-    by_cell = F.element_at(F.array(*[F.lit(int(p)) for p in part_of]), F.col("cell") + 1)
     n_chunks = F.element_at(F.array(*[F.lit(c) for c in chunks]), F.col("part") + 1)
-    index = placed.select(by_cell.alias("part"), F.lit(False).alias("q"), "id", "v", "cell").withColumn("piece", F.pmod(F.xxhash64("id"), n_chunks).cast("int")).withColumn("cells", F.lit(None).cast("binary"))
+
+    def deal(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in it:
+            cell = batch.column(3).to_numpy()
+            yield pa.RecordBatch.from_arrays([pa.array(part_of[cell].astype(np.int32)), batch.column(0), batch.column(1), pa.array(local[cell].astype(np.int32))], names=["part", "id", "v", "cell"])
+
+    index = placed.mapInArrow(deal, fields(part=T.IntegerType(), id=T.LongType(), v=vector, cell=T.IntegerType()))
+    index = index.withColumn("q", F.lit(False)).withColumn("piece", F.pmod(F.xxhash64("id"), n_chunks).cast("int")).withColumn("cells", F.lit(None).cast("binary"))
 
     def rerank(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         """Rows of a chunk, then the queries that ask it."""
-        spot, ids, xs, cs = None, [], [], []
+        spot, ids, xs, cs, low, size = None, [], [], [], None, 0.0
         for batch in it:
             spots = np.stack([batch.column(0).to_numpy(), batch.column(1).to_numpy()], axis=1)
             edges = [0, *(np.flatnonzero((spots[1:] != spots[:-1]).any(axis=1)) + 1), len(spots)]
             for a, b in zip(edges[:-1], edges[1:], strict=True):
                 own = batch.slice(a, b - a)
                 if tuple(spots[a]) != spot:
-                    spot, ids, xs, cs = tuple(spots[a]), [], [], []
+                    spot, ids, xs, cs, low = tuple(spots[a]), [], [], [], None
                 asks = own.column(2).to_numpy(zero_copy_only=False)
                 if (~asks).any():
                     sub = own.filter(pa.array(~asks))
                     ids.append(sub.column(3).to_numpy()), xs.append(matrix(sub.column(4))), cs.append(sub.column(5).to_numpy())
                 if not asks.any() or not ids:
                     continue
-                if len(ids) > 1:
-                    ids, xs, cs = [np.concatenate(ids)], [np.concatenate(xs)], [np.concatenate(cs)]
+                if len(ids) > 1 or low is None:  # rows in order of their cells, a cell's rows side by side
+                    ids, xs, cs = np.concatenate(ids), np.concatenate(xs), np.concatenate(cs)
+                    order = np.argsort(cs, kind="stable")
+                    ids, xs, cs = [ids[order]], [xs[order]], [cs[order]]
+                    low = xs[0].astype(np.float32)
+                    size = np.linalg.norm(xs[0], axis=1).max()
                 sub = own.filter(pa.array(asks))
                 res: list[list] = [[], [], []]
-                for lo in range(0, sub.num_rows, 256):
-                    q = matrix(sub.column(4).slice(lo, 256))
-                    near = q @ xs[0].T
-                    for j, (qid, mask) in enumerate(zip(sub.column(3).slice(lo, 256).to_pylist(), sub.column(6).slice(lo, 256).to_pylist(), strict=True)):
-                        may = np.unpackbits(np.frombuffer(mask, np.uint8))[cs[0]].astype(bool) & (ids[0] != qid)
-                        may = np.flatnonzero(may)
-                        if not len(may):
-                            continue
-                        s = near[j, may]
-                        order = np.lexsort((-s, ids[0][may]))
-                        own_ids = ids[0][may][order]
-                        first = np.concatenate([[True], own_ids[1:] != own_ids[:-1]])
-                        if first.all():
-                            tops = s
-                        else:  # the best vectors of each id, up to rounding
-                            tops = s[order][first]
-                            top = tops[np.cumsum(first) - 1]
-                            fit_ = s[order] >= top - 1e-9 * (1 + np.abs(top))
-                            may, s = may[order][fit_], s[order][fit_]
-                        if len(tops) > k:  # all that tie with the k-th, up to rounding
-                            floor = np.partition(tops, len(tops) - k)[len(tops) - k]
-                            may = may[s >= floor - 1e-9 * (1 + abs(floor))]
-                        s = (xs[0][may] * q[j]).sum(axis=1)
-                        best = np.lexsort((ids[0][may], -s))
-                        best = best[np.sort(np.unique(ids[0][may][best], return_index=True)[1])[:k]]
-                        res[0] += [qid] * len(best)
-                        res[1] += ids[0][may][best].tolist()
-                        res[2] += s[best].tolist()
+                for qid, q, mask in zip(sub.column(3).to_pylist(), matrix(sub.column(4)), sub.column(6).to_pylist(), strict=True):
+                    asked = np.unpackbits(np.frombuffer(mask, np.uint8)).astype(bool)
+                    may = np.flatnonzero(asked[cs[0]])  # the rows of the cells asked for; the others are not looked at
+                    may = may[ids[0][may] != qid]
+                    if not len(may):
+                        continue
+                    s = low[may] @ q.astype(np.float32)
+                    slack = 1e-5 * size * float(np.linalg.norm(q))
+                    order = np.lexsort((-s, ids[0][may]))
+                    own_ids = ids[0][may][order]
+                    first = np.concatenate([[True], own_ids[1:] != own_ids[:-1]])
+                    tops = s if first.all() else s[order][first]  # the best vector of each id, up to rounding
+                    if len(tops) > k:  # all that may be among the k best
+                        floor = np.partition(tops, len(tops) - k)[len(tops) - k]
+                        may = may[s >= floor - slack]
+                    s = (xs[0][may] * q).sum(axis=1)
+                    best = np.lexsort((ids[0][may], -s))
+                    best = best[np.sort(np.unique(ids[0][may][best], return_index=True)[1])[:k]]
+                    res[0] += [qid] * len(best)
+                    res[1] += ids[0][may][best].tolist()
+                    res[2] += s[best].tolist()
                 yield pa.RecordBatch.from_arrays([pa.array(r, t) for r, t in zip(res, (pa.int64(), pa.int64(), pa.float64()), strict=True)], names=out.names)
 
     meet = index.select(*MEET.names).unionByName(queries).repartition("part", "piece").sortWithinPartitions("part", "piece", "q")

@@ -9,9 +9,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-public_tokenizers = pytest.importorskip("public_tokenizers")
-
-from residua.llm import chat, components, curriculum, jaccard, langid, licenses, multiindex, neardup, pieces, queries, secrets, suffixes  # noqa: E402
+from residua.llm import chat, components, curriculum, jaccard, langid, licenses, multiindex, neardup, pieces, queries, secrets, suffixes
 
 TEXTS = [(1, None), (2, ""), (3, "a"), (3, "a"), (4, "Hello  World \n▁ x 日本 🙂"), (None, "token = abcdefgh12"), (5, "x " * 3000), (6, "é" * 400)]
 SCHEMA = "doc_id long, text string"
@@ -22,6 +20,7 @@ def docs(spark, rows=TEXTS):
 
 
 def test_pieces_match_the_library(spark):
+    pytest.importorskip("public_tokenizers")
     path = queries.vocabulary()
     sp = pieces.coder(path).library
     got = Counter((r.doc_id, r.n_tokens, r.ids_sha256, r.decoded_sha256) for r in pieces.encode_column(docs(spark), path).collect())
@@ -306,3 +305,34 @@ def test_components_of_long_chains(spark):
     got = {r.id: r.component_id for r in components.components(spark.createDataFrame(links, "a long, b long")).collect()}
     assert got == {k * n + i: k * n for k in range(4) for i in range(n)} | {90000 + i: 90000 for i in range(500)}
     assert components.components(spark.createDataFrame([], "a long, b long")).count() == 0
+
+
+def test_walk_takes_cells_in_order():
+    rng = np.random.default_rng(6)
+    for _ in range(20):
+        a, b = rng.random(rng.integers(1, 50)), rng.random(rng.integers(1, 50))
+        held = rng.integers(0, 3, len(a) * len(b))
+        held[0] += 1
+        goal = rng.random() * held.sum()
+        got = multiindex.walk(a, b, held, goal, held.astype(float), 1)
+        sums = (a[:, None] + b[None]).ravel()
+        order = [c for c in np.lexsort((np.arange(len(held)), sums)) if held[c]]
+        need = int(np.searchsorted(np.cumsum(held[order]), max(goal, 1 - 1e-6))) + 1
+        assert got.tolist() == order[:need]
+
+
+def test_multi_index_recall(spark):
+    """The registered setting: recall against brute force, and how much of the rows the cells walked hold."""
+    rng = np.random.default_rng(8)
+    x = rng.standard_normal((3000, 64)).astype(np.float32)
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<float>")
+    found = multiindex.search(df, F.col("vec_id") % 20 == 0).collect()
+    exact = x[::20].astype(float) @ x.astype(float).T
+    exact[np.arange(150), np.arange(0, 3000, 20)] = -np.inf
+    want = {(20 * q, int(i)) for q in range(150) for i in np.argsort(-exact[q])[:20]}
+    assert len({(r.query_id, r.vec_id) for r in found} & want) >= 0.9 * len(want) and len(found) == 3000
+    one, two = multiindex.centroids(x[:, :32].astype(float), 64), multiindex.centroids(x[:, 32:].astype(float), 64)
+    held = np.bincount(multiindex.nearest(x[:, :32], one) * 64 + multiindex.nearest(x[:, 32:], two), minlength=4096)
+    q = x[0].astype(float)
+    walked = multiindex.walk((s := one @ q[:32]).max() - s, (s := two @ q[32:]).max() - s, held, 0.35 * 3000, held.astype(float), 21)
+    assert 0.35 * 3000 <= held[walked].sum() <= 0.36 * 3000
