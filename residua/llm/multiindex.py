@@ -27,7 +27,7 @@ from .vectors import matrix, sample, usable, width
 
 
 #: Ranked centroids a side of a block that the heap holds.
-STEP = 16
+STEP = 32
 
 
 def centroids(x: np.ndarray, k: int, rounds: int = 15, seed: int = 7) -> np.ndarray:
@@ -52,32 +52,28 @@ def walk(first: np.ndarray, second: np.ndarray, held: np.ndarray, goal: float, o
     neighbours; all cells whose sum is no greater than the least block left are final.
     """
     a, b = np.argsort(first, kind="stable"), np.argsort(second, kind="stable")
-    x, y, by_rank = first[a], second[b], held.reshape(len(first), len(second))
-    heap, seen = [(x[0] + y[0], 0, 0)], {(0, 0)}
-    sums, cells, rows, ids = [], [], 0, 0.0
+    at = np.ix_(a, b)
+    rows, ids = held.reshape(len(a), len(b))[at], owned.reshape(len(a), len(b))[at]
+    sums = first[a][:, None] + second[b][None]
+    opened, heap, seen, got = np.zeros(sums.shape, bool), [(sums[0, 0], 0, 0)], {(0, 0)}, 0
     while heap:
         _, i, j = heapq.heappop(heap)
-        some = a[i : i + STEP][:, None], b[j : j + STEP][None]
-        n = by_rank[some]
-        u, v = np.nonzero(n)
-        cell = a[i + u] * len(second) + b[j + v]
-        sums.append(x[i + u] + y[j + v])
-        cells.append(cell)
-        rows += int(n.sum())
-        ids += float(owned[cell].sum())
+        block = slice(i, i + STEP), slice(j, j + STEP)
+        opened[block] = True
+        got += int(rows[block].sum())
         for p, q in ((i + STEP, j), (i, j + STEP)):
-            if p < len(x) and q < len(y) and (p, q) not in seen:
+            if p < len(a) and q < len(b) and (p, q) not in seen:
                 seen.add((p, q))
-                heapq.heappush(heap, (x[p] + y[q], p, q))
-        if rows >= goal and ids >= least - 1e-6 or not heap:
-            total, found = np.concatenate(sums), np.concatenate(cells)
-            order = np.lexsort((found, total))
-            total, found = total[order], found[order]
-            enough = np.flatnonzero((np.cumsum(held[found]) >= goal) & (np.cumsum(owned[found]) >= least - 1e-6))
-            if len(enough) and (not heap or total[enough[0]] <= heap[0][0]):
-                return found[: enough[0] + 1]
-            if not heap:
-                return found
+                heapq.heappush(heap, (sums[p, q], p, q))
+        if heap and got < goal:
+            continue
+        final = opened & (sums <= heap[0][0]) if heap else opened
+        if not heap or rows[final].sum() >= goal and ids[final].sum() >= least - 1e-6:
+            u, v = np.nonzero(final & (rows > 0))
+            order = np.argsort(sums[u, v], kind="stable")
+            u, v = u[order], v[order]
+            enough = np.flatnonzero((np.cumsum(rows[u, v]) >= goal) & (np.cumsum(ids[u, v]) >= least - 1e-6))
+            return (a[u] * len(b) + b[v])[: enough[0] + 1 if len(enough) else None]
     return np.zeros(0, np.int64)
 
 
