@@ -9,7 +9,9 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .cuts import cut_drift
-from .graph import FlowProblem
+from .engine import discharge, sink_only
+from .graph import FlowProblem, init_state
+from .heights import full_levels, sink_levels
 from .lineage import cut
 from .solvers import DYNAMIC, PROGRAMS, FlowResult, recompute
 from .updates import make_updates
@@ -83,6 +85,17 @@ def ranking(bench: DataFrame) -> DataFrame:
     return bench.groupBy("graph", "kind", "program").agg(F.sum("seconds").alias("seconds"), F.sum("supersteps").alias("supersteps")).orderBy("graph", "kind", "seconds")
 
 
+def height_bound(problem: FlowProblem, cycles: int = 3) -> DataFrame:
+    """After one round of single-arc steps: vertices above their exact residual distance to the sink, and vertices that
+    fell below their distance at the round's start. Both are 0 if labels stay valid and only rise."""
+    state = init_state(problem)
+    before = full_levels(state.verts, sink_levels(state.slots, sink_only(state), state.n, (state.s,))[0], state.n).withColumnRenamed("height", "was")
+    after = discharge(state, sink_only, cycles=cycles, step="fused", max_rounds=1)
+    exact = full_levels(after.verts, sink_levels(after.slots, sink_only(after), after.n, (after.s,))[0], after.n).withColumnRenamed("height", "exact")
+    rows = after.verts.where(F.col("id") != state.s).join(exact, "id").join(before, "id")
+    return rows.agg(F.count(F.when(F.col("height") > F.col("exact"), 1)).alias("above"), F.count(F.when(F.col("height") < F.col("was"), 1)).alias("fell"))
+
+
 def drift(problem: FlowProblem, kind: str, pct: int, seed: int = 1) -> DataFrame:
     """Vertices by side of the minimum cut before and after a batch."""
     base = PROGRAMS["static_pp"](problem)

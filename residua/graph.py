@@ -57,6 +57,19 @@ class FlowState:
         (self.cut if self.cut is not None else spark.createDataFrame([], "id long, side string")).write.mode("overwrite").parquet(f"{path}/cut")
         spark.createDataFrame([(self.s, self.t, self.n, self.n_arcs)], "s long, t long, n long, n_arcs long").write.mode("overwrite").parquet(f"{path}/facts")
 
+    def register_views(self, prefix: str = "flow") -> None:
+        """Temporary views ``<prefix>_slots``, ``<prefix>_verts`` and, where a cut is known, ``<prefix>_cut`` for SQL."""
+        self.slots.createOrReplaceTempView(f"{prefix}_slots")
+        self.verts.createOrReplaceTempView(f"{prefix}_verts")
+        if self.cut is not None:
+            self.cut.createOrReplaceTempView(f"{prefix}_cut")
+
+    def size(self) -> DataFrame:
+        """One row: slots, vertices and the bytes that their long columns take, five for a slot and three for a vertex."""
+        one = F.count(F.lit(1))
+        both = self.slots.agg(one.alias("slots")).crossJoin(self.verts.agg(one.alias("vertices")))
+        return both.select("slots", "vertices", (F.col("slots") * 5 * 8 + F.col("vertices") * 3 * 8).alias("bytes"))
+
     @staticmethod
     def load(spark, path: str) -> FlowState:
         s, t, n, m = spark.read.parquet(f"{path}/facts").first()

@@ -12,9 +12,9 @@ from .. import experiments as X
 from .. import workloads as W
 from ..cuts import cut_capacity
 from ..engine import lowest_neighbours, plan_pushes, plan_relabels, steep_moves
-from ..graph import SINK, SOURCE, FlowProblem, FlowState, build_slots, default_cycles, excess_of, saturate, simple_arcs
-from ..heights import sink_levels
-from ..solvers import DYNAMIC, PROGRAMS, apply_updates, certify, recompute, repair_overfull, saturate_cut, solve_augmenting, solve_static, value_row
+from ..graph import SINK, SOURCE, FlowProblem, FlowState, build_slots, default_cycles, excess_of, init_state, saturate, simple_arcs
+from ..heights import sink_levels, source_levels
+from ..solvers import DYNAMIC, PROGRAMS, apply_updates, certify, patch_totals, recompute, repair_overfull, saturate_cut, solve_augmenting, solve_static, value_row
 from ..streaming import maintain
 from ..updates import make_updates
 from . import relational
@@ -238,6 +238,17 @@ def steps(net: str, build: Callable[..., FlowProblem], trade: str, n: int) -> No
     put(f"repaired_slots_{net}", lambda s, d: repair_overfull(apply_updates(saturate(build_slots(build(s, d).arcs), 3), patch(s, d))), f"{renewed} SELECT src, dst, cap_out, cap_in, CAST(greatest(-cap_in, least(cap_out, net)) AS BIGINT) AS net FROM p")
     put(f"excess_after_patch_{net}", lambda s, d: excess_of(saturate(repair_overfull(apply_updates(saturate(build_slots(build(s, d).arcs), 3), patch(s, d))), 3)), f"{renewed} SELECT src AS id, CAST(-sum(CASE WHEN src = 3 THEN cap_out WHEN dst = 3 THEN -cap_in ELSE greatest(-cap_in, least(cap_out, net)) END) AS BIGINT) AS excess FROM p GROUP BY 1")
     put(f"cut_saturation_{net}", lambda s, d: saturate_cut(build_slots(build(s, d).arcs), s.range(n).select("id", F.when(F.col("id") % 3 == 0, "S").otherwise("T").alias("side"))), f"{head} SELECT src, dst, cap_out, cap_in, CAST(CASE WHEN src % 3 = 0 AND dst % 3 <> 0 THEN cap_out WHEN src % 3 <> 0 AND dst % 3 = 0 THEN -cap_in ELSE 0 END AS BIGINT) AS net FROM st")
+    put(f"patch_totals_{net}", lambda s, d: patch_totals(apply_updates(saturate(build_slots(build(s, d).arcs), 3), patch(s, d)), 3, 12), f"{renewed}, e AS (SELECT src AS id, -sum(CASE WHEN src = 3 THEN cap_out WHEN dst = 3 THEN -cap_in ELSE greatest(-cap_in, least(cap_out, net)) END) AS e FROM p GROUP BY 1) SELECT (SELECT count(*) FROM p WHERE net > cap_out) AS overfull, CAST(coalesce(sum(e) FILTER (e > 0), 0) AS BIGINT) AS overflow, CAST(coalesce(sum(-e) FILTER (e < 0), 0) AS BIGINT) AS deficit FROM e WHERE id NOT IN (3, 12)")
+    put(f"levels_forward_{net}", lambda s, d: source_levels(build_slots(build(s, d).arcs.where("cap <= 3")), s.createDataFrame([(3,)], "id long"), n)[0], f"WITH RECURSIVE t AS ({trade}), r(id, level) AS (SELECT CAST(3 AS BIGINT), CAST(0 AS BIGINT) UNION SELECT t.v, r.level + 1 FROM r JOIN t ON t.u = r.id WHERE t.cap <= 3 AND t.cap > 0 AND r.level < {n}) SELECT id, min(level) AS level FROM r GROUP BY id")
+    sides = lambda s: s.range(n).select("id", F.when(F.col("id") % 3 == 0, "S").otherwise("T").alias("side"))
+    put(f"cutcap_{net}", lambda s, d: s.createDataFrame([(cut_capacity(build(s, d).arcs, sides(s)),)], "capacity long"), f"SELECT CAST(sum(cap) AS BIGINT) AS capacity FROM ({trade}) WHERE u % 3 = 0 AND v % 3 <> 0")
+    put(f"state_size_{net}", lambda s, d: init_state(build(s, d)).size(), f"{head}, k AS (SELECT count(*) AS slots, count(DISTINCT src) AS vertices FROM sl) SELECT slots, vertices, 40 * slots + 24 * vertices AS bytes FROM k")
+
+    def in_sql(s: SparkSession, d: str) -> DataFrame:
+        init_state(build(s, d)).register_views(f"residua_{net}")
+        return s.sql(f"SELECT id, excess, (SELECT count(*) FROM residua_{net}_slots WHERE src = id AND cap_out > net) AS open FROM residua_{net}_verts")
+
+    put(f"views_{net}", in_sql, f"{head} SELECT src AS id, CAST(-sum(net) AS BIGINT) AS excess, count(*) FILTER (cap_out > net) AS open FROM st GROUP BY 1")
     for _kind in ("increase", "decrease", "mixed"):
         put(f"updates_{_kind}_{net}", lambda s, d, kind=_kind: make_updates(build(s, d).arcs, 10, kind, 3, 12), f"WITH a AS ({trade}), b AS (SELECT *, (u * 7919 + v * 104729 + 31) % 1000003 AS h FROM a), c AS (SELECT *, row_number() OVER (ORDER BY CASE WHEN u = 3 OR v = 12 THEN h / 8.0::DOUBLE ELSE CAST(h AS DOUBLE) END, u, v) AS k FROM b) SELECT u AS src, v AS dst, CAST({NEW_CAP[_kind]} AS BIGINT) AS new_cap, CAST(0 AS BIGINT) AS seq FROM c WHERE k <= (SELECT count(*) FROM a) * 10 // 100")
 
@@ -261,6 +272,7 @@ for _kind in NEW_CAP:
     put(f"experiment_regime_{_kind}", lambda s, d, kind=_kind: X.regime(W.tree(s, d), kind, [SHARE]).select("graph", "kind", "pct", "program", "value"), tree_regime(_kind))
 put("experiment_sweep_cycles", lambda s, d: X.sweep_cycles(W.tree(s, d), (1, 2, 4)).select("graph", "cycles", "value"), f"SELECT 'tree' AS graph, CAST(k AS INTEGER) AS cycles, value FROM ({CLOSED['tree']()}), (VALUES (1), (2), (4)) q(k)")
 put("experiment_graphs", lambda s, d: X.graph_table(s, [W.tree(s, d)]), f"{TREE_ARCS} SELECT 'tree' AS graph, CAST((SELECT count(*) FROM (SELECT src FROM a UNION SELECT dst FROM a)) AS BIGINT) AS vertices, (SELECT count(*) FROM a WHERE cap > 0) AS arcs, CAST(-1 AS BIGINT) AS s, CAST(-2 AS BIGINT) AS t, (SELECT value FROM ({CLOSED['tree']()})) AS value")
+put("experiment_height_bound", lambda s, d: X.height_bound(W.trade14(s, d)), "SELECT CAST(0 AS BIGINT) AS above, CAST(0 AS BIGINT) AS fell")
 put("experiment_active_trace", lambda s, d: X.active_trace(W.tree(s, d)))
 put("experiment_cut_drift", lambda s, d: X.drift(W.tree(s, d), "mixed", SHARE))
 
@@ -285,6 +297,19 @@ put("stream_dedup", lambda s, d: stream(s, d, lambda e: maintain.changes(e).with
 put("stream_late", lambda s, d: stream(s, d, lambda e: maintain.changes(e).withWatermark("ts", "1 day").groupBy(F.window("ts", "1 day").alias("w")).agg(F.count(F.lit(1)).alias("n")).select(F.unix_seconds("w.start").alias("start"), "n")))
 put("stream_last_cap", lambda s, d: stream(s, d, lambda e: maintain.changes(e).groupBy("src", "dst").agg(F.max_by("new_cap", F.struct("ts", "seq")).alias("new_cap")), "complete"), f"SELECT src, dst, max_by(new_cap, struct_pack(a := ts, b := seq)) AS new_cap FROM ({CHG}) GROUP BY 1, 2")
 
+put("stream_update_mode", lambda s, d: maintain.run_to_table(maintain.changes(maintain.event_stream(s, d)).groupBy("src").agg(F.max("new_cap").alias("top"), F.count(F.lit(1)).alias("n")), "update", keys=("src",)), f"SELECT src, max(new_cap) AS top, count(*) AS n FROM ({CHG}) GROUP BY 1")
+put("stream_static_join", lambda s, d: stream(s, d, lambda e: maintain.changes(e).join(W.trade14(s, d).arcs, ["src", "dst"]).select("seq", "src", "dst", "cap", "new_cap")), f"SELECT seq, c.src, c.dst, CAST(t.cap AS BIGINT) AS cap, new_cap FROM ({CHG}) c JOIN ({TRADE}) t ON t.u = c.src AND t.v = c.dst")
+
+
+def confirmations(s: SparkSession, d: str) -> DataFrame:
+    """Changes with an even number announce, those with an odd one confirm; both are streams of their own."""
+    half = lambda odd: maintain.event_stream(s, d).where(F.col("event_id") % 2 == odd).select(F.col("user_id").alias("key"), F.col("event_id").alias("seq"), "ts")
+    return maintain.run_to_table(maintain.confirmed(half(0), half(1)))
+
+
+put("stream_interval_join", confirmations, "SELECT a.user_id AS key, a.event_id AS announced, b.event_id AS confirmed FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_id % 2 = 0 AND b.event_id % 2 = 1 AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 1 DAY")
+put("stream_foreach_batch", lambda s, d: maintain.keep_current(maintain.changes(maintain.event_stream(s, d)), PROGRAMS["static_pp"](W.trade14(s, d)).state).agg(F.max_by("value", "batch_id").alias("value")), f"WITH l AS (SELECT src AS u, dst AS v, max_by(new_cap, struct_pack(a := ts, b := seq)) AS cap FROM ({CHG}) GROUP BY 1, 2), a AS (SELECT u, v, coalesce(l.cap, t.cap) AS cap FROM ({TRADE}) t FULL JOIN l USING (u, v)), m AS (SELECT range AS m FROM range(16384) WHERE (range >> 3) & 1 = 1 AND (range >> 12) & 1 = 0), c AS (SELECT m, coalesce(sum(cap) FILTER ((m >> u) & 1 = 1 AND (m >> v) & 1 = 0), 0) AS cost FROM m, a GROUP BY m) SELECT CAST(min(cost) AS BIGINT) AS value FROM c")
+
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return QUERIES | relational.QUERIES

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from .cuts import certificate, cut_capacity, cut_sides, flow_value, settle
 from .engine import MOVES, deficits, discharge, sink_only, with_moves
-from .graph import FlowProblem, FlowState, build_slots, fresh, init_state, room_out, saturate
+from .graph import FlowProblem, FlowState, build_slots, excess_of, fresh, init_state, room_out, saturate
 from .heights import sink_levels, source_levels
 from .lineage import cut
 
@@ -73,6 +73,16 @@ def repair_overfull(slots: DataFrame) -> DataFrame:
     return slots.withColumn("net", F.greatest(-F.col("cap_in"), F.least("cap_out", "net")))
 
 
+def patch_totals(slots: DataFrame, s: int, t: int) -> DataFrame:
+    """One row for patched slots: arcs whose flow no longer fits, then overflow and deficit of the inner vertices once it
+    is repaired and the source's arcs are full again."""
+    over = slots.agg(F.count(F.when(F.col("net") > F.col("cap_out"), 1)).alias("overfull"))
+    e = F.col("excess")
+    inner = excess_of(saturate(repair_overfull(slots), s)).where(~F.col("id").isin(s, t))
+    sums = inner.agg(F.coalesce(F.sum(F.when(e > 0, e)), F.lit(0)).alias("overflow"), F.coalesce(F.sum(F.when(e < 0, -e)), F.lit(0)).alias("deficit"))
+    return over.crossJoin(sums)
+
+
 def patched(state: FlowState, updates: DataFrame, into_sink: bool = False) -> FlowState:
     slots = repair_overfull(apply_updates(state.slots, updates))
     slots = cut(saturate(slots, state.s, state.t if into_sink else None))

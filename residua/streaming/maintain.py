@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ..graph import FlowState
 from ..lineage import folder
@@ -46,15 +47,32 @@ class Maintainer:
         spark.createDataFrame([(batch_id, new, result.value)], "batch_id long, state string, value long").write.mode("append").parquet(mark)
 
 
+def keep_current(stream: DataFrame, state: FlowState, program: str = "dyn_data", at: str | None = None) -> DataFrame:
+    """Runs a stream of changes ``(src, dst, new_cap, seq, ts)`` into a state; the maximum flow after each batch: ``(batch_id, state, value)``."""
+    at = at or folder(stream.sparkSession)
+    state.save(f"{at}/state-base")
+    writer = stream.writeStream.foreachBatch(Maintainer(at, program)).trigger(availableNow=True)
+    writer.option("checkpointLocation", f"{at}-checkpoint").start().awaitTermination()
+    return stream.sparkSession.read.parquet(f"{at}/done")
+
+
+def confirmed(announced: DataFrame, confirmations: DataFrame, within: str = "1 day", late: str = "3650 days") -> DataFrame:
+    """Stream-stream join: announcements ``(key, ts)`` with the confirmations of their key that come up to ``within`` later."""
+    a = announced.select("key", F.col("seq").alias("announced"), F.col("ts").alias("from")).withWatermark("from", late)
+    b = confirmations.select(F.col("key").alias("other"), F.col("seq").alias("confirmed"), F.col("ts").alias("at")).withWatermark("at", late)
+    return a.join(b, (F.col("key") == F.col("other")) & F.expr(f"at >= from and at <= from + interval {within}")).select("key", "announced", "confirmed")
+
+
 def exists(spark: SparkSession, path: str) -> bool:
     p = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
     return p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(p)
 
 
-def run_to_table(stream: DataFrame, mode: str = "append", at: str | None = None) -> DataFrame:
+def run_to_table(stream: DataFrame, mode: str = "append", at: str | None = None, keys: tuple[str, ...] = ()) -> DataFrame:
     """Everything available now, written as Parquet with a checkpoint beside it, as a table.
 
-    A batch overwrites its own folder, so a replayed one changes nothing; in 'complete' mode the last batch is the result.
+    A batch overwrites its own folder, so a replayed one changes nothing; in 'complete' mode the last batch is the result,
+    in 'update' mode the last row of each of the ``keys``.
     """
     spark = stream.sparkSession
     at, kind = at or folder(spark), stream.schema
@@ -68,4 +86,8 @@ def run_to_table(stream: DataFrame, mode: str = "append", at: str | None = None)
     writer.option("checkpointLocation", f"{at}-checkpoint").start().awaitTermination()
     if not done:
         return spark.createDataFrame([], kind)
+    if mode == "update":
+        rest = [c for c in kind.names if c not in keys]
+        rows = spark.read.schema(T.StructType([*kind, T.StructField("batch", T.LongType())])).parquet(at)
+        return rows.groupBy(*keys).agg(F.max_by(F.struct(*rest), "batch").alias("last")).select(*keys, "last.*")
     return spark.read.schema(kind).parquet(*[f"{at}/batch={k}" for k in (done if mode != "complete" else done[-1:])])
