@@ -8,11 +8,12 @@ from pyspark.sql import functions as F
 
 from residua.cuts import arc_flows, audit_slots, settle
 from residua.engine import MOVES, lowest_neighbours, slots_of
+from residua.experiments import height_bound
 from residua.graph import ARCS, FlowProblem, FlowState, build_slots, init_state, rejected_arcs, validate_arcs
 from residua.plans.explain import has_product, physical
 from residua.reference import sequential_push_relabel, smallest_cut
-from residua.solvers import DYNAMIC, PROGRAMS, certify, solve_augmenting, solve_dynamic, solve_static
-from residua.streaming.maintain import Maintainer
+from residua.solvers import DYNAMIC, PROGRAMS, apply_updates, certify, patch_totals, solve_augmenting, solve_dynamic, solve_static
+from residua.streaming.maintain import Maintainer, run_to_table
 
 HAND = {
     "g1": ([(0, 1, 5), (1, 9, 3)], 3, [(1, 9, 10)], 5),
@@ -127,3 +128,19 @@ def test_rejects(spark):
         validate_arcs(bad)
     with pytest.raises(ValueError):
         init_state(FlowProblem(bad, 1, 1))
+
+
+def test_patch_totals_and_height_bounds(spark):
+    arcs = HAND["g2"][0]
+    slots = apply_updates(solve_static(problem(spark, arcs)).state.slots, batch(spark, HAND["g2"][2]))
+    assert tuple(patch_totals(slots, 0, 9).first()) == (1, 0, 3)
+    assert tuple(height_bound(problem(spark, HAND["g3"][0])).first()) == (0, 0)
+
+
+def test_update_mode_keeps_the_last_row_of_a_key(spark, tmp_path):
+    path = str(tmp_path / "in")
+    for rows in ([(1, 2), (2, 5)], [(1, 7)]):
+        spark.createDataFrame(rows, "k long, v long").coalesce(1).write.mode("append").parquet(path)
+    stream = spark.readStream.schema("k long, v long").option("maxFilesPerTrigger", 1).parquet(path)
+    totals = run_to_table(stream.groupBy("k").agg(F.sum("v").alias("v")), "update", keys=("k",))
+    assert {tuple(r) for r in totals.collect()} == {(1, 9), (2, 5)}
