@@ -13,6 +13,8 @@ the overlap from above. Sets are met and joined like this:
    pairs of different components whose bound reaches the overlap needed. These are verified exactly, and the components
    of all links are the result. Pairs inside a component need no look: they change nothing. So that a crowd of near copies
    is one component before its pairs are asked for, crowded bands first give each vertex's best candidate alone.
+   Count points of long sets are all alike, so a pair also needs enough postings in common: beyond the lower of the two
+   greatest posted hashes, the set that has it holds ``ceil(t n) - 1`` hashes, and no more than these can be shared there.
 
 Only narrow rows move until a pair has passed the bounds of size and counts; then the texts themselves come to the
 pair, once, and the task that verifies makes their sets. Tables that nothing reads any more are deleted.
@@ -79,7 +81,8 @@ def fields(**kinds: T.DataType) -> T.StructType:
 
 LONG = T.LongType()
 PAIR = fields(a=LONG, b=LONG)
-POINT = fields(doc_id=LONG, h=LONG, n=LONG, v=LONG, twin=LONG, counts=T.BinaryType(), posted=T.ArrayType(LONG))
+FOUND = fields(a=LONG, b=LONG, shared=LONG)
+POINT = fields(doc_id=LONG, h=LONG, n=LONG, v=LONG, twin=LONG, top=LONG, counts=T.BinaryType(), posted=T.ArrayType(LONG))
 #: Vertices verified against one copy of a pivot's text.
 CHUNK = 1024
 #: Rows of ids (some 40 bytes each) that are broadcast to the texts at most; beyond it the texts are shuffled to them.
@@ -103,7 +106,7 @@ def unpacked_counts(column: pa.Array) -> np.ndarray:
 
 
 def points(rows: Iterator[pa.RecordBatch], words: int, percent: int) -> Iterator[pa.RecordBatch]:
-    """(doc_id, h, text) -> size of the set, a hash of the set, a second one, count point, posted hashes."""
+    """(doc_id, h, text) -> size of the set, a hash of the set, a second one, half the greatest posted hash, count point, posted hashes."""
     for batch in rows:
         for first, end, data, offsets in text_blocks(batch, "text"):
             h, at = shingle_sets(data, offsets, words)
@@ -116,7 +119,9 @@ def points(rows: Iterator[pa.RecordBatch], words: int, percent: int) -> Iterator
             size = np.where(n > 0, n - -(-percent * n // 100) + 1, 0)
             ends = np.concatenate([[0], np.cumsum(size)])
             posted = h[np.repeat(at[:-1] - ends[:-1], size) + np.arange(ends[-1])].view(np.int64)
-            yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, rows_), batch.column(1).slice(first, rows_), pa.array(n), pa.array(v), pa.array(twin), pa.array([packed_counts(x) for x in held], pa.binary()), pa.ListArray.from_arrays(pa.array(ends.astype(np.int32)), pa.array(posted))], names=POINT.names)
+            top = np.zeros(rows_, np.int64)
+            top[n > 0] = (h[(at[:-1] + size - 1)[n > 0]] >> np.uint64(1)).astype(np.int64)
+            yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, rows_), batch.column(1).slice(first, rows_), pa.array(n), pa.array(v), pa.array(twin), pa.array(top), pa.array([packed_counts(x) for x in held], pa.binary()), pa.ListArray.from_arrays(pa.array(ends.astype(np.int32)), pa.array(posted))], names=POINT.names)
         pa.default_memory_pool().release_unused()
 
 
@@ -148,14 +153,15 @@ class CountTree:
 
 
 def tree_pairs(rows: Iterator[pa.RecordBatch], percent: int, best: bool) -> Iterator[pa.RecordBatch]:
-    """Rows (posting, band, home, vertex, n, label, counts) in order of (posting, band) -> candidate pairs of different labels.
+    """Rows (posting, band, home, vertex, n, label, weight, counts) in order of (posting, band) -> candidate pairs of
+    different labels, with the number of postings in which this task found them (each pair once in a posting).
 
     ``best``: of a vertex's candidates in a posting only the one whose bound is furthest above the overlap needed.
     """
     key, held, pairs = None, [], []
 
     def found() -> None:
-        home, v, n, label, counts = (np.concatenate([h[k] for h in held]) for k in range(5))
+        home, v, n, label, weight, counts = (np.concatenate([h[k] for h in held]) for k in range(6))
         own = np.flatnonzero(home)
         if not len(own) or (label == label[0]).all():
             return
@@ -172,7 +178,7 @@ def tree_pairs(rows: Iterator[pa.RecordBatch], percent: int, best: bool) -> Iter
                 x, y = np.nonzero(good)
                 if len(x):
                     x, y = v[lo + x], v[own[y]]
-                    pairs.append(np.stack([np.minimum(x, y), np.maximum(x, y)]))
+                    pairs.append(np.stack([np.minimum(x, y), np.maximum(x, y), np.full(len(x), weight[0])]))
             return
         tree = CountTree(counts[own], n[own])
         for x in range(len(v)):
@@ -182,17 +188,21 @@ def tree_pairs(rows: Iterator[pa.RecordBatch], percent: int, best: bool) -> Iter
                 above = np.minimum(counts[near], counts[x]).sum(axis=1) - needed(n[near], n[x], percent)
                 near = near[[above.argmax()]]
             if len(near):
-                pairs.append(np.stack([np.minimum(v[near], v[x]), np.maximum(v[near], v[x])]))
+                pairs.append(np.stack([np.minimum(v[near], v[x]), np.maximum(v[near], v[x]), np.full(len(near), weight[0])]))
 
     def handed() -> pa.RecordBatch:
         """The pairs so far, each once: postings that two vertices share find them again and again."""
-        once = np.unique(np.concatenate([np.zeros((2, 0), np.int64), *pairs], axis=1), axis=1)
+        a, b, times = np.concatenate([np.zeros((3, 0), np.int64), *pairs], axis=1)
         pairs.clear()
-        return pa.RecordBatch.from_arrays([pa.array(once[0]), pa.array(once[1])], names=PAIR.names)
+        order = np.lexsort((b, a))
+        a, b, times = a[order], b[order], times[order]
+        first = np.flatnonzero(np.concatenate([[True], (a[1:] != a[:-1]) | (b[1:] != b[:-1])])[: len(a)])
+        shared = np.add.reduceat(times, first) if len(first) else times
+        return pa.RecordBatch.from_arrays([pa.array(a[first]), pa.array(b[first]), pa.array(shared)], names=FOUND.names)
 
     for batch in rows:
-        t, band, home, v, n, label = (batch.column(k).to_numpy(zero_copy_only=False) for k in range(6))
-        counts = unpacked_counts(batch.column(6))
+        t, band, home, v, n, label, weight = (batch.column(k).to_numpy(zero_copy_only=False) for k in range(7))
+        counts = unpacked_counts(batch.column(7))
         edges = [0, *(np.flatnonzero((t[1:] != t[:-1]) | (band[1:] != band[:-1])) + 1).tolist(), len(t)]
         for a, b in zip(edges[:-1], edges[1:], strict=True):
             if a < b and (t[a], band[a]) != key:
@@ -201,7 +211,7 @@ def tree_pairs(rows: Iterator[pa.RecordBatch], percent: int, best: bool) -> Iter
                 if len(pairs) > FLUSH:
                     yield handed()
                 key, held = (t[a], band[a]), []
-            held.append((home[a:b], v[a:b], n[a:b], label[a:b], counts[a:b]))
+            held.append((home[a:b], v[a:b], n[a:b], label[a:b], weight[a:b], counts[a:b]))
     if held:
         found()
     yield handed()
@@ -252,14 +262,14 @@ def near_sets(docs: DataFrame, key: str = "doc_id", text: str = "text", words: i
     some = made.where("n > 0 and doc_id is not null")
     # a vertex takes the number of one row that holds its set
     vertex = cuts(some.groupBy("n", "v", "twin").agg(F.min(F.struct("doc_id", "row", "h")).alias("least")).select("n", "v", "twin", F.col("least.row").alias("u"), F.col("least.doc_id").alias("id"), F.col("least.h").alias("h")))
-    own = cuts(wide.select("row", "n", "counts", "posted").join(vertex.select(F.col("u").alias("row")), "row", "left_semi").withColumnRenamed("row", "u"))
+    own = cuts(wide.select("row", "n", "top", "counts", "posted").join(vertex.select(F.col("u").alias("row")), "row", "left_semi").withColumnRenamed("row", "u"))
     cuts.drop(wide)
     post = own.select("u", F.explode("posted").alias("t"))
     shared = cuts(post.groupBy("t").agg(F.min("u").alias("pivot"), F.count(F.lit(1)).alias("n")).where("n > 1").select("t"))
     held = cuts(post.join(shared, "t"))
     kept = cuts(one_of_each(held))
     post = cuts(held.join(kept, "t").select("t", "u", "pivot", "weight"))
-    point = cuts(own.select("u", "n", "counts").join(post.select("u").distinct(), "u", "left_semi"))
+    point = cuts(own.select("u", "n", "top", "counts").join(post.select("u").distinct(), "u", "left_semi"))
     cuts.drop(own, shared, held, kept)
     size = vertex.select("u", "n")
     least = lambda x, y: 100 * F.least(x, y) >= percent * F.greatest(x, y)
@@ -287,8 +297,8 @@ def near_sets(docs: DataFrame, key: str = "doc_id", text: str = "text", words: i
     links = check(near)
     label = cuts(components(links))
     band = F.floor(F.log("n") / math.log(100 / percent) + 1e-9)
-    left = post.select("t", "u").join(size, "u").select("t", F.explode(F.array(F.struct(band.alias("band"), F.lit(True).alias("home")), F.struct((band + 1).alias("band"), F.lit(False).alias("home")))).alias("in"), "u", "n")
-    left = cuts(left.select("t", "in.band", "in.home", "u", "n"))
+    left = post.select("t", "u", "weight").join(size, "u").select("t", "weight", F.explode(F.array(F.struct(band.alias("band"), F.lit(True).alias("home")), F.struct((band + 1).alias("band"), F.lit(False).alias("home")))).alias("in"), "u", "n")
+    left = cuts(left.select("t", "in.band", "in.home", "u", "n", "weight"))
 
     def trees(label: DataFrame, best: bool) -> DataFrame:
         """Candidates from the bands of postings that hold several components, one of them at home (``best``: from the crowded ones)."""
@@ -296,11 +306,19 @@ def near_sets(docs: DataFrame, key: str = "doc_id", text: str = "text", words: i
         split = open_.groupBy("t", "band").agg(F.min("label").alias("x"), F.max("label").alias("y"), F.bool_or("home").alias("any"), F.count(F.lit(1)).alias("members"))
         split = split.where(f"x <> y and any and members > {CROWDED if best else 1}").select("t", "band")
         rows = open_.join(split, ["t", "band"]).join(point.select("u", "counts"), "u")
-        rows = rows.select("t", "band", "home", "u", "n", "label", "counts").repartition("t", "band").sortWithinPartitions("t", "band")
-        return rows.mapInArrow(lambda it: tree_pairs(it, percent, best), PAIR).distinct()
+        rows = rows.select("t", "band", "home", "u", "n", "label", "weight", "counts").repartition("t", "band").sortWithinPartitions("t", "band")
+        found = rows.mapInArrow(lambda it: tree_pairs(it, percent, best), FOUND).groupBy("a", "b").agg(F.sum("shared").alias("shared"))
+        return found if best else enough(found)
+
+    def enough(found: DataFrame) -> DataFrame:
+        """Pairs, with all the postings they share counted, whose postings and sizes leave the overlap needed possible."""
+        pa_, pb = (point.select(F.col("u").alias(x), F.col("n").alias(f"n{x}"), F.col("top").alias(f"t{x}")) for x in "ab")
+        rest = {x: F.expr(f"(n{x} * {percent} + 99) div 100 - 1") for x in "ab"}
+        beyond = F.when(F.col("ta") < F.col("tb"), rest["a"]).when(F.col("ta") > F.col("tb"), rest["b"]).otherwise(F.greatest(rest["a"], rest["b"]))
+        return found.join(pa_, "a").join(pb, "b").where((F.col("shared") + beyond) * (100 + percent) >= percent * (F.col("na") + F.col("nb"))).select("a", "b")
 
     # crowds first grow together along each vertex's best candidate; then every pair still open is looked at
-    links = links.unionByName(check(trees(label, True)))
+    links = links.unionByName(check(trees(label, True).select("a", "b")))
     whole = cuts(components(links))
     links = links.unionByName(check(trees(whole, False)))
     cuts.drop(left, label, whole, star, post, point)
