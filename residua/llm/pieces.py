@@ -32,10 +32,26 @@ COMPARE = 32
 NONE = np.int32(1 << 30)
 
 
+#: Masks of the first bytes of an 8-byte word.
+FIRST = np.array([(1 << 8 * k) - 1 for k in range(9)], np.uint64)
+#: Fills up rows of bytes; no UTF-8 text has it.
+FILL = b"\xff"
+
+
 def ragged(starts: np.ndarray, lens: np.ndarray) -> np.ndarray:
     """Indices of all places of runs, one run after the other."""
     ends = np.cumsum(lens)
-    return np.arange(int(ends[-1]) if len(ends) else 0) + np.repeat(starts - (ends - lens), lens)
+    out = np.repeat(starts - (ends - lens), lens)
+    out += np.arange(len(out))
+    return out
+
+
+def short_words(data: np.ndarray, starts: np.ndarray, lens: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The first and the last 8 bytes of runs (the last as 0 if the first hold all): equal runs of up to 16 bytes have equal lengths and words."""
+    padded = np.zeros(len(data) + 8, np.uint8)
+    padded[: len(data)] = data
+    word = np.ascontiguousarray(np.ndarray(len(data) + 1, "<u8", padded.data, strides=(1,)))
+    return word[starts] & FIRST[np.minimum(lens, 8)], np.where(lens > 8, word[starts + np.maximum(lens - 8, 0)], np.uint64(0))
 
 
 def same_runs(a: np.ndarray, at: np.ndarray, b: np.ndarray, to: np.ndarray, lens: np.ndarray) -> np.ndarray:
@@ -74,17 +90,29 @@ class PieceCoder:
             self.of_char[:128] = np.where(self.of_char[:128] < 0, -10 - np.arange(128), self.of_char[:128])
         self.of_odd = np.array([self.byte.get(b, 0) for b in range(128)], np.int32)
         self.joined = dict(pairs)
-        self.digits = np.zeros((n, 6), np.uint8)
-        self.n_digits = np.array([len(str(i)) + 1 for i in range(n)])
-        for i in range(n):
-            self.digits[i, : self.n_digits[i]] = list(f"{i} ".encode())
+        self.digits, self.n_digits = self._rows([f"{i} ".encode() for i in range(n)])
+        as_byte = {i: bytes([b]) for b, i in self.byte.items()}
+        read = [as_byte[i] if i in as_byte else b"" if sp.is_control(i) else self.pieces[i].replace(MARK, " ").encode() for i in range(n)]
+        self.read, self.n_read = self._rows(read)
         self.forget()
 
+    @staticmethod
+    def _rows(said: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        """One filled-up item of bytes each, and their lengths."""
+        width = max(map(len, said))
+        return np.array([np.void(x.ljust(width, FILL)) for x in said]), np.array([len(x) for x in said])
+
     def forget(self) -> None:
         self.hash, self.at = np.zeros(0, np.uint64), np.zeros(0, np.int64)
         self.size, self.pool = np.zeros(0, np.int64), np.zeros(0, np.int32)
         self.bytes, self.start, self.lens = np.zeros(0, np.uint8), np.zeros(0, np.int64), np.zeros(0, np.int64)
 
+    def _keep(self, order: np.ndarray) -> None:
+        """Of the remembered chunks only those at ascending places ``order`` stay."""
+        self.pool, self.bytes = self.pool[ragged(self.at[order], self.size[order])], self.bytes[ragged(self.start[order], self.lens[order])]
+        self.hash, self.size, self.lens = self.hash[order], self.size[order], self.lens[order]
+        self.at, self.start = np.cumsum(self.size) - self.size, np.cumsum(self.lens) - self.lens
+
     def _pair(self, left: np.ndarray, right: np.ndarray, at: np.ndarray) -> np.ndarray:
         """Agenda entries (rank, then place ``at``) of symbol pairs; NONE where no piece joins them. Symbols below 0 are no pieces."""
         hit, found = self._find(left, right)
@@ -229,26 +257,31 @@ class PieceCoder:
         some = lens > 0
         if not some.any():
             return np.zeros(0, np.int32), np.zeros(len(lens) + 1, np.int64)
-        data = np.full(len(raw) + int(some.sum()), 32, np.uint8)  # a space before each text that is not empty
-        shift = np.cumsum(some)
-        data[np.arange(len(raw)) + np.repeat(shift, lens)] = raw
-        first = (offsets[:-1] + shift - some)[some]
-        if b"\xe2\x96\x81" in (view := data.tobytes()):  # the mark itself reads as a space
-            one = [view[a:b].replace(b"\xe2\x96\x81", b" ") for a, b in zip(first, [*first[1:], len(view)], strict=True)]
-            first = np.cumsum([0, *map(len, one)])[:-1]
-            data = np.frombuffer(b"".join(one), np.uint8)
+        view = raw.tobytes()
+        one = [view[a:b] for a, b in zip(offsets[:-1].tolist(), offsets[1:].tolist(), strict=True) if b > a]
+        if b"\xe2\x96\x81" in view:  # the mark itself reads as a space
+            one = [x.replace(b"\xe2\x96\x81", b" ") for x in one]
+        data = np.frombuffer(b" " + b" ".join(one), np.uint8)  # a space before each text that is not empty
+        first = np.cumsum([0, *(len(x) + 1 for x in one)])[:-1]
         space = data == 32
         head = space.copy()
         head[1:] &= ~space[:-1]
         head[first] = True
         starts = np.flatnonzero(head)
         ends = np.append(starts[1:], len(data))
-        lens_of, hashes = ends - starts, PrefixHash(data).of(starts, ends)
+        lens_of = ends - starts
+        head8, tail8 = short_words(data, starts, lens_of)
+        long = np.flatnonzero(lens_of > 16)
+        hashes = mix(mix(head8 + lens_of.astype(np.uint64)) + tail8)
+        if len(long):
+            at = np.cumsum(lens_of[long])
+            hashes[long] = PrefixHash(data[ragged(starts[long], lens_of[long])]).of(at - lens_of[long], at)
         while True:  # chunks of one hash that differ take another one
             whole, pick, back = np.unique(hashes, return_index=True, return_inverse=True)
             like = pick[back]
-            odd = lens_of != lens_of[like]
-            odd[~odd] = ~same_runs(data, starts[~odd], data, starts[like[~odd]], lens_of[~odd])
+            odd = (lens_of != lens_of[like]) | (head8 != head8[like]) | (tail8 != tail8[like])
+            rest = long[~odd[long]]
+            odd[rest] = ~same_runs(data, starts[rest], data, starts[like[rest]], lens_of[rest])
             if not odd.any():
                 break
             hashes[odd] = mix(hashes[odd] + np.uint64(1))
@@ -263,17 +296,14 @@ class PieceCoder:
             raws = data[ragged(starts[lack], size[new])]
             ids, n = self.learn(raws.tobytes(), size[new])
             if len(self.hash) + len(lack) > MEMO:  # only what this block uses stays
-                order = at[~new]
-            else:  # a remembered chunk gives way to another one of its hash
-                order = np.flatnonzero(~np.isin(self.hash, whole[new]))
-            pool = np.concatenate([self.pool[ragged(self.at[order], self.size[order])], ids])
-            held = np.concatenate([self.bytes[ragged(self.start[order], self.lens[order])], raws])
-            sizes, lens_all = np.concatenate([self.size[order], n]), np.concatenate([self.lens[order], size[new]])
-            keys = np.concatenate([self.hash[order], whole[new]])
-            sort = np.argsort(keys, kind="stable")
-            self.hash, self.pool, self.bytes = keys[sort], pool, held
-            self.size, self.at = sizes[sort], (np.cumsum(sizes) - sizes)[sort]
-            self.lens, self.start = lens_all[sort], (np.cumsum(lens_all) - lens_all)[sort]
+                self._keep(at[~new])
+            elif len(self.hash) and (self.hash[at[new]] == whole[new]).any():  # a remembered chunk gives way to another one of its hash
+                self._keep(np.flatnonzero(~np.isin(self.hash, whole[new])))
+            to = np.searchsorted(self.hash, whole[new])
+            self.hash, self.size, self.lens = np.insert(self.hash, to, whole[new]), np.insert(self.size, to, n), np.insert(self.lens, to, size[new])
+            self.at = np.insert(self.at, to, len(self.pool) + np.cumsum(n) - n)
+            self.start = np.insert(self.start, to, len(self.bytes) + np.cumsum(size[new]) - size[new])
+            self.pool, self.bytes = np.concatenate([self.pool, ids]), np.concatenate([self.bytes, raws])
             at = np.searchsorted(self.hash, whole)
         slot = at[back]
         n = self.size[slot]
@@ -286,6 +316,18 @@ class PieceCoder:
             bounds[k] = bounds[k + 1]
         return ids, bounds
 
+    def decode_block(self, flat: np.ndarray, at: np.ndarray) -> list[bytes]:
+        """UTF-8 bytes of the texts that runs of ids (of encoded texts) stand for; every so-manieth is compared with the library."""
+        if not self.byte:  # unknown characters are lost, and the library says how they read
+            return [self.library.decode(flat[a:b].tolist()).encode() for a, b in zip(at[:-1].tolist(), at[1:].tolist(), strict=True)]
+        said = self.read[flat].tobytes().translate(None, FILL)
+        ends = np.concatenate([[0], np.cumsum(self.n_read[flat])])[at].tolist()
+        out = [said[a + (said[a : a + 1] == b" " and b > a) : b] for a, b in zip(ends[:-1], ends[1:], strict=True)]
+        for k in range(0, len(out), COMPARE):
+            if out[k] != self.library.decode(flat[at[k] : at[k + 1]].tolist()).encode():
+                raise ValueError(f"the library decodes {flat[at[k] : at[k + 1]][:50].tolist()} in another way")
+        return out
+
     def encode(self, texts: list[str]) -> list[list[int]]:
         raw = [t.encode() for t in texts]
         ids, at = self.encode_block(np.frombuffer(b"".join(raw), np.uint8), np.cumsum([0, *map(len, raw)]))
@@ -332,22 +374,18 @@ def encode_column(docs: DataFrame, path: str, text: str = "text", keep: list[str
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = coder(path)
-        tail, decode, sha = ([own.eos] if end else []), own.library.decode, hashlib.sha256
+        tail, last_id, sha = ([own.eos] if end else []), str(own.eos).encode(), hashlib.sha256
         for batch in batches:
             for first, last, raw, offsets in text_blocks(batch, "__text"):
                 flat, at = own.encode_block(raw, offsets)
-                n = own.n_digits[flat]
-                line = own.digits[flat].reshape(-1)[ragged(np.arange(len(flat)) * 6, n)].tobytes()
-                cuts = np.concatenate([[0], np.cumsum(n)])[at].tolist()
-                out: list[list] = [[], [], [], []]
-                for k, (a, b) in enumerate(zip(at[:-1].tolist(), at[1:].tolist(), strict=True)):
-                    got = flat[a:b].tolist() + tail
-                    out[0].append(len(got))
-                    text = line[cuts[k] : cuts[k + 1]]
-                    out[1].append(sha(text + str(own.eos).encode() if end else text[:-1]).hexdigest())
-                    out[2].append(sha(decode(got).encode()).hexdigest())
-                    if ids:
-                        out[3].append(got)
+                line = own.digits[flat].tobytes().translate(None, FILL)
+                cuts = np.concatenate([[0], np.cumsum(own.n_digits[flat])])[at].tolist()
+                out: list[list] = [(np.diff(at) + len(tail)).tolist(), [], [], []]
+                for a, b, text in zip(cuts[:-1], cuts[1:], own.decode_block(flat, at), strict=True):
+                    out[1].append(sha(line[a:b] + last_id if end else line[a : max(a, b - 1)]).hexdigest())
+                    out[2].append(sha(text).hexdigest())
+                if ids:
+                    out[3] = [flat[a:b].tolist() + tail for a, b in zip(at[:-1].tolist(), at[1:].tolist(), strict=True)]
                 arrays = [pa.array(v, t) for v, (_, t) in zip(out, [*SCHEMA, ("token_ids", pa.list_(pa.int32()))] if ids else SCHEMA, strict=False)]
                 rows = batch.slice(first, last - first)
                 yield pa.RecordBatch.from_arrays([rows.column(k) for k in range(kept)] + arrays, names=[f.name for f in fields])

@@ -336,3 +336,35 @@ def test_multi_index_recall(spark):
     q = x[0].astype(float)
     walked = multiindex.walk((s := one @ q[:32]).max() - s, (s := two @ q[32:]).max() - s, held, 0.35 * 3000, held.astype(float), 21)
     assert 0.35 * 3000 <= held[walked].sum() <= 0.36 * 3000
+
+
+def test_pieces_are_read_off_a_table(monkeypatch):
+    """The library decodes a share of the texts, and a block that adds to the memo leaves what is remembered in its place."""
+    pytest.importorskip("public_tokenizers")
+    own = pieces.PieceCoder(queries.vocabulary())
+    rng = random.Random(5)
+    texts = ["".join(rng.choice("ab é▁🙂x\n\x00") for _ in range(rng.randrange(0, 60))) for _ in range(300)] + ["", " ", "  a", "x" * 90, "abcdefgh" * 2, "abcdefgh" * 2 + "i"]
+    asked = []
+    library = own.library
+
+    class Counting:
+        def __getattr__(self, name):
+            return getattr(library, name)
+
+        def decode(self, ids):
+            asked.append(ids)
+            return library.decode(ids)
+
+    own.library = Counting()
+    raw = [t.encode() for t in texts]
+    flat, at = own.encode_block(np.frombuffer(b"".join(raw), np.uint8), np.cumsum([0, *map(len, raw)]))
+    want = [library.encode(t) for t in texts]
+    assert [flat[a:b].tolist() for a, b in zip(at[:-1], at[1:], strict=True)] == want
+    assert own.decode_block(flat, at) == [library.decode(x).encode() for x in want]
+    assert len(asked) <= 1 + len(texts) // pieces.COMPARE
+    pool = own.pool.copy()
+    assert own.encode([*texts[:9], "fresh words here"])[-1] == library.encode("fresh words here")
+    assert (own.pool[: len(pool)] == pool).all() and len(own.pool) > len(pool)
+    monkeypatch.setattr(pieces, "MEMO", 3)
+    for t in (*texts[:40], *texts[:40]):
+        assert own.encode([t]) == [library.encode(t)]
