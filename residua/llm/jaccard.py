@@ -5,16 +5,19 @@ group counts; the summed coordinate minima of two points, or of a point and the
 the overlap from above. Sets are met and joined like this:
 
 1. Equal sets (by size and 128 bits of hash) are one vertex, however many texts share them.
-2. Every set posts its ``n - ceil(t n) + 1`` least hashes; two sets above the threshold share such a posting. Postings
-   that only one set has are dropped by a combining count, and of postings with the same sets one stays, with a weight.
+2. Every set posts its ``n - ceil(t n) + 1`` least hashes; two sets above the threshold share such a posting. Hashes that
+   many sets would post stand after all others in this order, so that only sets with little else post them; any order
+   finds the same pairs. Postings that only one set has are dropped by a combining count, and of postings with the same
+   sets one stays, with a weight.
 3. Every vertex is first compared with one pivot, the least vertex of the postings it shares with it most often.
    Components of the links found leave little open.
 4. Postings that still hold several components go, in bands of set size, to R-trees over count points; each finds the
    pairs of different components whose bound reaches the overlap needed. These are verified exactly, and the components
    of all links are the result. Pairs inside a component need no look: they change nothing. So that a crowd of near copies
    is one component before its pairs are asked for, crowded bands first give each vertex's best candidate alone.
+   Pairs of the label that most members of a posting have are not looked at.
    Count points of long sets are all alike, so a pair also needs enough postings in common: beyond the lower of the two
-   greatest posted hashes, the set that has it holds ``ceil(t n) - 1`` hashes, and no more than these can be shared there.
+   last posted hashes, the set that has it holds ``ceil(t n) - 1`` hashes, and no more than these can be shared there.
 
 Only narrow rows move until a pair has passed the bounds of size and counts; then the texts themselves come to the
 pair, once, and the task that verifies makes their sets. Tables that nothing reads any more are deleted.
@@ -82,7 +85,14 @@ def fields(**kinds: T.DataType) -> T.StructType:
 LONG = T.LongType()
 PAIR = fields(a=LONG, b=LONG)
 FOUND = fields(a=LONG, b=LONG, shared=LONG)
+OFTEN = fields(h=LONG, times=LONG)
 POINT = fields(doc_id=LONG, h=LONG, n=LONG, v=LONG, twin=LONG, top=LONG, counts=T.BinaryType(), posted=T.ArrayType(LONG))
+#: Hashes below this are counted over all sets beforehand: sets post their least ones, from the least 15 to 20 % of a long set's range.
+POSTED_FROM = np.uint64(1 << 62)
+#: Sets that hold a hash which goes to the end of the order; sets of a task that hold it for the task to name it; how many hashes go there at most.
+HEAVY, SEEN, MOST_HEAVY = 64, 3, 1 << 16
+#: Hashes that a task counts together, and those it holds on to with a count of 1.
+TALLY = 1 << 21
 #: Vertices verified against one copy of a pivot's text.
 CHUNK = 1024
 #: Rows of ids (some 40 bytes each) that are broadcast to the texts at most; beyond it the texts are shuffled to them.
@@ -99,14 +109,88 @@ def packed_counts(held: np.ndarray) -> bytes:
 
 
 def unpacked_counts(column: pa.Array) -> np.ndarray:
+    if isinstance(column, pa.ChunkedArray):
+        column = column.combine_chunks()
+    _, offsets, data = column.cast(pa.binary()).buffers()
+    at = np.frombuffer(offsets, np.int32, len(column) + 1, column.offset * 4) if len(column) else np.zeros(1, np.int32)
+    if len(column) and (np.diff(at) == GROUPS).all():  # one byte each
+        return np.frombuffer(data, np.uint8)[at[0] : at[-1]].reshape(-1, GROUPS).astype(np.int32)
     out = np.empty((len(column), GROUPS), np.int32)
     for k, x in enumerate(column.to_pylist()):
         out[k] = np.frombuffer(x, np.uint8 if len(x) == GROUPS else "<u4")
     return out
 
 
-def points(rows: Iterator[pa.RecordBatch], words: int, percent: int) -> Iterator[pa.RecordBatch]:
-    """(doc_id, h, text) -> size of the set, a hash of the set, a second one, half the greatest posted hash, count point, posted hashes."""
+def often(rows: Iterator[pa.RecordBatch], words: int) -> Iterator[pa.RecordBatch]:
+    """(text) -> hashes in the part of their range that sets post from, with the number of the task's sets that hold them, from ``SEEN`` on."""
+    held, met = np.zeros((2, 0), np.uint64), set()
+    fresh: list[np.ndarray] = []
+
+    def counted() -> np.ndarray:
+        h, place = np.unique(np.concatenate([held[0], *fresh]), return_inverse=True)
+        times = np.ones(len(place), np.uint64)
+        times[: held.shape[1]] = held[1]
+        fresh.clear()
+        return np.stack([h, np.bincount(place, times, len(h)).astype(np.uint64)])
+
+    for batch in rows:
+        for _, _, data, offsets in text_blocks(batch, "text"):
+            h, at = shingle_sets(data, offsets, words)
+            low = h < POSTED_FROM
+            owner = np.repeat(np.arange(len(at) - 1), np.diff(at))
+            total = np.concatenate([np.zeros(1, np.uint64), np.cumsum(mix(h))])
+            new = np.zeros(len(at) - 1, bool)
+            for k, x in enumerate((total[at[1:]] - total[at[:-1]]).tolist()):  # equal sets count once
+                new[k] = x not in met
+                met.add(x)
+            fresh.append(h[low & new[owner]])
+            if sum(map(len, fresh)) > TALLY:
+                held = counted()
+                if held.shape[1] > TALLY:
+                    held = held[:, held[1] > 1]
+                if len(met) > TALLY:
+                    met.clear()
+        pa.default_memory_pool().release_unused()
+    held = counted()
+    held = held[:, held[1] >= SEEN]
+    yield pa.RecordBatch.from_arrays([pa.array(held[0].view(np.int64)), pa.array(held[1].astype(np.int64))], names=OFTEN.names)
+
+
+def common_hashes(texts: DataFrame, words: int) -> np.ndarray:
+    """Sorted hashes that most sets hold. They only order the postings: results are the same whichever they are."""
+    found = texts.select("text").mapInArrow(lambda it: often(it, words), OFTEN).groupBy("h").agg(F.sum("times").alias("times"))
+    rows = found.where(F.col("times") > HEAVY).orderBy(F.desc("times"), "h").limit(MOST_HEAVY).select("h").toArrow()
+    return np.sort(rows.column(0).to_numpy().astype(np.int64).view(np.uint64))
+
+
+def first_posted(h: np.ndarray, at: np.ndarray, size: np.ndarray, common: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Places of the first ``size`` hashes of each set, those of ``common`` after all others, and half the last one's place in that order."""
+    late = np.zeros(len(h), bool)
+    if len(common):
+        some = np.flatnonzero(h <= common[-1])
+        late[some] = common[np.searchsorted(common, h[some])] == h[some]
+    order, take = [], []
+    for places, most in ((np.flatnonzero(~late), size), (np.flatnonzero(late), None)):
+        start = np.searchsorted(places, at)
+        own = np.minimum(np.diff(start), most if most is not None else size - take[0])
+        order.append((places, start[:-1]))
+        take.append(own)
+    ends = np.concatenate([[0], np.cumsum(size)])
+    nth = np.arange(ends[-1]) - np.repeat(ends[:-1], size)
+    (light, a), (heavy, b) = order
+    of_light = nth < np.repeat(take[0], size)
+    posted = np.empty(ends[-1], np.int64)
+    posted[of_light] = light[(np.repeat(a, size) + nth)[of_light]]
+    posted[~of_light] = heavy[(np.repeat(b - take[0], size) + nth)[~of_light]]
+    top = np.zeros(len(size), np.int64)
+    some = size > 0
+    last = posted[ends[1:][some] - 1]
+    top[some] = (h[last] >> np.uint64(2)).astype(np.int64) + (late[last].astype(np.int64) << 62)
+    return posted, top
+
+
+def points(rows: Iterator[pa.RecordBatch], words: int, percent: int, common: np.ndarray) -> Iterator[pa.RecordBatch]:
+    """(doc_id, h, text) -> size of the set, a hash of the set, a second one, where its last posted hash stands, count point, posted hashes."""
     for batch in rows:
         for first, end, data, offsets in text_blocks(batch, "text"):
             h, at = shingle_sets(data, offsets, words)
@@ -118,9 +202,8 @@ def points(rows: Iterator[pa.RecordBatch], words: int, percent: int) -> Iterator
             held = np.bincount(owner * GROUPS + (mix(h) >> np.uint64(56)).astype(np.int64), minlength=rows_ * GROUPS).reshape(rows_, GROUPS)
             size = np.where(n > 0, n - -(-percent * n // 100) + 1, 0)
             ends = np.concatenate([[0], np.cumsum(size)])
-            posted = h[np.repeat(at[:-1] - ends[:-1], size) + np.arange(ends[-1])].view(np.int64)
-            top = np.zeros(rows_, np.int64)
-            top[n > 0] = (h[(at[:-1] + size - 1)[n > 0]] >> np.uint64(1)).astype(np.int64)
+            places, top = first_posted(h, at, size, common)
+            posted = h[places].view(np.int64)
             yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, rows_), batch.column(1).slice(first, rows_), pa.array(n), pa.array(v), pa.array(twin), pa.array(top), pa.array([packed_counts(x) for x in held], pa.binary()), pa.ListArray.from_arrays(pa.array(ends.astype(np.int32)), pa.array(posted))], names=POINT.names)
         pa.default_memory_pool().release_unused()
 
@@ -163,25 +246,35 @@ def tree_pairs(rows: Iterator[pa.RecordBatch], percent: int, best: bool) -> Iter
     def found() -> None:
         home, v, n, label, weight, counts = (np.concatenate([h[k] for h in held]) for k in range(6))
         own = np.flatnonzero(home)
-        if not len(own) or (label == label[0]).all():
+        names, place, members = np.unique(label, return_inverse=True, return_counts=True)
+        if not len(own) or len(names) == 1:
+            return
+        # of two vertices of different labels one at least is outside the label that most have
+        out = place != members.argmax()
+        meet(home, v, n, label, weight, counts, np.flatnonzero(out), own)
+        meet(home, v, n, label, weight, counts, np.flatnonzero(~out), own[out[own]])
+
+    def meet(home, v, n, label, weight, counts, some: np.ndarray, own: np.ndarray) -> None:
+        """Candidates of the rows ``some`` among the rows ``own`` at home."""
+        if not len(own):
             return
         if len(own) <= FEW:  # one leaf: all bounds at once
             mine = counts[own]
-            for lo in range(0, len(v), FEW):
-                some = slice(lo, lo + FEW)
-                above = np.minimum(counts[some, None], mine[None]).sum(axis=2) - needed(n[own][None], n[some, None], percent)
-                good = (above >= 0) & (label[own][None] != label[some, None])
+            for lo in range(0, len(some), FEW):
+                at = some[lo : lo + FEW]
+                above = np.minimum(counts[at, None], mine[None]).sum(axis=2) - needed(n[own][None], n[at, None], percent)
+                good = (above >= 0) & (label[own][None] != label[at, None])
                 if best:
                     good &= np.arange(len(own)) == np.where(good, above, -1).argmax(axis=1)[:, None]
                 else:
-                    good &= ~home[some, None] | (v[own][None] < v[some, None])
+                    good &= ~home[at, None] | (v[own][None] < v[at, None])
                 x, y = np.nonzero(good)
                 if len(x):
-                    x, y = v[lo + x], v[own[y]]
+                    x, y = v[at[x]], v[own[y]]
                     pairs.append(np.stack([np.minimum(x, y), np.maximum(x, y), np.full(len(x), weight[0])]))
             return
         tree = CountTree(counts[own], n[own])
-        for x in range(len(v)):
+        for x in some.tolist():
             near = own[tree.reach(counts[x], int(n[x]), percent)]
             near = near[(label[near] != label[x]) & (best | ~home[x] | (v[near] < v[x]))]
             if best and len(near) > 1:
@@ -249,6 +342,16 @@ def one_of_each(post: DataFrame) -> DataFrame:
     return who.where("pivot <> top").groupBy("pivot", "n", "x", "y").agg(F.min("t").alias("t"), F.count(F.lit(1)).alias("weight")).select("t", "pivot", "weight")
 
 
+def gathered(rows: DataFrame, *keys: str, within: tuple[str, ...] = ()) -> DataFrame:
+    """Rows of equal keys one after the other in one task.
+
+    They are dealt by a hash of the keys, not by the keys: after joins or counts on the same keys Spark would leave out the
+    exchange, as rows lie right already, and adaptive execution may then replace those joins and read rows where they were
+    written, since nothing it knows of still asks for them together.
+    """
+    return rows.repartition(F.xxhash64(*keys)).sortWithinPartitions(*keys, *within)
+
+
 def near_sets(docs: DataFrame, key: str = "doc_id", text: str = "text", words: int = 4, percent: int = 85) -> DataFrame:
     """``(doc_id, n_shingles, component_id)`` for each row.
 
@@ -257,7 +360,8 @@ def near_sets(docs: DataFrame, key: str = "doc_id", text: str = "text", words: i
     """
     cuts = Cuts()
     texts = docs.select(F.col(key).cast("long").alias("doc_id"), F.xxhash64(text).alias("h"), F.col(text).alias("text"))
-    wide = cuts(texts.mapInArrow(lambda it: points(it, words, percent), POINT).withColumn("row", F.monotonically_increasing_id()))
+    common = common_hashes(texts, words)
+    wide = cuts(texts.mapInArrow(lambda it: points(it, words, percent, common), POINT).withColumn("row", F.monotonically_increasing_id()))
     made = cuts(wide.select("doc_id", "h", "n", "v", "twin", "row"))
     some = made.where("n > 0 and doc_id is not null")
     # a vertex takes the number of one row that holds its set
@@ -283,7 +387,7 @@ def near_sets(docs: DataFrame, key: str = "doc_id", text: str = "text", words: i
         roles = cuts(heads.unionByName(tails).join(vertex.select("u", "id", F.col("h").alias("hash")), "u"))
         few = roles.count() <= BROADCAST_ROWS
         rows = texts.join(F.broadcast(roles) if few else roles, (F.col("doc_id") == F.col("id")) & (F.col("h") == F.col("hash")))
-        rows = rows.select("a", "chunk", "side", "u", "text").repartition("a", "chunk").sortWithinPartitions("a", "chunk", "side")
+        rows = gathered(rows.select("a", "chunk", "side", "u", "text"), "a", "chunk", within=("side",))
         out = cuts(rows.mapInArrow(lambda it: verified(it, words, percent), PAIR).distinct())
         cuts.drop(pairs, roles)
         return out
@@ -306,7 +410,7 @@ def near_sets(docs: DataFrame, key: str = "doc_id", text: str = "text", words: i
         split = open_.groupBy("t", "band").agg(F.min("label").alias("x"), F.max("label").alias("y"), F.bool_or("home").alias("any"), F.count(F.lit(1)).alias("members"))
         split = split.where(f"x <> y and any and members > {CROWDED if best else 1}").select("t", "band")
         rows = open_.join(split, ["t", "band"]).join(point.select("u", "counts"), "u")
-        rows = rows.select("t", "band", "home", "u", "n", "label", "weight", "counts").repartition("t", "band").sortWithinPartitions("t", "band")
+        rows = gathered(rows.select("t", "band", "home", "u", "n", "label", "weight", "counts"), "t", "band")
         found = rows.mapInArrow(lambda it: tree_pairs(it, percent, best), FOUND).groupBy("a", "b").agg(F.sum("shared").alias("shared"))
         return found if best else enough(found)
 

@@ -368,3 +368,39 @@ def test_pieces_are_read_off_a_table(monkeypatch):
     monkeypatch.setattr(pieces, "MEMO", 3)
     for t in (*texts[:40], *texts[:40]):
         assert own.encode([t]) == [library.encode(t)]
+
+
+def test_any_order_of_postings_meets_the_same_pairs():
+    """Sets above the threshold share a posting whichever hashes go last, and beyond the earlier last posting no more than the rest is shared."""
+    rng = np.random.default_rng(3)
+    base = [np.unique(rng.integers(0, 1 << 62, 60, dtype=np.uint64)) for _ in range(6)]
+    sets = [np.unique(np.concatenate([b[rng.random(len(b)) < 0.96], rng.integers(0, 1 << 62, 2, dtype=np.uint64)])) for b in base for _ in range(8)]
+    h, at = np.concatenate(sets), np.concatenate([[0], np.cumsum([len(x) for x in sets])])
+    n = np.diff(at)
+    size = n - -(-85 * n // 100) + 1
+    for common in (np.zeros(0, np.uint64), np.sort(rng.choice(np.unique(h), 150, replace=False)), np.unique(h), base[0]):
+        places, top = jaccard.first_posted(h, at, size, common)
+        ends = np.concatenate([[0], np.cumsum(size)])
+        posted = [set(h[places[a:b]].tolist()) for a, b in zip(ends[:-1], ends[1:], strict=True)]
+        assert [len(x) for x in posted] == size.tolist()
+        met = 0
+        for i in range(len(sets)):
+            for j in range(i):
+                both = len(np.intersect1d(sets[i], sets[j]))
+                if both >= jaccard.needed(n[i], n[j], 85):
+                    shared = len(posted[i] & posted[j])
+                    rest = [n[k] - size[k] for k in (i, j)]
+                    least = rest[0] if top[i] < top[j] else rest[1] if top[i] > top[j] else max(rest)
+                    assert shared and shared + least >= both
+                    met += 1
+        assert met
+
+
+def test_rows_are_dealt_by_their_keys_after_joins_on_them(spark):
+    """The exchange stays in the plan, so that joins replaced at run time cannot scatter the rows of a key."""
+    a = spark.range(1000).select(F.col("id").alias("u"), (F.col("id") % 50).alias("t"), (F.col("id") % 3).alias("band"))
+    rows = a.join(a.groupBy("t", "band").count().where("count > 1").select("t", "band").hint("merge"), ["t", "band"]).join(F.broadcast(spark.range(1000).withColumnRenamed("id", "u")), "u")
+    plan = jaccard.gathered(rows.select("t", "band", "u"), "t", "band").mapInArrow(lambda it: it, "t long, band long, u long")._jdf.queryExecution().executedPlan().toString()
+    assert "REPARTITION_BY_COL" in plan
+    naive = rows.select("t", "band", "u").repartition("t", "band").sortWithinPartitions("t", "band").mapInArrow(lambda it: it, "t long, band long, u long")
+    assert "REPARTITION_BY_COL" not in naive._jdf.queryExecution().executedPlan().toString()
